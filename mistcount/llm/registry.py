@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import idfile, mixing, packing, quality, tokens, topk
+from . import idfile, licenses, mixing, packing, quality, tokens, topk
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_exact_top_k": topk.op1_exact_top_k,
         "op2_quality_rules": quality.op2_quality_rules,
+        "op3_license_scan": licenses.op3_license_scan,
         "op4_token_counts": tokens.op4_token_counts,
         "op5_token_ids": idfile.op5_token_ids,
         "op7_mixing": mixing.op7_mixing,
@@ -21,4 +22,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_top_k": topk.OP1_SQL, "op7_mixing": mixing.OP7_SQL}
+    return {"op1_exact_top_k": topk.OP1_SQL, "op3_license_scan": licenses.OP3_SQL, "op7_mixing": mixing.OP7_SQL}
