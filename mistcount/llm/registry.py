@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import idfile, licenses, mixing, packing, quality, tokens, topk
+from . import idfile, langmodel, licenses, mixing, packing, quality, tokens, topk
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -17,6 +17,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_token_counts": tokens.op4_token_counts,
         "op5_token_ids": idfile.op5_token_ids,
         "op7_mixing": mixing.op7_mixing,
+        "op8_lm_scoring": langmodel.op8_lm_scoring,
         "op10_packing": packing.op10_packing,
     }
 
