@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import idfile, langmodel, licenses, mixing, packing, quality, tokens, topk
+from . import idfile, jaccard, langmodel, licenses, mixing, packing, quality, tokens, topk
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_token_ids": idfile.op5_token_ids,
         "op7_mixing": mixing.op7_mixing,
         "op8_lm_scoring": langmodel.op8_lm_scoring,
+        "op9_jaccard_join": jaccard.op9_jaccard_join,
         "op10_packing": packing.op10_packing,
     }
 
