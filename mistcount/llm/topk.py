@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import partitions, table
+from .common import partitions, table, written
 
 #: Queries whose vectors and cutoffs are broadcast at a time.
 QUERY_BLOCK = 4096
@@ -108,7 +108,8 @@ def _block(vectors: DataFrame, queries: DataFrame, width: int, k: int, lists: in
             flat = np.array(n).ravel()
             yield pa.record_batch([pa.array(np.repeat(np.repeat(ids, lists), flat + 1)), pa.array(np.repeat(np.tile(np.arange(lists), len(ids)), flat + 1), pa.int32()), pa.array([x for i in range(len(ids)) for j in range(lists) for x in [None, *held[i][j][1].tolist()]], pa.int64()), pa.array([x for i in range(len(ids)) for j in range(lists) for x in [low[i, j], *held[i][j][0].tolist()]], pa.float64())], names=["query_id", "list", "vec_id", "part"])
 
-    seen = vectors.mapInArrow(local_lists, "query_id long, list int, vec_id long, part double")
+    # a few rows for each task, query and list; three steps read them
+    seen = written(vectors.mapInArrow(local_lists, "query_id long, list int, vec_id long, part double"), "lists")
     # the lowest partial scores, and the sum over the lists of what is known of a row beyond them
     lows = seen.where(F.col("vec_id").isNull()).groupBy("query_id", "list").agg(F.min("part").alias("low"))
     bound = (
