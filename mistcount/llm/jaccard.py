@@ -10,8 +10,9 @@ segments are shuffled. A task hands on one row for each segment hash it has seen
 nodes of it to the first at once, so a segment that many documents share is no hot key. The links form
 blocks of sets that may be similar.
 
-Deciding who links. The sets of a block are put into a prefix tree, one after the other. Each first
-looks for partners by walking down the tree: the overlap with a shared prefix is found once for all
+Deciding who links. Within a block shingles are ordered by the number of its sets that hold them, then
+by hash; sets that share too few with any other are done. The rest are put into a prefix tree, one after
+the other. Each first looks for partners by walking down the tree: the overlap with a shared prefix is found once for all
 sets below it, and a subtree is left when the most that can still overlap is less than its sets need, or
 when all its sets belong to the walker's group already. Every similarity is decided on the sets.
 A block of more than BLOCK sets is dealt into parts, and each pair of parts is one task.
@@ -26,6 +27,7 @@ id that a group could bear. An empty table gives an empty result. Sets are told
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,12 +39,10 @@ from pyspark.sql import functions as F
 from .common import batches, mixed, partitions, table, text_bytes, written
 
 SHINGLE, PERCENT = 3, 90
-#: Segments that may be empty before empty ones are compared as well.
-SPARE = 2
 #: Ratio of the largest to the smallest set of a size class.
-CLASS_RATIO = 1.4
-#: Sets of one block that one task compares.
-BLOCK = 4000
+CLASS_RATIO = 1.3
+#: Sets of one block that one task compares, and shingles in them.
+BLOCK, BLOCK_SHINGLES = 4000, 2_000_000
 #: Segment rows that a task holds before it hands them on; words that a worker remembers.
 FLUSH, MEMORY = 2_000_000, 400_000
 
@@ -107,7 +107,21 @@ def largest_difference(largest: int, percent: int) -> int:
     return max(a + largest - 2 * o for a in range(max(1, -(-largest * percent // 100)), largest + 1) for o in [-(-percent * (a + largest) // (100 + percent))] if o <= a)
 
 
-_DIFFERENCE: dict[tuple[int, int], int] = {}
+_PLAN: dict[tuple[int, int], tuple[int, int]] = {}
+
+
+def segments_of(c: int, percent: int) -> tuple[int, int]:
+    """Segments of size class c, and how many may be empty before empty ones are compared as well."""
+    if (c, percent) not in _PLAN:
+        first, largest = int(_EDGES[c]), int(_EDGES[c + 1]) - 1
+        if largest > 500:
+            d = 2 * largest - 2 * -(-percent * 2 * largest // (100 + percent)) + 1
+        else:
+            d = max(largest_difference(x, percent) for x in range(first, largest + 1))
+        # more segments than differences: enough to do without the empty ones of a usual set
+        spare = 2 + math.ceil(1.5 * (d + 1) * math.exp(-first * percent / 100 / (d + 1))) if d else 0
+        _PLAN[c, percent] = d + 1 + spare, spare
+    return _PLAN[c, percent]
 
 
 def segment_rows(s: np.ndarray, percent: int) -> np.ndarray:
@@ -117,19 +131,14 @@ def segment_rows(s: np.ndarray, percent: int) -> np.ndarray:
     top = n * 100 // percent  # the largest partner
     for c in range(own, int(np.searchsorted(_EDGES, top, side="right"))):
         # pairs of class c: the smaller set is in the class before or the same, the larger one in it
-        largest = int(_EDGES[c + 1]) - 1
-        if (largest, percent) not in _DIFFERENCE:
-            bound = 2 * largest - 2 * -(-percent * 2 * largest // (100 + percent)) + 1 if largest > 500 else max(largest_difference(x, percent) for x in range(int(_EDGES[c]), largest + 1))
-            _DIFFERENCE[largest, percent] = bound
-        d = _DIFFERENCE[largest, percent]
-        m = d + 1 + (SPARE if d else 0)
+        m, spare = segments_of(c, percent)
         at = np.searchsorted(s, (np.arange(1, m, dtype=np.float64) * (2.0**64 / m)).astype(np.uint64)) if m > 1 else np.empty(0, np.int64)
         edges = np.concatenate([[0], at, [n]])
         # a running sum of mixed hashes tells a segment's content, its length and number the rest
         sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mixed(s), dtype=np.uint64)])
         sizes = np.diff(edges).astype(np.uint64)
         rows = mixed(mixed(sums[edges[1:]] - sums[edges[:-1]]) + sizes + np.uint64(0x9E3779B97F4A7C15) * (np.arange(m, dtype=np.uint64) + np.uint64(1)) + (np.uint64(c) << np.uint64(40)))
-        if d and (sizes == 0).sum() <= SPARE:
+        if (sizes == 0).sum() <= spare:
             rows = rows[sizes > 0]
         out.append(rows)
     return np.concatenate(out)
@@ -156,7 +165,7 @@ def _firsts(keys: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return keys[new], nodes[new], links[0], links[1]
 
 
-def candidates(docs: DataFrame, percent: int, doc_id: str, text: str) -> DataFrame:
+def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str) -> DataFrame:
     """Rows of kind MEMBER (node a, doc_id b, n shingles) and LINK (nodes a and b that share a segment)."""
 
     def segments(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -171,7 +180,7 @@ def candidates(docs: DataFrame, percent: int, doc_id: str, text: str) -> DataFra
                 yield _rows(mixed(a.view(np.uint64)).view(np.int64), LINK, a, b)
 
         for batch in batches(rows, 256):
-            sets = shingle_sets(text_bytes(batch.column("text")), hashes)
+            sets = shingle_sets(text_bytes(batch.column("text")), hashes, k)
             names = np.array([set_id(s) for s in sets], np.int64)
             sizes = np.array(list(map(len, sets)), np.int32)
             yield _rows(mixed(names.view(np.uint64)).view(np.int64), MEMBER, names, batch.column("doc_id"), sizes)
@@ -327,45 +336,70 @@ class PrefixTree:
             node, at = kid, at + same
 
 
+def rare_first(sets: list[np.ndarray], percent: int) -> tuple[list[int], list[np.ndarray]]:
+    """The sets that may link, as sorted ranks of their elements: rarer elements come first, ties by value.
+    A set that shares too few elements with the others for any partner is left out."""
+    kept = list(range(len(sets)))
+    while len(kept) > 1:
+        sizes = np.array([len(sets[i]) for i in kept])
+        values, which, times = np.unique(np.concatenate([sets[i] for i in kept]), return_inverse=True, return_counts=True)
+        ends = np.cumsum(sizes)
+        shared = np.add.reduceat((times[which] > 1).astype(np.int64), ends - sizes)
+        least = -(-sizes * percent // 100)
+        fit = shared >= -(-percent * (sizes + least) // (100 + percent))
+        if fit.all():
+            rank = np.empty(len(values), np.int64)
+            rank[np.lexsort((values, times))] = np.arange(len(values))
+            return kept, [np.sort(x) for x in np.split(rank[which], ends[:-1])]
+        kept = [i for i, f in zip(kept, fit.tolist(), strict=True) if f]
+    return [], []
+
+
 def _decide(percent: int):
     def decide(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree, block = PrefixTree(percent), None
+        held, block = [], None
 
-        def out() -> pa.RecordBatch:
-            return pa.record_batch([pa.array([a for a, _ in tree.links], pa.int64()), pa.array([b for _, b in tree.links], pa.int64())], names=["a", "b"])
+        def settle() -> Iterator[pa.RecordBatch]:
+            kept, sets = rare_first([np.frombuffer(s, np.uint64) for _, s in held], percent)
+            tree = PrefixTree(percent)
+            for i, s in zip(kept, sets, strict=True):
+                tree.add(held[i][0], s)
+            if tree.links:
+                yield pa.record_batch([pa.array([a for a, _ in tree.links], pa.int64()), pa.array([b for _, b in tree.links], pa.int64())], names=["a", "b"])
 
         for batch in batches(rows, 256):
             for key, part, node, s in zip(*(batch.column(c).to_pylist() for c in ("block", "part", "node", "s")), strict=True):
                 if (key, part) != block:
-                    if tree.links:
-                        yield out()
-                    tree, block = PrefixTree(percent), (key, part)
-                tree.add(node, np.frombuffer(s, np.uint64))
-        if tree.links:
-            yield out()
+                    yield from settle()
+                    held, block = [], (key, part)
+                held.append((node, s))
+        yield from settle()
 
     return decide
 
 
-def _sets(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    hashes = WordHashes()
-    for batch in batches(rows, 256):
-        sets = shingle_sets(text_bytes(batch.column("text")), hashes)
-        yield pa.record_batch([batch.column("block"), batch.column("parts"), batch.column("node"), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32())], names=["block", "parts", "node", "s", "n"])
+def _sets(k: int):
+    def rows(batches_: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = WordHashes()
+        for batch in batches(batches_, 256):
+            sets = shingle_sets(text_bytes(batch.column("text")), hashes, k)
+            yield pa.record_batch([batch.column("block"), batch.column("parts"), batch.column("node"), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32())], names=["block", "parts", "node", "s", "n"])
+
+    return rows
 
 
-def groups(docs: DataFrame, percent: int = PERCENT, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id of every row: the least doc_id of its group."""
     spark = docs.sparkSession
-    met = candidates(docs, percent, doc_id, text)
+    met = candidates(docs, percent, k, doc_id, text)
     members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("node"), F.col("b").alias("doc_id"), "n")
-    named = members.where("n > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("first"))
+    named = members.where("n > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("first"), F.first("n").alias("n"))
     blocks = components(met.where(F.col("kind") == LINK).select("a", "b").distinct())
-    sizes = blocks.groupBy("label").agg(F.count("*").alias("size")).select("label", F.ceil(F.col("size") / BLOCK).cast("int").alias("parts"))
+    sizes = blocks.join(named, "node").groupBy("label").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("parts"))
     # one document for each set of a block, whose text is read again
     wanted = written(blocks.join(sizes, "label").join(named, "node").select(F.col("first").alias("_doc"), "node", F.col("label").alias("block"), "parts"), "blocks")
     texts = docs.select(F.col(doc_id).cast("long").alias("_doc"), F.col(text).alias("text")).join(wanted, "_doc").select("block", "parts", "node", "text")
-    sets = texts.mapInArrow(_sets, "block long, parts int, node long, s binary, n int")
+    sets = texts.mapInArrow(_sets(k), "block long, parts int, node long, s binary, n int")
     # a block of several parts is compared part by part: set i goes to the tasks of all pairs with its part
     mine = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
     pairs = F.when(F.col("parts") == 1, F.array(F.lit(0))).otherwise(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.least(mine, j) * F.col("parts") + F.greatest(mine, j)))
@@ -373,18 +407,17 @@ def groups(docs: DataFrame, percent: int = PERCENT, doc_id: str = "doc_id", text
     links = written(dealt.select("block", "part", "node", "s").mapInArrow(_decide(percent), "a long, b long"), "similar")
     labels = components(links)
     # the least doc_id of a group, by node; equal sets without a link are a group as well
-    grouped = named.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    grouped = named.drop("n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     least = grouped.groupBy("label").agg(F.min("first").alias("component"))
     by_node = grouped.join(least, "label").select("node", "component")
     found = members.join(by_node, "node", "left").withColumn("component_id", F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")))
     return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def one_of_each(docs: DataFrame, percent: int = PERCENT, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of docs that are the first of their group, with the columns of docs; of rows that repeat that
     doc_id one stays. Rows with a null doc_id stay."""
-    found = groups(docs, percent, doc_id, text)
-    first = found.where("doc_id is null or doc_id = component_id").where("doc_id is not null").select(F.col("doc_id").alias("_first")).distinct()
+    first = groups(docs, percent, k, doc_id, text).where("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
     kept = docs.join(first, F.col(doc_id).cast("long") == F.col("_first"), "left_semi")
     return kept.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
 

@@ -135,9 +135,9 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", end_id: int = 1
             keys, held = keys[kept:], held[kept:]
             return out
 
-        for batch in batches(rows, 512):
-            for doc, content in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                held.append(encoder.ids(content) + end)
+        for batch in batches(rows, 128):
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), encoder.many(batch.column("text").to_pylist()), strict=True):
+                held.append(ids + end)
                 keys.append(doc)
                 size += len(held[-1]) // 4
                 if size >= BUFFER_IDS and (out := cut(False)) is not None:

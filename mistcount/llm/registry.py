@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import idfile, jaccard, langmodel, licenses, mixing, packing, quality, tokens, topk
+from . import idfile, jaccard, langmodel, licenses, mixing, packing, quality, substrings, tokens, topk
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_license_scan": licenses.op3_license_scan,
         "op4_token_counts": tokens.op4_token_counts,
         "op5_token_ids": idfile.op5_token_ids,
+        "op6_suffix_dedup": substrings.op6_suffix_dedup,
         "op7_mixing": mixing.op7_mixing,
         "op8_lm_scoring": langmodel.op8_lm_scoring,
         "op9_jaccard_join": jaccard.op9_jaccard_join,

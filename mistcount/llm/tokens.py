@@ -24,9 +24,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Chunks that each of the two ages of a worker's memory holds; bounds memory, changes no result.
-MEMORY = 250_000
+MEMORY = 300_000
 #: White space beside a blank: only there can a cut before a single blank differ from the pre-tokenizer's.
 _BESIDE = re.compile(r" \s|\s ")
+#: Runs of white space, of which the byte-level pre-tokenizer keeps some together.
+_DOUBLE = re.compile(r"\s\s")
 _SAFE = re.compile(r"(?<=\S) (?=\S)")
 
 
@@ -157,19 +159,86 @@ class ChunkEncoder:
             kinds = [p["type"] for p in spec["pre_tokenizer"].get("pretokenizers", [])]
             if kinds[:1] != ["Split"] or r"[^\s" not in json.dumps(spec["pre_tokenizer"]).replace("\\\\", "\\"):
                 raise ValueError("unknown pre-tokenizer: its chunks can't be told")
-        self.first, self.after = TwoAges(lambda chunks: self._ask(chunks, "")), TwoAges(lambda chunks: self._ask(chunks, " "))
-
-    def _ask(self, chunks: list[str], lead: str) -> list[bytes]:
-        found = self.library.encode_batch_fast([lead + c for c in chunks], add_special_tokens=False)
-        return [np.array(e.ids, "<u4").tobytes() for e in found]
+        self.lowers = self.drops_blanks and "Lowercase" in json.dumps(spec["normalizer"])
+        # between chunks that are asked for together stands what makes one token, and joins none beside it
+        self.between = " \x01 " if self.drops_blanks else "\n"
+        (self.mark,) = self.library.encode(self.between.strip(" "), add_special_tokens=False).ids
+        self.lead = "" if self.drops_blanks else " "
+        self.stops = {c: self._alone([c])[0] for c in ".,;:!?"}
+        #: Chunks stand for what follows a blank; those that begin with a line feed, for it and what follows.
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def _alone(self, chunks: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.library.encode_batch_fast(chunks, add_special_tokens=False)]
+
+    def _ask(self, chunks: list[str]) -> list[bytes]:
+        """Ids of chunks, each after its lead."""
+        out: list[bytes] = []
+        for at in range(0, len(chunks), 2000):
+            some = [c[1:] if c[:1] == "\n" else self.lead + c for c in chunks[at : at + 2000]]
+            (found,) = self.library.encode_batch_fast([self.between.join(some)], add_special_tokens=False)
+            ids = np.array(found.ids, "<u4")
+            ends = np.flatnonzero(ids == self.mark)
+            if len(ends) != len(some) - 1:  # a chunk holds the mark itself
+                out += self._alone(some)
+                continue
+            raw = ids.tobytes()
+            out += [raw[a:b] for a, b in zip([0, *(4 * ends + 4).tolist()], [*(4 * ends).tolist(), len(raw)], strict=True)]
+        return out
+
+    def _stem(self, chunk: str) -> tuple[str, bytes]:
+        """A chunk that shares its ids with this one but for a stop at the end; the pre-tokenizer parts letters from stops."""
+        stop = b""
+        if chunk[-1:] in self.stops and chunk[chunk[:1] == "\n" : -1].isalpha():
+            chunk, stop = chunk[:-1], self.stops[chunk[-1]]
+        if self.lowers and chunk.isascii():
+            chunk = chunk.lower()
+        return chunk, stop
+
+    def _learn(self, chunks: list[str]) -> None:
+        """Puts chunks that the young age lacks there, from the old age or the library."""
+        young, old, stems, ask = self.young, self.old, [], {}
+        for c in chunks:
+            if (ids := old.get(c)) is not None:
+                young[c] = ids
+                continue
+            stem, stop = self._stem(c)
+            if stem is not c:
+                stems.append((c, stem, stop))
+            if stem not in young:
+                if (ids := old.get(stem)) is not None:
+                    young[stem] = ids
+                else:
+                    ask[stem] = None
+        feed = np.array([self.mark], "<u4").tobytes()
+        for stem, ids in zip(ask, self._ask(list(ask)), strict=True):
+            young[stem] = feed + ids if stem[:1] == "\n" else ids
+        for c, stem, stop in stems:
+            young[c] = young[stem] + stop
+
+    def many(self, texts: list[str | None]) -> list[bytes]:
+        """Ids of texts, each as one run of bytes."""
+        if len(self.young) > MEMORY:
+            self.young, self.old = {}, self.young
+        if self.drops_blanks:
+            cuts = [x.replace("\n", " ").split(" ") if x else [] for x in texts]
+        else:
+            # single blanks and line feeds: each blank goes with what follows, each feed is a token of its own
+            cuts = [f"\n{x}".replace("\n", " \n").split(" ")[1:] if x and not _DOUBLE.search(x) else [] for x in texts]
+        distinct: set[str] = set()
+        for x in cuts:
+            distinct.update(x)
+        if new := distinct.difference(self.young):
+            self._learn(list(new))
+        young, skip = self.young, 0 if self.drops_blanks else 4
+        local = {c: young[c] for c in distinct}  # small enough to stay in the processor's cache
+        get = local.__getitem__
+        whole = iter(self._alone([t for t, x in zip(texts, cuts, strict=True) if t and not x]))
+        return [b"".join(map(get, x))[skip:] if x else next(whole) if text else b"" for text, x in zip(texts, cuts, strict=True)]
 
     def ids(self, text: str | None) -> bytes:
-        if not text:
-            return b""
-        if self.drops_blanks:
-            return b"".join(self.first.all(text.replace("\n", " ").split(" ")))
-        parts = _SAFE.split(text) if _BESIDE.search(text) else text.split(" ")
-        return b"".join([*self.first.all(parts[:1]), *self.after.all(parts[1:])])
+        return self.many([text])[0]
 
 
 _READY: dict[tuple, object] = {}
