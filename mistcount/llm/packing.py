@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 
 from .common import batches, table
 from .idfile import in_order
-from .tokens import ChunkEncoder, byte_alphabet, crc, ready, tokenizer_path
+from .tokens import RankEncoder, byte_alphabet, crc, ready, tokenizer_path
 
 WINDOW = 2048
 #: What a cut costs, in padded tokens.
@@ -32,9 +32,9 @@ BUFFER_IDS = 1 << 19
 STRIDE = 64
 
 
-def sentence_ends(encoder: ChunkEncoder) -> np.ndarray:
+def sentence_ends(encoder: RankEncoder) -> np.ndarray:
     """For each id, whether its text ends a sentence: it ends with . ! ? or holds a line feed."""
-    vocabulary = encoder.library.get_vocab()
+    vocabulary = encoder.library.library.get_vocab()
     feed, found = byte_alphabet()[10], np.zeros(max(vocabulary.values()) + 1, bool)
     for token, i in vocabulary.items():
         found[i] = token.endswith((".", "!", "?")) or feed in token
@@ -97,7 +97,7 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", end_id: int = 1
     def packed(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encoder = ready(ChunkEncoder, tokenizer_path(vocabulary))
+        encoder = ready(RankEncoder, tokenizer_path(vocabulary))
         ender, end = sentence_ends(encoder), np.array([end_id], "<u4").tobytes()
         sequence = TaskContext.get().partitionId() << 32
         # of the documents in the buffer: key, ids, and how many of its ids are packed already
