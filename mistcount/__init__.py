@@ -1,0 +1 @@
+"""Private, mergeable distinct counting on Spark."""
