@@ -68,7 +68,7 @@ def level_counts(cells: DataFrame, layout: Layout, by: list[str] | None = None,
     """(by, extra, ones): the number of ones of each level, all that a fit needs. extra: columns that a group determines."""
     by, extra = by or [], extra or []
     level = F.pmod("cell", F.lit(layout.levels))
-    sums = cells.groupBy(*by, *extra, level.alias("level")).agg(F.sum("bit").alias("k"))
-    found = sums.groupBy(*by, *extra).agg(F.map_from_entries(F.collect_list(F.struct("level", "k"))).alias("m"))
+    sums = cells.groupBy(*by, *extra, level.alias("_level")).agg(F.sum("bit").alias("_k"))
+    found = sums.groupBy(*by, *extra).agg(F.map_from_entries(F.collect_list(F.struct("_level", "_k"))).alias("m"))
     levels = F.transform(F.sequence(F.lit(0), F.lit(layout.levels - 1)), lambda j: F.coalesce(F.element_at("m", j), F.lit(0)).cast("long"))
     return found.select(*by, *extra, levels.alias("ones"))
