@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -36,6 +38,11 @@ def written(df: DataFrame, what: str, codec: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def wrapped(docs: DataFrame) -> DataFrame:
+    """docs as one struct column `row`, beside which an operator's own columns clash with nothing."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -53,10 +60,19 @@ def text_bytes(column: pa.Array) -> list[bytes | None]:
 
 
 def batches(rows: Iterator[pa.RecordBatch], size: int = 1024) -> Iterator[pa.RecordBatch]:
-    """The same rows in batches of at most `size` rows, to bound what is held as Python objects."""
+    """The same rows in batches of at most `size` rows, to bound what is held as Python objects; when they are
+    over, the worker, which serves further tasks, gives unused memory back."""
+    tidy()
     for batch in rows:
         for at in range(0, batch.num_rows, size):
             yield batch.slice(at, size)
+    tidy()
+
+
+def tidy() -> None:
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only glibc has it
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def mixed(x: np.ndarray) -> np.ndarray:

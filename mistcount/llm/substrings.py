@@ -10,6 +10,7 @@ their hash. Equal pieces are sorted once, with their number. A task hands on one
 for each different piece it has met, and settles further ones at once, so that copies and frequent
 passages are no hot keys. Each shard builds a suffix array of its pieces by induced sorting, and their
 common prefixes; where `length` bytes are shared, strings are equal, and their places are removed. A
+hash whose pieces are all equal needs no sorting. A
 hash whose different pieces outgrow a shard (HOT_BYTES) is settled string by string instead.
 
 Texts that are equal count as so many copies of one text. Null texts are empty; texts shorter than
@@ -29,12 +30,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches, mixed, partitions, table, text_bytes, written
+from .common import batches, mixed, partitions, table, text_bytes, wrapped, written
 from .suffixes import common_prefixes, suffix_array
 
 LENGTH, GRAM = 200, 100
 #: Bytes of text that are hashed at a time, rows that a task holds before it hands them on.
-CHUNK, FLUSH = 1 << 19, 1_500_000
+CHUNK, FLUSH = 1 << 19, 1_000_000
 #: Bytes of pieces in a suffix array, about; bytes of one hash's pieces at most.
 SHARD_BYTES, HOT_BYTES = 1 << 22, 1 << 24
 #: Bits that hold a gram's place among its neighbours.
@@ -236,8 +237,23 @@ def _sort_shards(length: int):
 
     def sort(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard: list[tuple] = []  # complete hashes
+        alone: list[tuple] = []  # verdicts on hashes of a single piece
         group: dict[tuple[int, bytes], int] = {}  # the pieces of the current hash, and their numbers
         size, group_size, current, hot = 0, 0, None, False
+
+        def close() -> None:
+            nonlocal group, group_size, size
+            if len(group) == 1:
+                # strings of one piece differ, as the gram stands at another place in each; so all of them
+                # recur if the piece does, and none otherwise: a sort could tell no more
+                ((piece, content), weight), *_ = group.items()
+                if weight > 1:
+                    alone.append((current, VERDICT, current, piece, None, None, None, None, np.array([0, len(content) - length + 1], "<i4").tobytes()))
+            else:
+                shard.extend((current, p, c, w) for (p, c), w in group.items())
+                size += group_size
+            group, group_size = {}, 0
+
         for batch in batches(rows, 4096):
             kind = batch.column("kind").to_numpy()
             if (kind != CONTENT).any():
@@ -245,9 +261,8 @@ def _sort_shards(length: int):
             batch = batch.filter(pa.array(kind == CONTENT))
             for h, piece, weight, content in zip(*(batch.column(c).to_pylist() for c in ("h", "piece", "weight", "bytes")), strict=True):
                 if h != current:
-                    shard += [(current, p, c, w) for (p, c), w in group.items()]
-                    size += group_size
-                    group, group_size, current, hot = {}, 0, h, False
+                    close()
+                    current, hot = h, False
                     if size >= SHARD_BYTES:
                         if (out := settle(shard)) is not None:
                             yield out
@@ -262,7 +277,12 @@ def _sort_shards(length: int):
                     if group_size > HOT_BYTES:
                         yield from strings([(h, p, c, w) for (p, c), w in group.items()])
                         group, group_size, hot = {}, 0, True
-        shard += [(current, p, c, w) for (p, c), w in group.items()]
+            if alone:
+                yield _found(alone)
+                alone.clear()
+        close()
+        if alone:
+            yield _found(alone)
         if shard and (out := settle(shard)) is not None:
             yield out
 
@@ -350,8 +370,9 @@ def _by_text(docs: DataFrame, text: str, with_text: bool) -> DataFrame:
 def remove_repeated(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs without the repeated parts of their texts: same rows and columns."""
     left = _by_text(docs, text, True).select(F.col("th").alias("_th"), F.col("out").alias("_out"))
-    joined = docs.withColumn("_t", text_key(F.col(text))).join(left, F.col("_t") == F.col("_th"), "left")
-    return joined.withColumn(text, F.coalesce("_out", text)).select(docs.columns)
+    rows = wrapped(docs)
+    joined = rows.withColumn("_t", text_key(F.col(f"row.{text}"))).join(left, F.col("_t") == F.col("_th"), "left")
+    return joined.select(F.col("row").withField(text, F.coalesce("_out", F.col(f"row.{text}"))).alias("row")).select("row.*")
 
 
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
