@@ -114,13 +114,13 @@ def op_join_interval(spark: SparkSession, d: str) -> DataFrame:
     return e.join(F.broadcast(periods), (e.ts >= F.col("a")) & (e.ts < F.col("b"))).groupBy("period", "eps").agg(F.count_distinct("item").alias("n_users"))
 
 
-@query("op_join_asof", "SELECT g AS scope, count(*) AS n_asks, count(rid) AS n_answered, max(rid) AS last_id FROM (SELECT a.event_type AS g, a.event_id, (SELECT max_by(CAST(b.event_id AS VARCHAR), (b.ts, b.event_id)) FROM events b WHERE b.event_type = a.event_type AND b.event_id % 10 = 0 AND b.ts <= a.ts) AS rid FROM events a WHERE a.event_id % 7 = 1) GROUP BY g")
+@query("op_join_asof", "SELECT g AS scope, count(*) AS n_asks, count(rid) AS n_answered, max(rid) AS last_id FROM (SELECT a.event_type AS g, (SELECT max_by(printf('%010d', b.event_id), (b.ts, b.event_id)) FROM events b WHERE b.user_id = a.user_id AND b.event_type = 'purchase' AND b.ts <= a.ts) AS rid FROM events a) GROUP BY g")
 def op_join_asof(spark: SparkSession, d: str) -> DataFrame:
-    """Releases (every tenth event) as of later events."""
+    """For each event its user's last purchase so far, as a ledger's entry as of a time."""
     e = event_items(spark, d)
-    ledger = e.where("event_id % 10 = 0").select(F.col("g").alias("scope"), F.col("ts").alias("released_at"), F.col("event_id").cast("string").alias("release_id"))
-    asks = e.where("event_id % 7 = 1").select(F.col("g").alias("scope"), F.col("ts").alias("at"))
-    return io.latest(ledger, asks).groupBy("scope").agg(F.count("*").alias("n_asks"), F.count("release_id").alias("n_answered"), F.max("release_id").alias("last_id"))
+    ledger = e.where("g = 'purchase'").select(F.col("item").alias("scope"), F.col("ts").alias("released_at"), F.format_string("%010d", "event_id").alias("release_id"))
+    asks = e.select(F.col("item").alias("scope"), F.col("ts").alias("at"), "g")
+    return io.latest(ledger, asks, keep=["g"]).groupBy(F.col("g").alias("scope")).agg(F.count("*").alias("n_asks"), F.count("release_id").alias("n_answered"), F.max("release_id").alias("last_id"))
 
 
 @query("op_join_cross", "SELECT count(*) AS n_settings FROM range(4), range(5), range(3)")
@@ -215,16 +215,16 @@ def op_dates(spark: SparkSession, d: str) -> DataFrame:
     return o.groupBy(F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM").alias("month")).agg(F.count_distinct("o_custkey").alias("n"), F.max(F.date_diff(F.col("o_orderdate").cast("date"), F.lit("1990-01-01").cast("date"))).cast("long").alias("last_day"))
 
 
-@query("op_math_and_bit_functions", "SELECT o_orderkey AS k, bit_count(o_orderkey)::INTEGER AS ones, (o_orderkey >> 3)::BIGINT AS eighth, ((o_orderkey >> 1) & 1)::INTEGER AS bit1, round(exp(-o_orderkey / 1000.0), 9) AS e, round(ln(1 + o_orderkey), 9) AS l FROM orders WHERE o_orderkey <= 500")
+@query("op_math_and_bit_functions", "SELECT o_orderkey AS k, bit_count(o_orderkey)::INTEGER AS ones, (o_orderkey >> 3)::BIGINT AS eighth, ((o_orderkey >> 1) & 1)::INTEGER AS bit1, round(exp(-o_orderkey / 1000.0), 9) AS e, round(ln(1 + o_orderkey), 9) AS l FROM orders")
 def op_math(spark: SparkSession, d: str) -> DataFrame:
     k = F.col("o_orderkey")
-    return read_table(spark, d, "orders").where("o_orderkey <= 500").select(k.alias("k"), F.bit_count(k).alias("ones"), F.shiftright(k, 3).alias("eighth"), F.getbit(k, F.lit(1)).cast("int").alias("bit1"), F.round(F.exp(-k / 1000.0), 9).alias("e"), F.round(F.log1p(k), 9).alias("l"))
+    return read_table(spark, d, "orders").select(k.alias("k"), F.bit_count(k).alias("ones"), F.shiftright(k, 3).alias("eighth"), F.getbit(k, F.lit(1)).cast("int").alias("bit1"), F.round(F.exp(-k / 1000.0), 9).alias("e"), F.round(F.log1p(k), 9).alias("l"))
 
 
-@query("op_array_functions", "SELECT vec_id, len(embedding) AS n, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 6) AS squares FROM embeddings WHERE vec_id < 100")
+@query("op_array_functions", "SELECT vec_id, len(embedding) AS n, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 6) AS squares FROM embeddings")
 def op_arrays(spark: SparkSession, d: str) -> DataFrame:
     squares = F.aggregate(F.transform("embedding", lambda x: x.cast("double") * x.cast("double")), F.lit(0.0), lambda a, x: a + x)
-    return read_table(spark, d, "embeddings").where("vec_id < 100").select("vec_id", F.size("embedding").cast("long").alias("n"), F.round(squares, 6).alias("squares"))
+    return read_table(spark, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.round(squares, 6).alias("squares"))
 
 
 @query("op_array_items", "SELECT count(DISTINCT embedding) AS n, count(DISTINCT embedding) AS n_exact FROM embeddings")
@@ -348,10 +348,10 @@ def op_udaf_noisy(spark: SparkSession, d: str) -> DataFrame:
     return cardinality(levels, WIDE, f.p, f.q).select("g", F.round("n_hat", 2).alias("n_hat"), "status")
 
 
-@query("op_udtf_sketch_cells", f"SELECT g, cell // 16 AS bucket, (cell % 16 + 1)::INTEGER AS level FROM ({_CELLS}) WHERE g = '1-URGENT'")
+@query("op_udtf_sketch_cells", f"SELECT g, cell // 16 AS bucket, (cell % 16 + 1)::INTEGER AS level FROM ({_CELLS})")
 def op_udtf(spark: SparkSession, d: str) -> DataFrame:
     """Bitmaps to (bucket, level) rows by a table function."""
-    bitmaps = packed(order_items(spark, d).where("g = '1-URGENT'"), F.col("item"), SMALL, ["g"])
+    bitmaps = packed(order_items(spark, d), F.col("item"), SMALL, ["g"])
     return arrow.cells_by_table_function(spark, bitmaps, SMALL)
 
 

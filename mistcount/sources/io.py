@@ -62,12 +62,15 @@ def spent(ledger: DataFrame, by: str = "scope") -> DataFrame:
     return ledger.groupBy(by).agg(F.sum("eps").alias("eps_spent"), F.count("*").alias("releases"))
 
 
-def latest(ledger: DataFrame, at: DataFrame, key: str = "scope", time: str = "at") -> DataFrame:
-    """For each (key, time) the last ledger entry at or before it: both sides in one order, no range join."""
-    a = at.select(key, F.col(time).alias("t"), F.lit(1).alias("asks"), F.lit(None).cast("string").alias("release_id"))
+def latest(ledger: DataFrame, at: DataFrame, key: str = "scope", time: str = "at", keep: list[str] | None = None) -> DataFrame:
+    """For each row of `at` (key, time, keep) the last ledger entry at or before it, ties to the larger release_id:
+    both sides in one order by key, no range join. Keys are users or scopes, so a window holds one such's entries."""
+    keep = keep or []
+    a = at.select(key, F.col(time).alias("t"), F.lit(1).alias("asks"), F.lit(None).cast("string").alias("release_id"), *keep)
     b = ledger.select(key, F.col("released_at").alias("t"), F.lit(0).alias("asks"), "release_id")
-    w = Window.partitionBy(key).orderBy("t", "asks").rowsBetween(Window.unboundedPreceding, 0)
-    return a.unionByName(b).withColumn("last", F.last("release_id", ignorenulls=True).over(w)).where("asks = 1").select(key, F.col("t").alias(time), F.col("last").alias("release_id"))
+    w = Window.partitionBy(key).orderBy("t", "asks", "release_id").rowsBetween(Window.unboundedPreceding, 0)
+    both = a.unionByName(b, allowMissingColumns=True).withColumn("last", F.last("release_id", ignorenulls=True).over(w))
+    return both.where("asks = 1").select(key, F.col("t").alias(time), *keep, F.col("last").alias("release_id"))
 
 
 def describe(layout: Layout) -> str:
