@@ -21,7 +21,7 @@ def by_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates stays."""
-    return jaccard.one_of_each(docs, NEAR_PERCENT, NEAR_WORDS)
+    return jaccard.one_of_each(docs, NEAR_PERCENT, NEAR_WORDS, bands=True)
 
 
 def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -10,6 +10,11 @@ segments are shuffled. A task hands on one row for each segment hash it has seen
 nodes of it to the first at once, so a segment that many documents share is no hot key. The links form
 blocks of sets that may be similar.
 
+At lower similarities segments get so short that a common line fills some, and blocks grow. `bands` is
+the other way to find who may link: hashes of BAND_ROWS least values of the set under random orders, BANDS
+of them. Two sets of similarity t miss each other with chance (1 - t^BAND_ROWS)^BANDS, at 0.8 less than
+4e-9 a pair, so it is for uses that can bear that; what is found is decided exactly in either case.
+
 Deciding who links. Within a block shingles are ordered by the number of its sets that hold them, then
 by hash; sets that share too few with any other are done. The rest are put into a prefix tree, one after
 the other. Each first looks for partners by walking down the tree: the overlap with a shared prefix is found once for all
@@ -36,15 +41,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches, mixed, partitions, table, text_bytes, written
+from .common import batches, mixed, partitions, table, text_bytes, wrapped, written
 
 SHINGLE, PERCENT = 3, 90
-#: Ratio of the largest to the smallest set of a size class.
-CLASS_RATIO = 1.3
+#: Ratio of the largest to the smallest set of a size class: about the best between emptier segments and more
+#: sets that belong to two classes.
+CLASS_RATIO = 1.5
+BANDS, BAND_ROWS = 64, 6
+_ORDERS = np.random.default_rng(20240229).integers(1, 1 << 32, (2, BANDS * BAND_ROWS), dtype=np.uint32)
 #: Sets of one block that one task compares, and shingles in them.
 BLOCK, BLOCK_SHINGLES = 4000, 2_000_000
-#: Segment rows that a task holds before it hands them on; words that a worker remembers.
-FLUSH, MEMORY = 2_000_000, 400_000
+#: Rows that a task holds before it hands them on; words that a worker remembers.
+FLUSH, MEMORY = 1_000_000, 150_000
 
 
 class WordHashes:
@@ -144,13 +152,33 @@ def segment_rows(s: np.ndarray, percent: int) -> np.ndarray:
     return np.concatenate(out)
 
 
-ROWS = "key long, kind int, a long, b long, n int"
-SEGMENT, LINK, MEMBER = 0, 1, 2
+def band_rows(s: np.ndarray) -> np.ndarray:
+    """Hashes of a set's bands."""
+    flips, factors = _ORDERS[0][:, None], (_ORDERS[1] | np.uint32(1))[:, None]
+    short = (s >> np.uint64(32)).astype(np.uint32)
+    least = np.full(BANDS * BAND_ROWS, 0xFFFFFFFF, np.uint32)
+    for at in range(0, len(short), 512):  # some shingles at a time, in the processor's cache
+        least = np.minimum(least, ((short[None, at : at + 512] ^ flips) * factors).min(axis=1))
+    rows, out = least.reshape(BANDS, BAND_ROWS).astype(np.uint64), np.arange(1, BANDS + 1, dtype=np.uint64)
+    for j in range(BAND_ROWS):
+        out = mixed(out + rows[:, j])
+    return out
+
+
+#: n tells the rows apart: of a segment, of a link between nodes a and b, and (0 or more) of a document b with
+#: so many shingles. Few and narrow columns, as there is a row for each segment.
+ROWS = "key long, a long, b long, n int"
+SEGMENT, LINK = -1, -2
 
 
-def _rows(key, kind: int, a, b=None, n=None) -> pa.RecordBatch:
+def _rows(key, a, n, b=None) -> pa.RecordBatch:
     size = len(a)
-    return pa.record_batch([pa.array(key, pa.int64()), pa.array(np.full(size, kind, np.int32)), pa.array(a, pa.int64()), pa.nulls(size, pa.int64()) if b is None else pa.array(b, pa.int64()), pa.nulls(size, pa.int32()) if n is None else pa.array(n, pa.int32())], names=["key", "kind", "a", "b", "n"])
+    n = np.full(size, n, np.int32) if isinstance(n, int) else n
+    return pa.record_batch([pa.array(key, pa.int64()), pa.array(a, pa.int64()), pa.nulls(size, pa.int64()) if b is None else pa.array(b, pa.int64()), pa.array(n, pa.int32())], names=["key", "a", "b", "n"])
+
+
+def _deal(nodes: np.ndarray) -> np.ndarray:
+    return mixed(nodes.view(np.uint64)).view(np.int64)
 
 
 def _firsts(keys: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -165,8 +193,8 @@ def _firsts(keys: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return keys[new], nodes[new], links[0], links[1]
 
 
-def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str) -> DataFrame:
-    """Rows of kind MEMBER (node a, doc_id b, n shingles) and LINK (nodes a and b that share a segment)."""
+def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str, bands: bool = False) -> DataFrame:
+    """Rows of documents (node a, doc_id b, n shingles) and of links (nodes a and b that share a segment or band)."""
 
     def segments(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes, keys, nodes, size = WordHashes(), [], [], 0
@@ -175,18 +203,19 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str) ->
             k, v = np.concatenate(keys).view(np.int64), np.concatenate(nodes)
             order = np.lexsort((v, k))
             k, v, a, b = _firsts(k[order], v[order])
-            yield _rows(k, SEGMENT, v)
+            del order
+            for at in range(0, len(k), 100_000):
+                yield _rows(k[at : at + 100_000], v[at : at + 100_000], SEGMENT)
             if len(a):
-                yield _rows(mixed(a.view(np.uint64)).view(np.int64), LINK, a, b)
+                yield _rows(_deal(a), a, LINK, b)
 
         for batch in batches(rows, 256):
             sets = shingle_sets(text_bytes(batch.column("text")), hashes, k)
             names = np.array([set_id(s) for s in sets], np.int64)
-            sizes = np.array(list(map(len, sets)), np.int32)
-            yield _rows(mixed(names.view(np.uint64)).view(np.int64), MEMBER, names, batch.column("doc_id"), sizes)
+            yield _rows(_deal(names), names, np.array(list(map(len, sets)), np.int32), batch.column("doc_id"))
             for i, s in enumerate(sets):
                 if len(s) and batch.column("doc_id")[i].is_valid:
-                    keys.append(segment_rows(s, percent))
+                    keys.append(band_rows(s) if bands else segment_rows(s, percent))
                     nodes.append(np.full(len(keys[-1]), names[i]))
                     size += len(keys[-1])
             if size >= FLUSH:
@@ -196,12 +225,12 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str) ->
             yield from flush()
 
     def meet(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_key, head = None, None  # of the rows before
+        last_key, head = None, None  # of the segments before
         for batch in rows:
-            kind = batch.column("kind").to_numpy()
-            if (kind != SEGMENT).any():
-                yield batch.filter(pa.array(kind != SEGMENT))
-            k, v = (batch.column(c).to_numpy()[kind == SEGMENT] for c in ("key", "a"))
+            segment = batch.column("n").to_numpy() == SEGMENT
+            if not segment.all():
+                yield batch.filter(pa.array(~segment))
+            k, v = (batch.column(c).to_numpy()[segment] for c in ("key", "a"))
             if not len(k):
                 continue
             if k[0] == last_key:
@@ -210,12 +239,11 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str) ->
             last_key, head = k[-1], v[np.flatnonzero(new)[-1]]
             _, _, a, b = _firsts(k, v)
             if len(a):
-                yield _rows(mixed(a.view(np.uint64)).view(np.int64), LINK, a, b)
+                yield _rows(_deal(a), a, LINK, b)
 
-    spark = docs.sparkSession
     narrow = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    dealt = narrow.mapInArrow(segments, ROWS).repartition(partitions(spark), "key").sortWithinPartitions("key", "kind", "a")
-    return written(dealt.mapInArrow(meet, ROWS), "links")
+    dealt = narrow.mapInArrow(segments, ROWS).repartition(partitions(docs.sparkSession), "key").sortWithinPartitions("key", "a")
+    return written(dealt.mapInArrow(meet, ROWS).drop("key"), "links")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -388,17 +416,17 @@ def _sets(k: int):
     return rows
 
 
-def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
     """doc_id, n_shingles, component_id of every row: the least doc_id of its group."""
     spark = docs.sparkSession
-    met = candidates(docs, percent, k, doc_id, text)
-    members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("node"), F.col("b").alias("doc_id"), "n")
+    met = candidates(docs, percent, k, doc_id, text, bands)
+    members = met.where("n >= 0").select(F.col("a").alias("node"), F.col("b").alias("doc_id"), "n")
     named = members.where("n > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("first"), F.first("n").alias("n"))
-    blocks = components(met.where(F.col("kind") == LINK).select("a", "b").distinct())
+    blocks = components(met.where(F.col("n") == LINK).select("a", "b").distinct())
     sizes = blocks.join(named, "node").groupBy("label").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("parts"))
-    # one document for each set of a block, whose text is read again
+    # one document for each set of a block, whose text is read again; never by broadcast, as blocks grow with the corpus
     wanted = written(blocks.join(sizes, "label").join(named, "node").select(F.col("first").alias("_doc"), "node", F.col("label").alias("block"), "parts"), "blocks")
-    texts = docs.select(F.col(doc_id).cast("long").alias("_doc"), F.col(text).alias("text")).join(wanted, "_doc").select("block", "parts", "node", "text")
+    texts = docs.select(F.col(doc_id).cast("long").alias("_doc"), F.col(text).alias("text")).join(wanted.hint("merge"), "_doc").select("block", "parts", "node", "text")
     sets = texts.mapInArrow(_sets(k), "block long, parts int, node long, s binary, n int")
     # a block of several parts is compared part by part: set i goes to the tasks of all pairs with its part
     mine = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
@@ -414,12 +442,13 @@ def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: st
     return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
     """The rows of docs that are the first of their group, with the columns of docs; of rows that repeat that
     doc_id one stays. Rows with a null doc_id stay."""
-    first = groups(docs, percent, k, doc_id, text).where("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
-    kept = docs.join(first, F.col(doc_id).cast("long") == F.col("_first"), "left_semi")
-    return kept.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
+    first = groups(docs, percent, k, doc_id, text, bands).where("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
+    rows = wrapped(docs).withColumn("_id", F.col(f"row.{doc_id}").cast("long"))
+    kept = rows.join(first, F.col("_id") == F.col("_first"), "left_semi").dropDuplicates(["_id"])
+    return kept.unionByName(rows.where("_id is null")).select("row.*")
 
 
 def op9_jaccard_join(spark, sf_dir: str) -> DataFrame:

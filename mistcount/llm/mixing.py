@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import table, word_count
+from .common import table, word_count, wrapped, written
 
 #: Documents of a source that one window task adds up, about.
 SLICE = 2000
@@ -61,7 +61,8 @@ def targets(sources: DataFrame, repeats: int = REPEATS, weights: tuple[int, ...]
 def mix(docs: DataFrame, size: Column, key: str = "doc_id", source: str = "source", repeats: int = REPEATS) -> DataFrame:
     """docs with size, source_size, target, `before` (the queue before the document) and taken."""
     sized = docs.withColumn("size", size).withColumn("_u", shuffle_key(F.col(key)))
-    narrow = docs.select(F.col(source).alias("source"), size.alias("size"), shuffle_key(F.col(key)).alias("_u"))
+    # sizes are narrow, so they are written once for the steps that add them up
+    narrow = written(docs.select(F.col(source).alias("source"), size.alias("size"), shuffle_key(F.col(key)).alias("_u")), "sizes")
     sums = targets(narrow.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs")), repeats)
     # bits of the shuffle key that cut a source's order into slices of about SLICE documents
     bits = F.greatest(F.lit(0), F.least(F.lit(HEX_BITS), F.ceil(F.log2(F.col("n_docs") / SLICE)))).cast("int")
@@ -86,15 +87,18 @@ def mix(docs: DataFrame, size: Column, key: str = "doc_id", source: str = "sourc
 def mixed_documents(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", repeats: int = REPEATS) -> DataFrame:
     """The mix itself, range-sorted by virtual finish time: a row for each time that a document is taken, its
     text cut after the word where the line falls. Columns of docs."""
-    rows = mix(docs.withColumn("_size", word_count(F.col(text))), F.col("_size"), key, source, repeats)
+    row = wrapped(docs)
+    row_key, row_text = f"row.{key}", F.col(f"row.{text}")
+    rows = mix(row.withColumn("_size", word_count(row_text)), F.col("_size"), row_key, f"row.{source}", repeats)
     each = rows.withColumn("_e", F.explode(F.sequence(F.lit(0), F.lit(repeats - 1))))
     words = F.greatest(F.lit(0), F.least(F.col("_size"), F.floor(F.col("target") + 1e-6) - F.col("_e") * F.col("source_size") - F.col("before")))
     each = each.withColumn("_n", words).where("_n > 0")
-    runs = F.regexp_extract_all(F.col(text), F.lit(r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"), F.lit(0))
+    runs = F.regexp_extract_all(row_text, F.lit(r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"), F.lit(0))
     cut = F.array_join(F.slice(runs, F.lit(1), F.col("_n").cast("int")), "")
-    shown = F.when(F.col("_n") < F.col("_size"), cut).otherwise(F.col(text))
+    shown = F.when(F.col("_n") < F.col("_size"), cut).otherwise(row_text)
     finish = (F.col("_e") * F.col("source_size") + F.col("before") + F.col("_n")) / F.col("target")
-    return each.withColumn(text, shown).withColumn("_finish", finish).repartitionByRange("_finish", "_e").sortWithinPartitions("_finish", key).select(docs.columns)
+    timed = each.select(F.col("row").withField(text, shown).alias("row"), finish.alias("_finish"), "_e")
+    return timed.repartitionByRange("_finish", "_e").sortWithinPartitions("_finish", row_key).select("row.*")
 
 
 def op7_mixing(spark, sf_dir: str) -> DataFrame:

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import BLANKS, table, text_bytes, written
+from .common import BLANKS, table, text_bytes, tidy, wrapped, written
 
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, REPEAT_PERCENT = 50, 50
@@ -78,6 +78,7 @@ def _stats(rows: Iterator[pa.Array]) -> Iterator[pa.Array]:
                 for column, x in zip(columns, stats_of(raw), strict=True):
                     column.append(x)
         yield pa.StructArray.from_arrays([pa.array(c, pa.int64()) for c in columns], names=STATS.names)
+    tidy()
 
 
 def text_stats(text: Column) -> Column:
@@ -137,7 +138,7 @@ def judge(docs: DataFrame, text: str = "text", host: str = "source") -> DataFram
 
 def quality_filter(docs: DataFrame, text: str = "text", host: str = "source") -> DataFrame:
     """The documents that the rules keep, with the columns of docs."""
-    return judge(docs, text, host).where("kept").select(docs.columns)
+    return judge(wrapped(docs), f"row.{text}", f"row.{host}").where("kept").select("row.*")
 
 
 def op2_quality_rules(spark, sf_dir: str) -> DataFrame:

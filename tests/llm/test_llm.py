@@ -343,12 +343,12 @@ def near_copies():
     return out
 
 
-@pytest.mark.parametrize(("k", "percent", "block"), [(3, 90, 4000), (5, 80, 4000), (3, 90, 3)])
-def test_groups_of_near_copies(spark, monkeypatch, k, percent, block):
+@pytest.mark.parametrize(("k", "percent", "block", "bands"), [(3, 90, 4000, False), (5, 80, 4000, False), (3, 90, 3, False), (5, 80, 4000, True)])
+def test_groups_of_near_copies(spark, monkeypatch, k, percent, block, bands):
     monkeypatch.setattr(jaccard, "BLOCK", block)
     cases = {**{5000 + i: t for i, t in enumerate(CASES)}, **near_copies()}
     df = spark.createDataFrame(list(cases.items()), "doc_id long, text string").repartition(3)
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.groups(df, percent, k).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.groups(df, percent, k, bands=bands).collect()}
     assert got == brute_groups(cases, k, percent)
 
 
@@ -409,6 +409,20 @@ def test_cuts_are_the_cheapest():
     assert packing.rest_cuts(1024) == [1024] and sum(np.diff([0, *packing.rest_cuts(1025)])) == 1025
 
 
+CLASHING = ["size", "th", "_stats", "target", "taken", "before", "_u", "_host", "h", "_first", "_id", "node", "out", "kept", "_out", "_t"]
+
+
+def test_columns_of_any_name_pass_the_stages(spark, docs):
+    import corpus_pipeline
+
+    rows = docs.drop("size").withColumns({c: F.concat(F.lit(f"{c}-"), F.col("doc_id").cast("string")) for c in CLASHING})
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        rows = stage(spark, rows, "")
+        for r in rows.collect():
+            assert all(r[c] == f"{c}-{r['doc_id']}" for c in CLASHING)
+    assert corpus_pipeline.STAGES[-1][1](spark, rows, "").count() > 0
+
+
 def test_pipeline_stages(spark, docs, empty):
     import corpus_pipeline
 
