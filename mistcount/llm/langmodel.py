@@ -30,17 +30,17 @@ from pyspark.sql import functions as F
 
 from .common import batches, mixed, table, text_bytes, written
 
-FILTER_BITS = 1 << 29
+FILTER_BITS = 1 << 28
 SLICES = 1 << 10
 SLICE_BITS = FILTER_BITS // SLICES
-PROBES = 3
+PROBES = 2
 LEVELS = 40
 #: Words whose exact counts are broadcast: 16 bytes each.
-HEAD = 1_000_000
+HEAD = 400_000
 #: Weight of the single word's probability, in counts.
 PRIOR = 50.0
 #: Tokens that a task counts before it hands them on; words that a worker remembers.
-FLUSH, MEMORY = 3_000_000, 400_000
+FLUSH, MEMORY = 2_000_000, 250_000
 #: The end token: no UTF-8 text holds this byte.
 END = b"\xff"
 
@@ -211,6 +211,20 @@ def _cells(least: int, most: int):
     return rows
 
 
+def _frequent(least: int):
+    """The model's rows of words, with only those of this count at least."""
+
+    def rows(batches_: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches(batches_, 8):
+            out = []
+            for h, n in zip(batch.column("hashes").to_pylist(), batch.column("counts").to_pylist(), strict=True):
+                take = np.frombuffer(n, "<i8") >= least
+                out.append((np.frombuffer(h, "<u8")[take].tobytes(), np.frombuffer(n, "<i8")[take].tobytes()))
+            yield pa.record_batch([pa.array([h for h, _ in out], pa.binary()), pa.array([n for _, n in out], pa.binary())], names=["hashes", "counts"])
+
+    return rows
+
+
 def score(docs: DataFrame, model: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs."""
     spark = docs.sparkSession
@@ -220,14 +234,18 @@ def score(docs: DataFrame, model: DataFrame, doc_id: str = "doc_id", text: str =
     sums = [r["x"] or 0 for r in words.select(F.posexplode("levels").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("x")).orderBy("i").collect()]
     first = next((i for i in range(len(sums)) if sum(sums[i:]) <= HEAD), 0)
     least = 1 << first
-    head = words.mapInArrow(_cells(least, 1 << 62), "h long, c long").toPandas()  # HEAD rows at most
-    order = np.argsort(head["h"].to_numpy(np.int64).view(np.uint64))
-    head_h, head_c = head["h"].to_numpy(np.int64).view(np.uint64)[order], head["c"].to_numpy(np.int64)[order]
+    # as packed arrays, slice by slice: HEAD words at most
+    packed = list(words.select("hashes", "counts").mapInArrow(_frequent(least), "hashes binary, counts binary").toLocalIterator())
+    head_h = np.frombuffer(b"".join(r["hashes"] for r in packed), "<u8")
+    order = np.argsort(head_h)
+    head_h, head_c = head_h[order], np.frombuffer(b"".join(r["counts"] for r in packed), "<i8")[order]
+    del packed, order
     bits = np.zeros(FILTER_BITS // 8, np.uint8)
     for r in model.where("kind = 1").select("slice", "bits").toLocalIterator():
         at = r["slice"] * (SLICE_BITS // 8)
         bits[at : at + SLICE_BITS // 8] = np.frombuffer(r["bits"], np.uint8)
     shared = spark.sparkContext.broadcast((head_h, head_c, bits))
+    del head_h, head_c, bits
     whole = first == 0  # then a word outside the head is in no training text
 
     def scored(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
