@@ -40,6 +40,9 @@ SENTENCES = (
     ("mpl", "this source code form is subject to the terms of the mozilla public license"),
     ("unlicense", "this is free and unencumbered software released into the public domain"),
 )
+#: The label of a text's end: two empty words follow the last one, so its place is the number of words, and
+#: every text has a hit.
+END = "#"
 #: Diagonals at most so far apart are one span; votes that a diagonal needs to be merged.
 DRIFT, VOTES = 3, 2
 #: Share of a template's places that a span must hit, and its greatest length by the template's.
@@ -56,6 +59,7 @@ def templates(spark: SparkSession) -> DataFrame:
         for label, phrase in group:
             words = phrase.split()
             rows += [(base, label, len(words) - 1, p, words[p], words[p + 1]) for p in range(len(words) - 1)]
+    rows.append((True, END, 1, 0, "", ""))
     return spark.createDataFrame(rows, "base boolean, label string, places int, p int, t0 string, t1 string").withColumn("h", F.xxhash64("t0", "t1"))
 
 
@@ -65,14 +69,14 @@ def _small(word: Column) -> Column:
 
 
 def hits(docs: DataFrame, key: list[str], text: str) -> DataFrame:
-    """key, template, diagonal, the mask of the template's places that are hit, and the first and last word."""
-    words = F.regexp_extract_all(F.coalesce(F.col(text), F.lit("")), F.lit(WORD), F.lit(0))
-    pairs = docs.select(*key, words.alias("_w")).where(F.size("_w") > 1).select(*key, F.posexplode(F.arrays_zip(F.col("_w").alias("a"), F.slice("_w", F.lit(2), F.size("_w")).alias("b"))).alias("i", "pair"))
+    """key, template, diagonal, the mask of the template's places that are hit, the first and last word, and the hits."""
+    words = F.concat(F.regexp_extract_all(F.coalesce(F.col(text), F.lit("")), F.lit(WORD), F.lit(0)), F.array(F.lit(""), F.lit("")))
+    pairs = docs.select(*key, words.alias("_w")).select(*key, F.posexplode(F.arrays_zip(F.col("_w").alias("a"), F.slice("_w", F.lit(2), F.size("_w")).alias("b"))).alias("i", "pair"))
     # lower() may change letters beyond ASCII too, so it only makes the hash; the words are compared with A-Z lowered
     grams = pairs.where(F.col("pair.b").isNotNull()).select(*key, "i", F.col("pair.a").alias("w0"), F.col("pair.b").alias("w1"), F.xxhash64(F.lower("pair.a"), F.lower("pair.b")).alias("h"))
     found = grams.join(F.broadcast(templates(docs.sparkSession)), "h").where((_small(F.col("w0")) == F.col("t0")) & (_small(F.col("w1")) == F.col("t1")))
     # masks make repeated rows count once
-    return found.groupBy(*key, "base", "label", "places", (F.col("i") - F.col("p")).alias("diagonal")).agg(F.bit_or(F.expr("shiftleft(1L, p)")).alias("mask"), F.min("i").alias("first"), (F.max("i") + 1).alias("last"))
+    return found.groupBy(*key, "base", "label", "places", (F.col("i") - F.col("p")).alias("diagonal")).agg(F.bit_or(F.expr("shiftleft(1L, p)")).alias("mask"), F.min("i").alias("first"), (F.max("i") + 1).alias("last"), F.count("*").alias("rows"))
 
 
 def spans(votes: DataFrame, key: list[str]) -> DataFrame:
@@ -82,23 +86,25 @@ def spans(votes: DataFrame, key: list[str]) -> DataFrame:
     line = Window.partitionBy(*key, "base", "label").orderBy("diagonal")
     apart = F.col("base") | (F.col("diagonal") - F.lag("diagonal").over(line) > DRIFT)  # phrases are never merged
     near = fit.withColumn("_new", F.coalesce(apart, F.lit(True)).cast("int")).withColumn("_span", F.sum("_new").over(line))
-    merged = near.groupBy(*key, "base", "label", "places", "_span").agg(F.bit_or("mask").alias("mask"), F.min("first").alias("first"), F.max("last").alias("last"))
+    merged = near.groupBy(*key, "base", "label", "places", "_span").agg(F.bit_or("mask").alias("mask"), F.min("first").alias("first"), F.max("last").alias("last"), F.max("rows").alias("rows"))
     held = F.col("base") | ((share >= COVER) & (F.col("last") - F.col("first") + 1 <= STRETCH * (F.col("places") + 1)))
-    return merged.where(held).select(*key, "base", "label", "first", "last", share.alias("share"))
+    return merged.where(held).select(*key, "base", "label", "first", "last", "rows", share.alias("share"))
 
 
 def scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row for each row of docs: words, base places, their first and last word, labels, score."""
     keyed = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(text).alias("_h"), F.col(text).alias("_text"))
     key = ["doc_id", "_h"]
-    base = F.col("base")
+    end, label = F.col("label") == END, F.col("label")
+    base, named = F.col("base") & ~end, F.when(~end, label)
     by_doc = spans(hits(keyed, key, "_text"), key).groupBy(*key).agg(
-        F.sum(base.cast("long")).alias("n_base"), F.min(F.when(base, F.col("first"))).cast("long").alias("first_word"), F.max(F.when(base, F.col("first"))).cast("long").alias("last_word"),
-        F.array_join(F.array_sort(F.collect_set(F.when(base, F.col("label")))), ",").alias("base_labels"), F.array_join(F.array_sort(F.collect_set("label")), ",").alias("labels"), F.max("share").alias("score"),
-    ).withColumnsRenamed({"doc_id": "_id", "_h": "_k"})
-    rows = keyed.select(*key, F.coalesce(F.regexp_count("_text", F.lit(WORD)), F.lit(0)).cast("long").alias("n_words"))
-    joined = rows.join(by_doc, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("_k")), "left")
-    return joined.select("doc_id", "n_words", F.coalesce("n_base", F.lit(0)).cast("long").alias("n_base"), "first_word", "last_word", F.coalesce("base_labels", F.lit("")).alias("base_labels"), F.coalesce("labels", F.lit("")).alias("labels"), F.coalesce("score", F.lit(0.0)).alias("score"))
+        F.max(F.when(end, F.col("first"))).cast("long").alias("n_words"), F.max(F.when(end, F.col("rows"))).alias("rows"), F.sum(base.cast("long")).alias("n_base"),
+        F.min(F.when(base, F.col("first"))).cast("long").alias("first_word"), F.max(F.when(base, F.col("first"))).cast("long").alias("last_word"),
+        F.array_join(F.array_sort(F.collect_set(F.when(base, label))), ",").alias("base_labels"), F.array_join(F.array_sort(F.collect_set(named)), ",").alias("labels"),
+        F.coalesce(F.max(F.when(~end, F.col("share"))), F.lit(0.0)).alias("score"),
+    )
+    # a row for each row of docs: the end was hit once in each
+    return by_doc.withColumn("_row", F.explode(F.sequence(F.lit(1), F.col("rows")))).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
 
 
 def op3_license_scan(spark, sf_dir: str) -> DataFrame:
