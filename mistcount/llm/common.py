@@ -30,10 +30,23 @@ def shared_folder(spark: SparkSession) -> str:
     return where
 
 
+_WRITTEN: dict[str, list[str]] = {}
+
+
+def clean(spark: SparkSession) -> int:
+    """Deletes the tables that this application has written so far; to be called when no result needs them any more."""
+    jvm, paths = spark.sparkContext._jvm, _WRITTEN.pop(spark.sparkContext.applicationId, [])
+    for path in paths:
+        p = jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    return len(paths)
+
+
 def written(df: DataFrame, what: str, codec: str = "zstd") -> DataFrame:
     """The rows of df, written once as a table in the shared folder and read back: lineage ends there."""
     spark = df.sparkSession
     path = f"{shared_folder(spark).rstrip('/')}/mistcount-{what}-{uuid.uuid4().hex}"
+    _WRITTEN.setdefault(spark.sparkContext.applicationId, []).append(path)
     df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

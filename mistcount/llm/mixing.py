@@ -77,7 +77,7 @@ def mix(docs: DataFrame, size: Column, key: str = "doc_id", source: str = "sourc
     slices = slices.withColumn("_offset", F.coalesce(F.sum("_sum").over(order), F.lit(0))).drop("_sum")
     named = sized.withColumn("_source", F.coalesce(F.concat(F.lit("="), F.col(source)), F.lit("null")))
     joined = named.join(hint(plan), "_source").withColumn("_slice", at).join(slices, ["_source", "_slice"])
-    inside = Window.partitionBy("_source", "_slice").orderBy("_u", key).rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("_source", "_slice").orderBy("_u", key, "size").rowsBetween(Window.unboundedPreceding, -1)
     queued = joined.withColumn("before", F.col("_offset") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
     line = F.floor(F.col("target") + 1e-6)
     taken = sum((F.greatest(F.lit(0), F.least(F.col("size"), line - e * F.col("source_size") - F.col("before"))) for e in range(repeats)), F.lit(0))
@@ -121,7 +121,7 @@ WITH d AS (
 ), t AS (
   SELECT source, cap1, round(CASE WHEN cap <= level * w THEN cap ELSE least(cap, w * max(CASE WHEN cap > level * w THEN level END) OVER ()) END, 6) AS target FROM l
 ), q AS (
-  SELECT doc_id, size, cap1, target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY u, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
+  SELECT doc_id, size, cap1, target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY u, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
   FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
 )
 SELECT doc_id, size, CAST(cap1 AS BIGINT) AS source_size, target,

@@ -49,14 +49,16 @@ def _scored(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[tuple[np.nda
 
 def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     """Columns of the k highest distinct ids of a row of scores, ties to smaller ids; -inf doesn't count."""
+    def of(keep: np.ndarray) -> np.ndarray:
+        keep = keep[np.lexsort((ids[keep], -scores[keep]))]
+        _, first = np.unique(ids[keep], return_index=True)
+        return keep[np.sort(first)[:k]]
+
     if len(scores) > 4 * k:
         floor = np.partition(scores, len(scores) - k)[len(scores) - k]
-        keep = np.flatnonzero((scores >= floor) & (scores > -np.inf))
-    else:
-        keep = np.flatnonzero(scores > -np.inf)
-    keep = keep[np.lexsort((ids[keep], -scores[keep]))]
-    _, first = np.unique(ids[keep], return_index=True)
-    return keep[np.sort(first)[:k]]
+        if floor > -np.inf and len(found := of(np.flatnonzero(scores >= floor))) == k:
+            return found  # else rows of one id have crowded out others
+    return of(np.flatnonzero(scores > -np.inf))
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, lists: int = LISTS) -> DataFrame:

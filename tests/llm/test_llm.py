@@ -88,7 +88,7 @@ def test_token_counts(docs, empty):
 def test_top_k_with_ties_repeats_and_bad_vectors(spark):
     r = random.Random(3)
     rows = [(i, [float(r.randrange(-3, 4)) for _ in range(6)]) for i in range(120)]
-    rows += [(200 + i, [1.0] * 6) for i in range(40)] + [(5, rows[5][1]), (300, None), (301, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (302, [math.inf] * 6), (None, [1.0] * 6), (303, [1.0])]
+    rows += [(200 + i, [1.0] * 6) for i in range(40)] + [(5, rows[5][1]), (300, None), (301, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (302, [math.inf] * 6), (None, [1.0] * 6), (303, [1.0])] + [(250, [3.0] * 6)] * 30
     df = spark.createDataFrame(rows, "vec_id long, vec array<double>").repartition(5)
     got = defaultdict(list)
     for x in topk.top_k(df, df.where("vec_id % 10 = 0")).orderBy("query_id", "rank").collect():
@@ -432,3 +432,11 @@ def test_pipeline_stages(spark, docs, empty):
             rows = common.written(stage(spark, rows, ""), name)
             assert rows.columns == docs.columns
         assert corpus_pipeline.STAGES[-1][1](spark, rows, "").count() == (0 if start is empty else pytest.approx(rows.count(), abs=40))
+
+
+def test_written_tables_can_be_deleted(spark):
+    df = common.written(spark.range(3).toDF("x"), "t")
+    path = df.inputFiles()[0]
+    assert common.clean(spark) > 0 and common.clean(spark) == 0
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        spark.read.parquet(path).count()
