@@ -18,8 +18,8 @@ of them. Two sets of similarity t miss each other with chance (1 - t^BAND_ROWS)^
 Deciding who links. Within a block shingles are ordered by the number of its sets that hold them, then
 by hash; sets that share too few with any other are done. The rest are put into a prefix tree, one after
 the other. Each first looks for partners by walking down the tree: the overlap with a shared prefix is found once for all
-sets below it, and a subtree is left when the most that can still overlap is less than its sets need, or
-when all its sets belong to the walker's group already. Every similarity is decided on the sets.
+sets below it, and a subtree is left when the most that can still overlap is less than its sets need, when
+all its sets belong to the walker's group already, or when none of them shares one of its rarest shingles. Every similarity is decided on the sets.
 A block of more than BLOCK sets is dealt into parts, and each pair of parts is one task.
 
 Blocks and groups are connected components, found by passing on least labels along tables in the
@@ -50,7 +50,9 @@ CLASS_RATIO = 1.5
 BANDS, BAND_ROWS = 64, 6
 _ORDERS = np.random.default_rng(20240229).integers(1, 1 << 32, (2, BANDS * BAND_ROWS), dtype=np.uint32)
 #: Sets of one block that one task compares, and shingles in them.
-BLOCK, BLOCK_SHINGLES = 4000, 2_000_000
+BLOCK, BLOCK_SHINGLES = 2000, 1_000_000
+#: Links up to which one task finds the components.
+ONE_TASK = 500_000
 #: Rows that a task holds before it hands them on; words that a worker remembers.
 FLUSH, MEMORY = 1_000_000, 150_000
 
@@ -246,15 +248,36 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str, ba
     return written(dealt.mapInArrow(meet, ROWS).drop("key"), "links")
 
 
+def _join_all(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    up: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while (y := up.setdefault(x, x)) != x:
+            up[x] = x = up[y]
+        return x
+
+    for batch in rows:
+        for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), strict=True):
+            a, b = find(a), find(b)
+            if a != b:
+                up[max(a, b)] = min(a, b)
+    nodes = list(up)
+    for at in range(0, len(nodes), 100_000):
+        some = nodes[at : at + 100_000]
+        yield pa.record_batch([pa.array(some, pa.int64()), pa.array([find(x) for x in some], pa.int64())], names=["node", "label"])
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, label: the least node that links (a, b) connect each node to. Nodes without links have no row.
 
-    Each round hooks nodes to their least neighbour and then shortcuts labels; links between nodes of one
+    Up to ONE_TASK links, which are counted first, one task joins them; beyond, they are joined in rounds. Each round hooks nodes to their least neighbour and then shortcuts labels; links between nodes of one
     label go, so tables shrink from round to round, and the number of rounds grows with the logarithm of
     the longest path.
     """
     spark = links.sparkSession
     edges = written(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a <> b").distinct(), "edges")
+    if edges.count() <= ONE_TASK:
+        return written(edges.coalesce(1).mapInArrow(_join_all, "node long, label long"), "labels")
     labels = None
     while edges.limit(1).count():
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -278,18 +301,20 @@ def components(links: DataFrame) -> DataFrame:
 class PrefixTree:
     """Ordered sets in a compressed trie, and the groups that their links form."""
 
-    __slots__ = ("percent", "sets", "names", "group", "root", "links")
+    __slots__ = ("percent", "sets", "names", "group", "root", "links", "leaf", "rare")
 
     class Node:
-        __slots__ = ("path", "kids", "ends", "low", "high", "groups")
+        __slots__ = ("path", "kids", "ends", "low", "high", "groups", "parent", "asked")
 
-        def __init__(self, path: np.ndarray):
-            self.path, self.kids, self.ends = path, {}, []
+        def __init__(self, path: np.ndarray, parent=None):
+            self.path, self.kids, self.ends, self.parent, self.asked = path, {}, [], parent, -1
             self.low, self.high, self.groups = 1 << 60, 0, set()
 
     def __init__(self, percent: int):
         self.percent, self.sets, self.names, self.group = percent, [], [], []
         self.root, self.links = self.Node(np.empty(0, np.uint64)), []
+        self.leaf: list = []  # the node where each set ends
+        self.rare: dict[int, list[int]] = {}  # sets by their first elements
 
     def find(self, i: int) -> int:
         while self.group[i] != i:
@@ -305,8 +330,17 @@ class PrefixTree:
         self.sets.append(s)
         self.names.append(name)
         self.group.append(me)
-        self._walk(me, s)
+        # partners share one of their first elements; only paths to such sets are walked
+        first = s[: len(s) - -(-len(s) * self.percent // 100) + 1].tolist()
+        if asked := {i for x in first for i in self.rare.get(x, ())}:
+            for i in asked:
+                node = self.leaf[i]
+                while node is not None and node.asked != me:
+                    node.asked, node = me, node.parent
+            self._walk(me, s)
         self._store(me, s)
+        for x in first:
+            self.rare.setdefault(x, []).append(me)
 
     def _walk(self, me: int, s: np.ndarray) -> None:
         n, stack = len(s), [(self.root, 0, 0)]
@@ -334,7 +368,7 @@ class PrefixTree:
                     if a != b:
                         self.group[max(a, b)] = min(a, b)
                         self.links.append((self.names[me], self.names[other]))
-            stack.extend((kid, depth, overlap) for kid in node.kids.values())
+            stack.extend((kid, depth, overlap) for kid in node.kids.values() if kid.asked == me)
 
     def _store(self, me: int, s: np.ndarray) -> None:
         node, at = self.root, 0
@@ -345,21 +379,23 @@ class PrefixTree:
                 node.groups = {self.find(g) for g in node.groups}
             if at == len(s):
                 node.ends.append(me)
+                self.leaf.append(node)
                 return
             kid = node.kids.get(first := int(s[at]))
             if kid is None:
-                kid = node.kids[first] = self.Node(s[at:])
+                kid = node.kids[first] = self.Node(s[at:], node)
                 kid.low = kid.high = len(s)
                 kid.groups, kid.ends = {me}, [me]
+                self.leaf.append(kid)
                 return
             size = min(len(kid.path), len(s) - at)
             differ = np.flatnonzero(kid.path[:size] != s[at : at + size])
             same = int(differ[0]) if len(differ) else size
             if same < len(kid.path):  # split the kid's path
-                upper = self.Node(kid.path[:same])
+                upper = self.Node(kid.path[:same], node)
                 upper.low, upper.high, upper.groups = kid.low, kid.high, set(kid.groups)
                 kid.path = kid.path[same:]
-                upper.kids[int(kid.path[0])] = kid
+                upper.kids[int(kid.path[0])], kid.parent = kid, upper
                 node.kids[first] = kid = upper
             node, at = kid, at + same
 

@@ -69,7 +69,7 @@ def test_rank_encoder_and_heap_counts_are_the_librarys():
 
 
 def test_memory_that_overflows_changes_nothing(monkeypatch):
-    monkeypatch.setattr(tokens, "MEMORY", 3)
+    monkeypatch.setattr(tokens, "CHUNK_MEMORY", 3)
     lib, mine = library("word_bpe_49k.json"), tokens.ChunkEncoder(tokens.tokenizer_path("word_bpe_49k.json"))
     for t in CASES * 2:
         assert np.frombuffer(mine.ids(t), "<u4").tolist() == lib.encode(t or "", add_special_tokens=False).ids
@@ -346,6 +346,7 @@ def near_copies():
 @pytest.mark.parametrize(("k", "percent", "block", "bands"), [(3, 90, 4000, False), (5, 80, 4000, False), (3, 90, 3, False), (5, 80, 4000, True)])
 def test_groups_of_near_copies(spark, monkeypatch, k, percent, block, bands):
     monkeypatch.setattr(jaccard, "BLOCK", block)
+    monkeypatch.setattr(jaccard, "ONE_TASK", 0 if block == 3 else 500_000)
     cases = {**{5000 + i: t for i, t in enumerate(CASES)}, **near_copies()}
     df = spark.createDataFrame(list(cases.items()), "doc_id long, text string").repartition(3)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.groups(df, percent, k, bands=bands).collect()}
@@ -359,7 +360,9 @@ def test_one_of_each_group_stays(spark, docs, empty):
     assert jaccard.one_of_each(empty).count() == 0 and jaccard.one_of_each(docs).columns == docs.columns
 
 
-def test_components_of_a_long_path(spark):
+@pytest.mark.parametrize("one_task", [500_000, 0])
+def test_components_of_a_long_path(spark, monkeypatch, one_task):
+    monkeypatch.setattr(jaccard, "ONE_TASK", one_task)
     path = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 200)], "a long, b long")
     got = {r["node"]: r["label"] for r in jaccard.components(path).collect()}
     assert got == {**dict.fromkeys(range(41), 0), 100: 100, 200: 100}
