@@ -437,6 +437,76 @@ def test_pipeline_stages(spark, docs, empty):
         assert corpus_pipeline.STAGES[-1][1](spark, rows, "").count() == (0 if start is empty else pytest.approx(rows.count(), abs=40))
 
 
+def brute_quality(cases, hosts):
+    """Ids that the rules keep."""
+    stats, base, soft = {}, {}, {}
+    for i, t in cases.items():
+        n, chars, symbols, dups, again = plain_stats(t)
+        lines = len([x for x in (t or "").split("\n") if x.encode().split()])
+        base[i] = n < 50 or 100 * again > 50 * n
+        soft[i] = 100 * symbols > quality.SYMBOL_PERCENT * chars or 100 * dups > quality.LINE_PERCENT * lines
+    by = defaultdict(list)
+    for i in cases:
+        by[hosts[i]].append(base[i] or soft[i])
+    rates = [sum(x) / len(x) for x in by.values()]
+    m = sum(rates) / len(rates)
+    v = sum((r - m) ** 2 for r in rates) / (len(rates) - 1) if len(rates) > 1 else 0
+    w = min(1000, m * (1 - m) / v - 1 if 0 < v < m * (1 - m) else 1)
+    verdict = {}
+    for h, x in by.items():
+        r = (sum(x) + m * w) / (len(x) + w)
+        low = r - 2 * math.sqrt(r * (1 - r) / (len(x) + w + 1))
+        verdict[h] = "blocked" if low > quality.BLOCKED else "suspect" if r > quality.SUSPECT else "trusted"
+    return [i for i in cases if not base[i] and verdict[hosts[i]] != "blocked" and (verdict[hosts[i]] == "trusted" or not soft[i])]
+
+
+def test_pipeline_against_brute_force(spark):
+    import corpus_pipeline
+
+    cases = {**{5000 + i: t for i, t in enumerate([*CASES, *SHARED])}, **near_copies()}
+    hosts = {i: None if i % 11 == 0 else f"h{i % 4}" for i in cases}
+    rows = spark.createDataFrame([(i, t, "en", hosts[i], len(t or "")) for i, t in cases.items()], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    stages, seen = dict(corpus_pipeline.STAGES), {}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        rows = common.written(stage(spark, rows, ""), name)
+        seen[name] = rows.collect()
+    kept = brute_quality(cases, hosts)
+    assert sorted(r["doc_id"] for r in seen["quality_rules"]) == sorted(kept)
+    groups = brute_groups({i: cases[i] for i in kept}, 5, 80)
+    first = sorted(i for i in kept if groups[i][1] == i)
+    assert sorted(r["doc_id"] for r in seen["jaccard_join"]) == first
+    raws = [cases[i].encode() for i in first]
+    count = Counter(t[i : i + 200] for t in raws for i in range(len(t) - 199))
+    for i, raw in zip(first, raws, strict=True):
+        hit = np.zeros(len(raw), bool)
+        for j in range(len(raw) - 199):
+            if count[raw[j : j + 200]] > 1:
+                hit[j : j + 200] = True
+        left = bytes(np.frombuffer(raw, np.uint8)[~hit]).decode("utf-8", "ignore")
+        assert [r["text"] for r in seen["suffix_dedup"] if r["doc_id"] == i] == [left]
+    words = lambda t: len(t.encode().split())
+    size = Counter()
+    for r in seen["suffix_dedup"]:
+        size[r["source"]] += words(r["text"])
+    names = sorted(size, key=lambda x: (x is None, x or ""))
+    weight, total = {x: 1 + j % 3 for j, x in enumerate(names)}, sum(size.values())
+    target, full = {}, set()
+    while True:
+        rest = total - sum(3 * size[x] for x in full)
+        target = {x: 3 * size[x] if x in full else rest * weight[x] / sum(weight[y] for y in names if y not in full) for x in names}
+        more = {x for x in names if x not in full and target[x] > 3 * size[x]}
+        if not more:
+            break
+        full |= more
+    got = Counter()
+    for r in seen["mixing"]:
+        got[r["source"]] += words(r["text"])
+    assert all(abs(got[x] - target[x]) <= 1 for x in names)
+    lib = library("byte_bpe_50k.json")
+    pieces = stages["packing"](spark, rows, "").collect()
+    assert sum(r["length"] for r in pieces) == sum(len(lib.encode(r["text"], add_special_tokens=False).ids) + 1 for r in seen["mixing"])
+
+
 def test_written_tables_can_be_deleted(spark):
     df = common.written(spark.range(3).toDF("x"), "t")
     path = df.inputFiles()[0]
