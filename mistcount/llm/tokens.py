@@ -15,6 +15,7 @@ import heapq
 import json
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,8 +24,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import tidy
+
 #: Chunks that each of the two ages of a worker's memory holds; bounds memory, changes no result.
 MEMORY = 200_000
+CHUNK_MEMORY = 500_000
 #: White space beside a blank: only there can a cut before a single blank differ from the pre-tokenizer's.
 _BESIDE = re.compile(r" \s|\s ")
 #: Runs of white space, of which the byte-level pre-tokenizer keeps some together.
@@ -160,6 +164,7 @@ class ChunkEncoder:
             if kinds[:1] != ["Split"] or r"[^\s" not in json.dumps(spec["pre_tokenizer"]).replace("\\\\", "\\"):
                 raise ValueError("unknown pre-tokenizer: its chunks can't be told")
         self.lowers = self.drops_blanks and "Lowercase" in json.dumps(spec["normalizer"])
+        self.stand_ins = byte_alphabet()
         # between chunks that are asked for together stands what makes one token, and joins none beside it
         self.between = " \x01 " if self.drops_blanks else "\n"
         (self.mark,) = self.library.encode(self.between.strip(" "), add_special_tokens=False).ids
@@ -189,12 +194,34 @@ class ChunkEncoder:
 
     def _stem(self, chunk: str) -> tuple[str, bytes]:
         """A chunk that shares its ids with this one but for a stop at the end; the pre-tokenizer parts letters from stops."""
-        stop = b""
         if chunk[-1:] in self.stops and chunk[chunk[:1] == "\n" : -1].isalpha():
-            chunk, stop = chunk[:-1], self.stops[chunk[-1]]
-        if self.lowers and chunk.isascii():
-            chunk = chunk.lower()
-        return chunk, stop
+            return chunk[:-1], self.stops[chunk[-1]]
+        return chunk, b""
+
+    def _learn_words(self, chunks: list[str]) -> None:
+        """_learn for vocabularies of lower-case words. A word of letters, but for a stop at its end, is a single
+        pre-token; if its letters are plain Latin ones, which normal forms leave as they are and whose lower case is
+        one letter, it goes straight to the library's model."""
+        young, old, stops, model, rest = self.young, self.old, self.stops, self.library.model.tokenize, []
+        for c in chunks:
+            if (ids := old.get(c)) is not None:
+                young[c] = ids
+                continue
+            stem, stop = c, b""
+            if c[-1:] in stops:
+                stem, stop = c[:-1], stops[c[-1]]
+            if not stem.isalpha() or not stem.isascii() and (max(stem) >= "\u0180" or "\u0130" in stem):
+                rest.append(c)
+                continue
+            stem = stem.lower()
+            if (ids := young.get(stem)) is None:
+                if (ids := old.get(stem)) is None:
+                    shown = stem if stem.isascii() else stem.encode().decode("latin-1").translate(self.stand_ins)
+                    ids = array("I", [t.id for t in model(shown)]).tobytes()
+                young[stem] = ids
+            if c is not stem:
+                young[c] = ids + stop
+        young.update(zip(rest, self._ask(rest), strict=True))
 
     def _learn(self, chunks: list[str]) -> None:
         """Puts chunks that the young age lacks there, from the old age or the library."""
@@ -219,7 +246,7 @@ class ChunkEncoder:
 
     def many(self, texts: list[str | None]) -> list[bytes]:
         """Ids of texts, each as one run of bytes."""
-        if len(self.young) > MEMORY:
+        if len(self.young) > CHUNK_MEMORY:
             self.young, self.old = {}, self.young
         if self.drops_blanks:
             cuts = [x.replace("\n", " ").split(" ") if x else [] for x in texts]
@@ -229,10 +256,15 @@ class ChunkEncoder:
         distinct: set[str] = set()
         for x in cuts:
             distinct.update(x)
-        if new := distinct.difference(self.young):
-            self._learn(list(new))
-        young, skip = self.young, 0 if self.drops_blanks else 4
-        local = {c: young[c] for c in distinct}  # small enough to stay in the processor's cache
+        young, skip, new, local = self.young, 0 if self.drops_blanks else 4, [], {}
+        for c in distinct:
+            if (ids := young.get(c)) is None:
+                new.append(c)
+            else:
+                local[c] = ids  # small enough to stay in the processor's cache
+        if new:
+            (self._learn_words if self.lowers else self._learn)(new)
+            local.update((c, young[c]) for c in new)
         get = local.__getitem__
         whole = iter(self._alone([t for t, x in zip(texts, cuts, strict=True) if t and not x]))
         return [b"".join(map(get, x))[skip:] if x else next(whole) if text else b"" for text, x in zip(texts, cuts, strict=True)]
@@ -301,6 +333,7 @@ def count_tokens(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", text: s
         bpe = ready(HeapBpe, tokenizer_path(vocabulary))
         for texts in rows:
             yield pa.array([bpe.count(x.as_py()) for x in texts], pa.int64())
+        tidy()
 
     return docs.withColumn(out, counted(F.col(text)))
 
