@@ -355,7 +355,10 @@ def op_udtf(spark: SparkSession, d: str) -> DataFrame:
     return arrow.cells_by_table_function(spark, bitmaps, SMALL)
 
 
-@query("op_pandas_udf_fit", None)
+_VECTOR = bd.symmetric(2.0)
+
+
+@query("op_pandas_udf_fit", f"SELECT g, round(n_hat, 3) AS n_hat, round(n_hat, 3) AS vectorised FROM ({S.fit(S.arrays(S.levels(S.flip(S.dense(ORDERS, SMALL), _VECTOR.p, _VECTOR.q, KEY, 'vector'), SMALL)), SMALL, _VECTOR.p, _VECTOR.q)})")
 def op_pandas_fit(spark: SparkSession, d: str) -> DataFrame:
     """The vectorised fit of many sketches, beside the one in expressions."""
     f = bd.symmetric(2.0)

@@ -333,7 +333,17 @@ def w09(spark: SparkSession, d: str) -> DataFrame:
     return rows.agg(F.sum(F.col("a").bitwiseAND(F.col("b"))).alias("both_true"), F.sum(F.col("a").bitwiseOR(F.col("b"))).alias("either_true"))
 
 
-@query("w10_parties_of_different_budgets")
+def _w10_sql() -> str:
+    q = "(1 / (exp(eps) + 1))"
+    bits = f"SELECT *, 1.5 + 0.25 * length(g) AS eps FROM ({S.dense(_EVENTS, SMALL)})"
+    noisy = f"SELECT 'all' AS whole, cell, bit, eps::DOUBLE AS eps FROM ({S.flip(bits, f'(1 - {q})', q, KEY, 'w10', 'g', 'eps,')})"
+    counts = f"SELECT whole, star, list(k ORDER BY level) AS k FROM (SELECT whole, star, cell % {SMALL.levels} AS level, sum(bit)::BIGINT AS k FROM ({S.union_randomized(noisy, 'w10', 'whole')}) GROUP BY ALL) GROUP BY whole, star"
+    sq = "(1 / (exp(star) + 1))"
+    fitted = S.fit(counts, SMALL, f"(1 - {sq})", sq, "whole", keep="star")
+    return f"SELECT round(n_hat, 3) AS n_hat, round({S.stderr(SMALL, 'n_hat', f'(1 - {sq})', sq)}, 3) AS stderr, round(star, 9) AS eps_effective, (SELECT count(DISTINCT event_type) FROM events) AS n_sources, 'ok' AS status FROM ({fitted})"
+
+
+@query("w10_parties_of_different_budgets", _w10_sql())
 def w10(spark: SparkSession, d: str) -> DataFrame:
     """Each event type is a party with its own budget; its users overlap with the others'."""
     from ..operators.privatize import flip_symmetric
@@ -341,7 +351,7 @@ def w10(spark: SparkSession, d: str) -> DataFrame:
     rows = event_items(spark, d)
     eps = 1.5 + 0.25 * F.length("g")
     noisy = flip_symmetric(sketch(rows, F.col("item"), SMALL, ["g"]), eps, KEY, "w10", ["g"])
-    found = engine.union_of_released(noisy.withColumn("all", F.lit("all")), SMALL, "w10", ["all"])
+    found = engine.union_of_released(noisy.withColumn("all", F.lit("all")), SMALL, "w10", ["all"], solver="bisect")
     return rounded(found.select("n_hat", "stderr", "eps_effective", "n_sources", "status"), n_hat=3, stderr=3, eps_effective=9)
 
 

@@ -381,7 +381,11 @@ def m15b(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "k int, eps double, rel_stderr double")
 
 
-@query("m15c_asymptotic_constants")
+_C_ROWS = [(kind, e, _flip_of(kind, e)) for kind in ("symmetric", "half") for e in (0.25, 0.5, 1.0, 2.0, 4.0, math.inf)]
+_C_VALUES = ", ".join(f"('{k}', '{e}'::DOUBLE, {f.p!r}::DOUBLE, {f.q!r}::DOUBLE)" for k, e, f in _C_ROWS)
+
+
+@query("m15c_asymptotic_constants", f"SELECT kind, eps, round({S.stderr(WIDE, '16777216.0', 'p', 'q')} / 16777216.0 * 64, 4) AS c FROM (VALUES {_C_VALUES}) x(kind, eps, p, q)")
 def m15c(spark: SparkSession, d: str) -> DataFrame:
     rows = [(kind, e, round(asymptotic_constant(WIDE, _flip_of(kind, e).p, _flip_of(kind, e).q), 4)) for kind in ("symmetric", "half") for e in (0.25, 0.5, 1.0, 2.0, 4.0, math.inf)]
     return spark.createDataFrame(rows, "kind string, eps double, c double")
