@@ -1,11 +1,14 @@
 """Language-model scores from a log-frequency Bloom filter.
 
 Words (A-Z lowered) and pairs of neighbouring words of the training texts are counted exactly; the
-counts' levels, 1 + log2, are kept in a Bloom filter of fixed size: an n-gram is put in once for each
-level up to its own. A count is read by probing level after level until one is missing. The filter is
-cut into slices, so that each is filled by one task from the counts of its own n-grams, and no task or
-driver sees all n-grams. The filter's FILTER_BITS bound what is broadcast at any size of the corpus;
-more n-grams only make its answers less sharp, so it is to be chosen with the corpus.
+counts' levels, 1 + log2, are kept in a Bloom filter: an n-gram is put in once for each level up to its
+own. A count is read by probing level after level until one is missing. The filter is cut into slices,
+so that each is filled by one task from the counts of its own n-grams, and no task or driver sees all
+n-grams. A slice is sized by the levels that it holds, which are counted exactly, so that a level that
+isn't there is found with a chance of FALSE_RATE at any size of the corpus.
+
+The filter grows with the corpus, so it is never gathered. Texts are packed into chunks; each chunk asks
+each slice for its different n-grams there, and the answers, a byte each, are brought back to the chunk.
 
 A token's probability is that of its pair, smoothed towards the single word's by a prior weight.
 
@@ -20,6 +23,7 @@ empty result, and with no training text all counts are 0.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,13 +32,18 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches, mixed, table, text_bytes, written
+from .common import batches, mixed, table, text_bytes, tidy, written
 
-FILTER_BITS = 1 << 28
 SLICES = 1 << 10
-SLICE_BITS = FILTER_BITS // SLICES
-PROBES = 2
+PROBES = 3
 LEVELS = 40
+#: Chance that a level that isn't in the filter is found.
+FALSE_RATE = 0.01
+#: Bits of a filter and of a slice where no size is told.
+FILTER_BITS = 1 << 28
+SLICE_BITS = FILTER_BITS // SLICES
+#: Bytes of text that ask the filter together.
+CHUNK_BYTES = 6_000_000
 #: Words whose exact counts are broadcast: 16 bytes each.
 HEAD = 400_000
 #: Weight of the single word's probability, in counts.
@@ -84,21 +93,31 @@ class Words:
         return np.fromiter(map(index.__getitem__, words), np.int64, len(words))
 
 
-def _positions(cut: np.ndarray, level: int, probe: int) -> np.ndarray:
-    """Places in a slice for the low 32 bits of n-grams there."""
+def levels_of(counts: np.ndarray) -> np.ndarray:
+    """The number of levels that counts of 1 or more fill."""
+    return np.minimum(np.log2(counts).astype(np.int64) + 1, LEVELS)
+
+
+def slice_size(n_levels: int) -> int:
+    """Bits, a multiple of 8, in which so many levels leave a chance of FALSE_RATE."""
+    return 8 * math.ceil(max(n_levels, 8) * -PROBES / math.log(1 - FALSE_RATE ** (1 / PROBES)) / 8)
+
+
+def _positions(cut: np.ndarray, level: int, probe: int, size: int) -> np.ndarray:
+    """Places in a slice of this size for the low 32 bits of n-grams there."""
     salt = np.uint64((level * PROBES + probe + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)
-    return mixed(cut.astype(np.uint64) + salt) & np.uint64(SLICE_BITS - 1)
+    return ((mixed(cut.astype(np.uint64) + salt) >> np.uint64(32)) * np.uint64(size)) >> np.uint64(32)
 
 
-def fill_slice(cut: np.ndarray, counts: np.ndarray) -> bytes:
+def fill_slice(cut: np.ndarray, counts: np.ndarray, size: int = SLICE_BITS) -> bytes:
     """The bits of a slice that holds these n-grams (32-bit hashes) with these counts."""
-    bits = np.zeros(SLICE_BITS, bool)
+    bits = np.zeros(size, bool)
     for level in range(LEVELS):
         cut, counts = (cut, counts) if level == 0 else (cut[counts >= 1 << level], counts[counts >= 1 << level])
         if not len(cut):
             break
         for probe in range(PROBES):
-            bits[_positions(cut, level, probe)] = True
+            bits[_positions(cut, level, probe, size)] = True
     return np.packbits(bits, bitorder="little").tobytes()
 
 
@@ -107,28 +126,34 @@ def split_hash(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return (hashes >> np.uint64(54)).astype(np.int64), ((hashes >> np.uint64(22)) & np.uint64(0xFFFFFFFF)).astype(np.uint32)
 
 
+#: The middle of the range of counts of each level; 0 for none.
+MIDDLE = np.concatenate([[0.0], (3 * np.exp2(np.arange(LEVELS)) - 1) / 2])
+
+
 class Filter:
     """Reads quantised counts."""
 
-    def __init__(self, bits: np.ndarray):
-        self.bits = bits  # uint8, slice after slice
+    def __init__(self, bits: np.ndarray, slice_bits: int = SLICE_BITS):
+        self.bits, self.slice_bits = bits, slice_bits  # uint8, slice after slice
 
-    def counts(self, hashes: np.ndarray) -> np.ndarray:
-        """The middle of the range of counts of the highest level that n-grams reach; 0 if none."""
-        slices, cut = split_hash(hashes)
-        base = slices.astype(np.uint64) * np.uint64(SLICE_BITS)
-        levels, alive = np.zeros(len(hashes), np.int64), np.arange(len(hashes))
+    def levels(self, slices: np.ndarray, cut: np.ndarray) -> np.ndarray:
+        """The highest level that n-grams reach; 0 if none."""
+        base = slices.astype(np.uint64) * np.uint64(self.slice_bits)
+        levels, alive = np.zeros(len(cut), np.uint8), np.arange(len(cut))
         for level in range(LEVELS):
             for probe in range(PROBES):
-                at = base[alive] + _positions(cut[alive], level, probe)
+                at = base[alive] + _positions(cut[alive], level, probe, self.slice_bits)
                 alive = alive[(self.bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 == 1]
                 if not len(alive):
                     break
             if not len(alive):
                 break
             levels[alive] = level + 1
-        low = np.exp2(levels - 1.0)
-        return np.where(levels > 0, (low + 2 * low - 1) / 2, 0.0)
+        return levels
+
+    def counts(self, hashes: np.ndarray) -> np.ndarray:
+        """The middle of the range of counts of the highest level that n-grams reach; 0 if none."""
+        return MIDDLE[self.levels(*split_hash(hashes))]
 
 
 COUNTED = "kind int, slice int, hashes binary, counts binary"
@@ -156,7 +181,7 @@ def _count(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         every = [w for x in lists for w in x]
         h = _hashes(words, every)
         held[0].append(h)
-        held[1].append(pair_hash(_previous(h, lists), h))
+        held[1].append(pair_hash(_previous(h, list(map(len, lists))), h))
         size += len(h)
         if size >= FLUSH:
             yield from flush()
@@ -170,10 +195,10 @@ def _hashes(words: Words, every: list[bytes]) -> np.ndarray:
     return words.columns[0][at]
 
 
-def _previous(values: np.ndarray, lists: list[list[bytes]]) -> np.ndarray:
+def _previous(values: np.ndarray, lengths: list[int]) -> np.ndarray:
     """What stands before each token; before a text's first one, the end of the text before."""
     before = np.roll(values, 1)
-    firsts = np.cumsum([0, *map(len, lists[:-1])])
+    firsts = np.cumsum([0, *lengths[:-1]])
     before[firsts] = values[-1]  # the last token of any text is its end
     return before
 
@@ -187,7 +212,7 @@ def _merge(key: tuple[pa.Scalar, ...], group: pa.Table) -> pa.Table:
     first = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
     h, n = h[first], np.add.reduceat(n, first)
     levels = np.bincount(np.log2(n).astype(int), minlength=64)
-    row = (1, part, fill_slice(h, n), b"", b"", 0, 0, []) if kind else (0, part, b"", h.tobytes(), n.tobytes(), int(n.sum()), len(n), levels.tolist())
+    row = (1, part, fill_slice(h, n, slice_size(int(levels_of(n).sum()))), b"", b"", 0, 0, []) if kind else (0, part, b"", h.tobytes(), n.tobytes(), int(n.sum()), len(n), levels.tolist())
     kinds = (pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64()))
     return pa.table({c: pa.array([x], t) for c, x, t in zip(("kind", "slice", "bits", "hashes", "counts", "n", "v", "levels"), row, kinds, strict=True)})
 
@@ -225,6 +250,72 @@ def _frequent(least: int):
     return rows
 
 
+CHUNK = "uid long, doc_id array<long>, held_out array<boolean>, text array<binary>"
+
+
+def _chunks(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts packed into rows of about CHUNK_BYTES; uid is the number of the first of them, among those of all tasks."""
+    from pyspark import TaskContext
+
+    uid, held, size = TaskContext.get().partitionId() << 40, [], 0
+
+    def packed() -> pa.RecordBatch:
+        t = pa.Table.from_batches(held).combine_chunks()
+        texts = pa.array(text_bytes(t.column("text")), pa.binary())
+        columns = [t.column("doc_id").combine_chunks(), t.column("held_out").combine_chunks(), texts]
+        return pa.record_batch([pa.array([uid]), *(pa.ListArray.from_arrays(pa.array([0, len(texts)], pa.int32()), c) for c in columns)], names=["uid", "doc_id", "held_out", "text"])
+
+    for batch in batches(rows, 64):
+        held.append(batch)
+        size += batch.nbytes
+        if size >= CHUNK_BYTES:
+            yield packed()
+            uid, held, size = uid + sum(b.num_rows for b in held), [], 0
+    if held:
+        yield packed()
+
+
+def _read(known: Words, texts: list[bytes | None]) -> tuple[list[int], list[np.ndarray]]:
+    """Numbers of tokens of texts, and what is known of each token, its hash first."""
+    lengths, parts = [], []
+    for i in range(0, len(texts), 256):
+        lists = [tokens(x) for x in texts[i : i + 256]]
+        lengths += map(len, lists)
+        at = known.numbers([w for x in lists for w in x])
+        parts.append([x[at] for x in known.columns])
+    return lengths, [np.concatenate(x) for x in zip(*parts, strict=True)]
+
+
+def _asked(h: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+    """A chunk's different n-grams, in the order of slices."""
+    return np.unique(np.concatenate([np.unique(pairs), mixed(np.unique(h))]))
+
+
+def _ask(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """What each chunk asks each slice for."""
+    known = Words()
+    for batch in batches(rows, 1):
+        lengths, (h,) = _read(known, batch.column("text")[0].as_py())
+        slices, cut = split_hash(_asked(h, pair_hash(_previous(h, lengths), h)))
+        edges = np.searchsorted(slices, np.arange(SLICES + 1))
+        some = np.flatnonzero(np.diff(edges)).tolist()
+        uid = batch.column("uid")[0].as_py()
+        yield pa.record_batch([pa.array([uid] * len(some), pa.int64()), pa.array(some, pa.int32()), pa.array([cut[edges[i] : edges[i + 1]].tobytes() for i in some], pa.binary())], names=["uid", "slice", "hashes"])
+
+
+def _answer(asked: pa.Table, filled: pa.Table) -> pa.Table:
+    """The levels of all n-grams that a slice is asked for; 0 where nothing of it was in a training text."""
+    hashes = asked.column("hashes").to_pylist()
+    cut = np.frombuffer(b"".join(hashes), "<u4")
+    levels = np.zeros(len(cut), np.uint8)
+    if filled.num_rows:
+        bits = np.frombuffer(filled.column("bits")[0].as_py(), np.uint8)
+        levels = Filter(bits, 8 * len(bits)).levels(np.zeros(len(cut), np.int64), cut)
+    edges = np.cumsum([0, *(len(x) // 4 for x in hashes)]).tolist()
+    cells = [levels[i:j].tobytes() for i, j in zip(edges[:-1], edges[1:], strict=True)]
+    return pa.table({"uid": asked.column("uid"), "slice": asked.column("slice"), "levels": pa.array(cells, pa.binary())})
+
+
 def score(docs: DataFrame, model: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs."""
     spark = docs.sparkSession
@@ -240,19 +331,13 @@ def score(docs: DataFrame, model: DataFrame, doc_id: str = "doc_id", text: str =
     order = np.argsort(head_h)
     head_h, head_c = head_h[order], np.frombuffer(b"".join(r["counts"] for r in packed), "<i8")[order]
     del packed, order
-    bits = np.zeros(FILTER_BITS // 8, np.uint8)
-    for r in model.where("kind = 1").select("slice", "bits").toLocalIterator():
-        at = r["slice"] * (SLICE_BITS // 8)
-        bits[at : at + SLICE_BITS // 8] = np.frombuffer(r["bits"], np.uint8)
-    shared = spark.sparkContext.broadcast((head_h, head_c, bits))
-    del head_h, head_c, bits
+    shared = spark.sparkContext.broadcast((head_h, head_c))
+    del head_h, head_c
     whole = first == 0  # then a word outside the head is in no training text
 
-    def scored(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        head_h, head_c, bits = shared.value
-        table_, scale = Filter(bits), float(n_all + v_all + 1)
+    def scored(chunk: pa.Table, answers: pa.Table) -> pa.Table:
+        head_h, head_c = shared.value
+        scale = float(n_all + v_all + 1)
 
         def learn(hashes: np.ndarray) -> list[np.ndarray]:
             exact = np.full(len(hashes), -1, np.int64)
@@ -262,37 +347,43 @@ def score(docs: DataFrame, model: DataFrame, doc_id: str = "doc_id", text: str =
                 exact[same] = head_c[at[same]]
             if whole:
                 exact[exact < 0] = 0
-            return [exact, table_.counts(mixed(hashes))]
-
-        known, uid = Words(learn), TaskContext.get().partitionId() << 40
-        for batch in batches(rows, 256):
-            lists = [tokens(x) for x in text_bytes(batch.column("text"))]
-            lengths = np.array(list(map(len, lists)))
-            firsts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-            at = known.numbers([w for x in lists for w in x])
-            h, exact, about = (x[at] for x in known.columns)
-            inside = exact >= 0
-            base = np.where(inside, np.log10((np.maximum(exact, 0) + 1) / scale), 0.0)
-            pairs = table_.counts(pair_hash(_previous(h, lists), h))
-            context = np.maximum(_previous(about, lists), pairs)
-            chance = (pairs + PRIOR * (about + 1) / scale) / (context + PRIOR)
-            uids = uid + np.arange(len(lists))
-            uid += len(lists)
-            out = batch.column("held_out").to_pylist()
-            empty = lambda kind: pa.nulls(len(lists), kind)
-            yield pa.record_batch([pa.array(uids), batch.column("doc_id"), pa.array(out, pa.bool_()), pa.array(lengths), pa.array(np.add.reduceat((exact > 0).astype(np.int64), firsts)), pa.array(np.add.reduceat(base, firsts)), pa.array(np.add.reduceat(np.log10(chance), firsts)), empty(pa.int64()), empty(pa.int64())], names=names)
-            rest = np.flatnonzero(~inside)
-            if len(rest):
-                # a document's occurrences of a word outside the head, together
-                key = np.stack([np.repeat(uids, lengths)[rest], h[rest].view(np.int64)])
-                pair, times = np.unique(key, axis=1, return_counts=True)
-                empty = lambda kind: pa.nulls(len(times), kind)
-                yield pa.record_batch([pa.array(pair[0]), empty(pa.int64()), empty(pa.bool_()), empty(pa.int64()), empty(pa.int64()), empty(pa.float64()), empty(pa.float64()), pa.array(pair[1]), pa.array(times.astype(np.int64))], names=names)
+            return [exact]
+
+        lengths, (h, exact) = _read(Words(learn), chunk.column("text")[0].as_py())
+        firsts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+        inside = exact >= 0
+        base = np.where(inside, np.log10((np.maximum(exact, 0) + 1) / scale), 0.0)
+        grams = pair_hash(_previous(h, lengths), h)
+        asked = _asked(h, grams)
+        told = sorted(zip(answers.column("slice").to_pylist(), answers.column("levels").to_pylist(), strict=True))
+        levels = np.frombuffer(b"".join(x for _, x in told), np.uint8)
+        if len(levels) != len(asked):
+            raise ValueError(f"{len(asked)} n-grams asked for, {len(levels)} answered")
+        pairs, about = (MIDDLE[levels[np.searchsorted(asked, x)]] for x in (grams, mixed(h)))
+        context = np.maximum(_previous(about, lengths), pairs)
+        chance = (pairs + PRIOR * (about + 1) / scale) / (context + PRIOR)
+        uids = chunk.column("uid")[0].as_py() + np.arange(len(lengths))
+        empty = lambda kind, n: pa.nulls(n, kind)
+        ids, out = (chunk.column(c).combine_chunks().flatten() for c in ("doc_id", "held_out"))
+        found = [pa.table([pa.array(uids), ids, out, pa.array(lengths, pa.int64()), pa.array(np.add.reduceat((exact > 0).astype(np.int64), firsts)), pa.array(np.add.reduceat(base, firsts)), pa.array(np.add.reduceat(np.log10(chance), firsts)), empty(pa.int64(), len(lengths)), empty(pa.int64(), len(lengths))], names=names)]
+        rest = np.flatnonzero(~inside)
+        if len(rest):
+            # a document's occurrences of a word outside the head, together
+            key = np.stack([np.repeat(uids, lengths)[rest], h[rest].view(np.int64)])
+            pair, times = np.unique(key, axis=1, return_counts=True)
+            n = len(times)
+            found.append(pa.table([pa.array(pair[0]), empty(pa.int64(), n), empty(pa.bool_(), n), empty(pa.int64(), n), empty(pa.int64(), n), empty(pa.float64(), n), empty(pa.float64(), n), pa.array(pair[1]), pa.array(times.astype(np.int64))], names=names))
+        tidy()
+        return pa.concat_tables(found)
 
     kinds = "uid long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, score double, h long, times long"
     names = [x.split()[0] for x in kinds.split(", ")]
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), held_out(F.col(doc_id)).alias("held_out"), F.col(text).alias("text"))
-    found = written(rows.mapInArrow(scored, kinds), "scores")
+    chunks = written(rows.mapInArrow(_chunks, CHUNK), "chunks")
+    asked = chunks.select("uid", "text").mapInArrow(_ask, "uid long, slice int, hashes binary")
+    filled = model.where("kind = 1").select("slice", "bits")
+    answers = asked.groupBy("slice").cogroup(filled.groupBy("slice")).applyInArrow(_answer, "uid long, slice int, levels binary")
+    found = written(chunks.groupBy("uid").cogroup(answers.groupBy("uid")).applyInArrow(scored, kinds), "scores")
     each = found.where("h is null").drop("h", "times")
     scale = F.lit(float(n_all + v_all + 1))
     if not whole:

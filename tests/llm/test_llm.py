@@ -7,6 +7,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -302,6 +303,46 @@ def test_filter_reads_the_levels_that_were_put_in():
     assert (langmodel.Filter(bits).counts(langmodel.mixed(h + np.uint64(77))) == 0).mean() > 0.95
 
 
+@pytest.mark.parametrize("n", [1000, 400_000])
+def test_slices_keep_their_false_rate_at_any_load(n):
+    """A slice of fixed size is full of ones with so many n-grams, and answers every level for any n-gram."""
+    r = np.random.default_rng(4)
+    h = np.unique(r.integers(0, 1 << 32, n + n // 8).astype(np.uint32))
+    unseen, h = h[::9], np.delete(h, np.s_[::9])
+    counts = np.minimum(r.zipf(1.8, len(h)), 10**6).astype(np.uint32)
+    group = pa.table({"kind": [1], "slice": [7], "hashes": [h.tobytes()], "counts": [counts.tobytes()]})
+    bits = np.frombuffer(langmodel._merge((pa.scalar(1), pa.scalar(7)), group).column("bits")[0].as_py(), np.uint8)
+    assert np.unpackbits(bits).mean() == pytest.approx(langmodel.FALSE_RATE ** (1 / langmodel.PROBES), rel=0.1)
+    told = lambda x: langmodel.Filter(bits, 8 * len(bits)).levels(np.zeros(len(x), np.int64), x)
+    assert (told(unseen) > 0).mean() < 0.02 + 3 / len(unseen)
+    exact = np.floor(np.log2(counts)) + 1
+    assert (told(h) >= exact).all() and (told(h) == exact).mean() > 0.97
+
+
+@pytest.mark.parametrize("size", [1, 2000, 10**9])
+def test_scores_are_those_of_exact_levels(spark, docs, monkeypatch, size):
+    """By chunks of one batch, some and all texts, from dictionaries of exact counts."""
+    monkeypatch.setattr(langmodel, "CHUNK_BYTES", size)
+    cases = texts() | {i: prose(60, i % 25) for i in range(100, 400)}
+    df = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(i, t) for i, t in cases.items() if i >= 100], "doc_id long, text string"))
+    lists = {i: langmodel.tokens(t.encode()) for i, t in cases.items()}
+    train = [x for i, x in lists.items() if zlib.crc32(str(i).encode()) % 7 != 2]
+    words, pairs = Counter(w for x in train for w in x), Counter(p for x in train for p in zip([langmodel.END, *x], x, strict=False))
+    scale = sum(words.values()) + len(words) + 1
+    middle = lambda n: (3 * 2 ** math.floor(math.log2(n)) - 1) / 2 if n else 0.0
+    wrong = {}
+    rows = langmodel.score(df, langmodel.fit(df.where(~langmodel.held_out(F.col("doc_id"))))).collect()
+    assert sorted(r["doc_id"] for r in rows) == sorted(cases)
+    for r in rows:
+        x = lists[r["doc_id"]]
+        want = 0.0
+        for a, b in zip([langmodel.END, *x], x, strict=False):
+            p = middle(pairs[a, b])
+            want += math.log10((p + langmodel.PRIOR * (middle(words[b]) + 1) / scale) / (max(middle(words[a]), p) + langmodel.PRIOR))
+        wrong[r["doc_id"]] = abs(r["score"] - want) / len(x)
+    assert np.mean(list(wrong.values())) < 0.01  # only the filter's false answers stand between
+
+
 # --- 9
 
 
