@@ -271,12 +271,15 @@ def op_sample_by(spark: SparkSession, d: str) -> DataFrame:
 # --- streams: a table's rows as a file stream
 
 
-def _stream(spark: SparkSession, d: str) -> DataFrame:
-    """events, dealt over three files in time order."""
+def _files(spark: SparkSession, d: str) -> str:
+    """events, dealt over three files by time. A stream reads them in the order in which they were done, which is any."""
     path = shared_path(spark, "stream")
-    e = read_table(spark, d, "events")
-    e.repartitionByRange(3, "ts").sortWithinPartitions("ts").write.parquet(path)
-    return st.event_stream(spark, path, e.schema)
+    read_table(spark, d, "events").repartitionByRange(3, "ts").sortWithinPartitions("ts").write.parquet(path)
+    return path
+
+
+def _stream(spark: SparkSession, d: str) -> DataFrame:
+    return st.event_stream(spark, _files(spark, d), read_table(spark, d, "events").schema)
 
 
 def _run(spark: SparkSession, df: DataFrame, mode: str = "complete") -> DataFrame:
@@ -314,13 +317,23 @@ def op_dedup(spark: SparkSession, d: str) -> DataFrame:
     return _run(spark, s, "append").agg(F.count("*").alias("n"))
 
 
+def released(spark: SparkSession, e: DataFrame, files: str) -> DataFrame:
+    """Cells of all windows of a table of events, streamed from its files and then closed by an end marker."""
+    late = st.covering_days(e)
+    s = st.window_bitmaps(st.event_stream(spark, files, e.schema), F.col("user_id").cast("string"), SMALL, "7 days", late=f"{late} days")
+    path, checkpoint = shared_path(spark, "released"), shared_path(spark, "offsets")
+    run = lambda: st.release_stream(s, SMALL, bd.symmetric(3.0), KEY, path, checkpoint).awaitTermination()
+    run()
+    # a run of its own, so that the marker is read last
+    st.end_marker(e, late, 7, "user_id").write.mode("append").parquet(files)
+    run()
+    return spark.read.option("basePath", path).schema("window_start string, cell int, bit int, epoch int").parquet(path)
+
+
 @query("op_stream_private_release")
 def op_release(spark: SparkSession, d: str) -> DataFrame:
-    """Windows that the watermark has closed, each released once."""
-    s = st.window_bitmaps(_stream(spark, d), F.col("user_id").cast("string"), SMALL, "7 days")
-    path = shared_path(spark, "released")
-    st.release_stream(s, SMALL, bd.symmetric(3.0), KEY, path, shared_path(spark, "offsets")).awaitTermination()
-    cells = spark.read.option("basePath", path).schema("window_start string, cell int, bit int, epoch int").parquet(path)
+    """All windows of events, each released once, when the watermark has closed it."""
+    cells = released(spark, read_table(spark, d, "events"), _files(spark, d))
     f = bd.symmetric(3.0)
     fitted = cardinality(level_counts(cells, SMALL, ["window_start"]), SMALL, f.p, f.q)
     return fitted.select("window_start", F.round("n_hat", 2).alias("n_hat"), "status")

@@ -62,3 +62,18 @@ def release_stream(bitmaps: DataFrame, layout: Layout, mechanism, key: str, path
         noisy.write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
 
     return bitmaps.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(sink).start()
+
+
+def covering_days(table: DataFrame, time: str = "ts") -> int:
+    """Days of lateness under which no row of a table is late, in whatever order its files are read."""
+    span = table.agg(F.date_diff(F.max(time), F.min(time)).alias("n")).first()["n"]
+    return (span or 0) + 1
+
+
+def end_marker(table: DataFrame, late_days: int, width_days: int, item: str, time: str = "ts") -> DataFrame:
+    """One row that takes the watermark past the end of the last window of a table. It needs an item, as a filter of
+    null ones may come before the watermark; its own window lies past the watermark and is never released."""
+    kinds = {f.name: f.dataType for f in table.schema}
+    ts = F.max(time) + F.make_dt_interval(F.lit(late_days + 2 * width_days))
+    other = lambda c: F.lit(0 if c == item else None).cast(kinds[c]).alias(c)
+    return table.agg(ts.cast(kinds[time]).alias(time)).select(*[F.col(c) if c == time else other(c) for c in table.columns])

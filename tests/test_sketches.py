@@ -201,3 +201,23 @@ def test_stream_windows_hold_what_the_table_holds(spark, sf, tmp_path):
     assert n(spark.table("w")) == n(table)
     with pytest.raises(ValueError):
         st.release_stream(s, L, bd.symmetric(1.0), "k", str(tmp_path / "out"), str(tmp_path / "cp2"), mode="update")
+
+
+@pytest.mark.parametrize("last_first", [False, True])
+def test_release_has_every_window_and_row_whatever_the_order_of_files(spark, sf, tmp_path, last_first):
+    from mistcount.catalog import companions as co
+
+    e, path = io.read_table(spark, sf, "events"), str(tmp_path / "in")
+    edge = e.agg(F.percentile_approx(F.col("ts").cast("timestamp").cast("long"), [0.4, 0.7])).first()[0]
+    at = F.col("ts").cast("timestamp").cast("long")
+    parts = [e.where(at < edge[0]), e.where((at >= edge[0]) & (at < edge[1])), e.where(at >= edge[1])]
+    for part in reversed(parts) if last_first else parts:
+        part.coalesce(1).write.mode("append").parquet(path)
+    item, f = F.col("user_id").cast("string"), bd.symmetric(3.0)
+    # the noise is a function of key, release, window and cell, so equal bits mean equal sketches
+    batch = st.window_bitmaps(e.withColumn("ts", F.col("ts").cast("timestamp")), item, co.SMALL, "7 days")
+    want = st.private_windows(batch, co.SMALL, f, co.KEY, "stream")
+    rows = lambda df: sorted(map(tuple, df.select("window_start", "cell", "bit").collect()))
+    got = rows(co.released(spark, e, path))
+    assert len({r[0] for r in got}) == batch.select("window").distinct().count() > 3
+    assert got == rows(want)
