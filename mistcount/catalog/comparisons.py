@@ -433,9 +433,9 @@ def a10(spark: SparkSession, d: str) -> DataFrame:
 
 @query("x01_intersection_size")
 def x01(spark: SparkSession, d: str) -> DataFrame:
-    """Sizes of two parties, their union and, by inclusion and exclusion, their intersection. The bitwise AND of two
+    """Sizes of two parties that hold all line items, their union and, by inclusion and exclusion, their intersection. The bitwise AND of two
     sketches is no sketch of the intersection, as different items may set one cell."""
-    noisy = released_parties(spark, d, 4.0).where("party in ('0', '1')")
+    noisy = released_parties(spark, d, 4.0, k=2)
     f = bd.symmetric(4.0)
     each = cardinality(level_counts(noisy, WIDE, ["party"]), WIDE, f.p, f.q)
     one = each.groupBy(F.lit("all").alias("g")).agg(F.sum("n_hat").alias("sum_n"), F.sum(F.pow("stderr", 2)).alias("v"))

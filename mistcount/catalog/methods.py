@@ -146,9 +146,9 @@ def _eps_column() -> Column:
     return F.element_at(F.create_map(*[F.lit(x) for kv in _EPS.items() for x in kv]), F.col("party"))
 
 
-def released_parties(spark: SparkSession, d: str, epsilon: Column | float, layout: Layout = WIDE) -> DataFrame:
+def released_parties(spark: SparkSession, d: str, epsilon: Column | float, layout: Layout = WIDE, k: int = 4) -> DataFrame:
     """Each party's own noisy sketch: party, cell, bit, eps."""
-    bits = sketch(party_items(spark, d), F.col("item"), layout, ["party"])
+    bits = sketch(party_items(spark, d, k), F.col("item"), layout, ["party"])
     return flip_symmetric(bits, F.lit(float(epsilon)) if isinstance(epsilon, int | float) else epsilon, KEY, "parties", ["party"])
 
 

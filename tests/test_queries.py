@@ -32,3 +32,9 @@ def test_entry(spark):
 
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_two_parties_hold_all_line_items(spark, sf, db):
+    n = db.sql("SELECT count(DISTINCT (l_orderkey, l_linenumber)) FROM lineitem").fetchall()[0][0]
+    (row,) = entry.catalog.QUERIES["x01_intersection_size"](spark, sf).collect()
+    assert row["union_n"] == pytest.approx(n, rel=0.15)
