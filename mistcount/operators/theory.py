@@ -56,11 +56,10 @@ def max_feasible_eps(spark: SparkSession, epsilons: list[float], step: float = 1
 
 
 def coupling_agreement(spark: SparkSession, n: int, layout: Layout, trials: int, key: str) -> DataFrame:
-    """How often a sketch of n items, of the same stream cut or carried on to a Poisson length, and of independent
-    cells agree in all bits (n, trials, share_poisson, differing cells).
+    """How often a sketch of n items and one of the same stream cut or carried on to a Poisson length agree in all
+    bits (trials, share_equal, mean_differ, n).
 
-    The Poisson length is a rounded normal draw of the same mean and variance; the independent cells come from
-    a uniform that is shared with the Poisson sketch's law, so only cells whose two chances part can differ.
+    The Poisson length is a rounded normal draw of the same mean and variance; no sketch of independent cells is drawn.
     """
     trial = spark.range(trials).select(F.col("id").alias("trial"))
     u1, u2 = (F.greatest(draw("sim", key, f"len{i}", F.col("trial")) / float(1 << 52), F.lit(1e-15)) for i in (1, 2))
