@@ -267,80 +267,97 @@ def test_slices_change_no_result(spark, monkeypatch):
 # --- 8
 
 
-@pytest.mark.parametrize("head", [400_000, 20])
-def test_scores(spark, docs, empty, monkeypatch, head):
-    monkeypatch.setattr(langmodel, "HEAD", head)
-    extra = spark.createDataFrame([(i, prose(60, i % 25)) for i in range(100, 160)], "doc_id long, text string")
-    df = docs.select("doc_id", "text").unionByName(extra)
-    cases = texts() | {i: prose(60, i % 25) for i in range(100, 160)}
-    out = lambda i: zlib.crc32(str(i).encode()) % 7 == 2
-    counts = Counter(w for i, t in cases.items() if not out(i) for w in langmodel.tokens(t.encode()))
-    n, v = sum(counts.values()), len(counts)
-    model = langmodel.fit(df.where(~langmodel.held_out(F.col("doc_id"))))
-    held = [0, 0.0, 0.0]
-    for r in langmodel.score(df, model).collect():
-        words = langmodel.tokens(cases[r["doc_id"]].encode())
-        assert (r["held_out"], r["n_tokens"], r["n_known"], r["train_tokens"]) == (out(r["doc_id"]), len(words), sum(counts[w] > 0 for w in words), n)
-        assert r["base_score"] == pytest.approx(sum(math.log10((counts[w] + 1) / (n + v + 1)) for w in words))
-        if r["held_out"]:
-            held = [held[0] + len(words), held[1] + r["base_score"], held[2] + r["score"]]
-    assert held[2] > held[1]  # texts that weren't seen are likelier under the model than under the base
-    assert langmodel.score(empty.select("doc_id", "text"), model).count() == 0
-
-
-def test_filter_reads_the_levels_that_were_put_in():
-    h = langmodel.mixed(np.arange(1, 5001, dtype=np.uint64))
-    counts = np.random.default_rng(2).integers(1, 500, 5000)
-    slices, cut = langmodel.split_hash(h)
-    bits = np.zeros(langmodel.FILTER_BITS // 8, np.uint8)
-    for s in np.unique(slices):
-        at = s * (langmodel.SLICE_BITS // 8)
-        bits[at : at + langmodel.SLICE_BITS // 8] = np.frombuffer(langmodel.fill_slice(cut[slices == s], counts[slices == s]), np.uint8)
-    read = langmodel.Filter(bits).counts(h)
-    level = np.floor(np.log2(counts))
-    assert (read >= (2**level + 2 ** (level + 1) - 1) / 2).all()  # never too low
-    assert (read == (2**level + 2 ** (level + 1) - 1) / 2).mean() > 0.95
-    assert (langmodel.Filter(bits).counts(langmodel.mixed(h + np.uint64(77))) == 0).mean() > 0.95
+def lm_cases():
+    return texts() | {i: prose(60, i % 25) for i in range(100, 400)}
+
+
+def unseen(i):
+    return zlib.crc32(str(i).encode()) % 7 == 2
+
+
+def brute_score(lists, rate_middle):
+    """Scores from dictionaries of exact counts, read through their levels' middles."""
+    train = [x for i, x in lists.items() if not unseen(i)]
+    words, pairs = Counter(w for x in train for w in x), Counter(p for x in train for p in zip([langmodel.END, *x], x, strict=False))
+    threes = Counter(t for x in train for t in zip([langmodel.END, *x], x, x[1:], strict=False))
+    scale, (k, m) = sum(words.values()) + len(words) + 1, langmodel.PRIORS
+    found = {}
+    for i, x in lists.items():
+        before, total = [langmodel.END, *x], 0.0
+        for j, w in enumerate(x):
+            p = rate_middle(pairs[before[j], w])
+            chance = (p + k * (rate_middle(words[w]) + 1) / scale) / (max(rate_middle(words[before[j]]), p) + k)
+            if j:
+                t = rate_middle(threes[before[j - 1], before[j], w])
+                chance = (t + m * chance) / (max(rate_middle(pairs[before[j - 1], before[j]]), t) + m)
+            total += math.log10(chance)
+        found[i] = total
+    return words, found
+
+
+@pytest.mark.parametrize(("size", "grams", "together"), [(1, 1 << 21, True), (2000, 500, False), (10**9, 500, True)])
+def test_scores_are_those_of_a_brute_force_model(spark, docs, empty, monkeypatch, size, grams, together):
+    """By chunks of one batch, some and all texts, with few and many slices, filled apart from and together with the
+    answers; at a false rate of 1e-12 nothing stands between, at the usual one a little."""
+    monkeypatch.setattr(langmodel, "CHUNK_BYTES", size)
+    monkeypatch.setattr(langmodel, "SLICE_GRAMS", grams)
+    cases = lm_cases()
+    df = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(i, t) for i, t in cases.items() if i >= 100], "doc_id long, text string"))
+    lists = {i: langmodel.tokens(t.encode()) for i, t in cases.items()}
+    words, want = brute_score(lists, lambda n: (3 * 2 ** math.floor(math.log2(n)) - 1) / 2 if n else 0.0)
+    n, v, out = sum(words.values()), len(words), langmodel.held_out(F.col("doc_id"))
+    held = [0.0, 0.0]
+    for rate in (1e-12, langmodel.FALSE_RATE):
+        if together:
+            rows = langmodel.fit_and_score(df, ~out, false_rate=rate).collect()
+        else:
+            model = langmodel.fit(df.where(~out), false_rate=rate)
+            rows = langmodel.score(df, model).collect()
+        assert sorted(r["doc_id"] for r in rows) == sorted(cases)
+        wrong = []
+        for r in rows:
+            x = lists[r["doc_id"]]
+            assert (r["held_out"], r["n_tokens"], r["n_known"], r["train_tokens"]) == (unseen(r["doc_id"]), len(x), sum(words[w] > 0 for w in x), n)
+            assert r["base_score"] == pytest.approx(sum(math.log10((words[w] + 1) / (n + v + 1)) for w in x))
+            wrong.append(abs(r["score"] - want[r["doc_id"]]) / len(x))
+            if r["held_out"]:
+                held = [held[0] + r["base_score"], held[1] + r["score"]]
+        assert max(wrong) < 1e-9 if rate < 1e-9 else np.mean(wrong) < 0.02
+    assert held[1] > held[0]  # texts that weren't seen are likelier under the model than under the base
+    assert langmodel.fit_and_score(empty, ~out).count() == 0
+    nothing = langmodel.fit_and_score(df, F.lit(False)).collect()
+    assert len(nothing) == len(cases) and all(r["n_known"] == 0 and r["train_tokens"] == 0 and r["base_score"] == 0 for r in nothing)
+    if not together:
+        assert langmodel.score(empty, model).count() == 0
+
+
+def test_registered_scores_on_whole_tables(spark, sf):
+    """The query itself, over all documents of a table, against the brute-force model."""
+    rows = {r["doc_id"]: r["text"] or "" for r in common.table(spark, sf, "documents").collect()}
+    lists = {i: langmodel.tokens(t.encode()) for i, t in rows.items()}
+    _, want = brute_score(lists, lambda n: (3 * 2 ** math.floor(math.log2(n)) - 1) / 2 if n else 0.0)
+    wrong = [abs(r["score"] - want[r["doc_id"]]) / r["n_tokens"] for r in langmodel.op8_lm_scoring(spark, sf).collect()]
+    assert len(wrong) == len(rows) and np.mean(wrong) < 0.02
+
+
+def test_counts_of_255_and_more_are_kept_whole():
+    counts = np.array([0, 1, 254, 255, 256, 70_000, 3, 1 << 31])
+    a, b = langmodel._packed(counts[:4]), langmodel._packed(counts[4:])
+    assert langmodel._unpacked([a[0], b[0]], [a[1], b[1]]).tolist() == counts.tolist()
 
 
 @pytest.mark.parametrize("n", [1000, 400_000])
 def test_slices_keep_their_false_rate_at_any_load(n):
-    """A slice of fixed size is full of ones with so many n-grams, and answers every level for any n-gram."""
     r = np.random.default_rng(4)
     h = np.unique(r.integers(0, 1 << 32, n + n // 8).astype(np.uint32))
-    unseen, h = h[::9], np.delete(h, np.s_[::9])
-    counts = np.minimum(r.zipf(1.8, len(h)), 10**6).astype(np.uint32)
-    group = pa.table({"kind": [1], "slice": [7], "hashes": [h.tobytes()], "counts": [counts.tobytes()]})
-    bits = np.frombuffer(langmodel._merge((pa.scalar(1), pa.scalar(7)), group).column("bits")[0].as_py(), np.uint8)
+    missing, h = h[::9], np.delete(h, np.s_[::9])
+    counts = np.minimum(r.zipf(1.8, len(h)), 10**6)
+    bits = np.frombuffer(langmodel.fill_slice(h, counts, langmodel.slice_size(int(langmodel.levels_of(counts).sum()))), np.uint8)
     assert np.unpackbits(bits).mean() == pytest.approx(langmodel.FALSE_RATE ** (1 / langmodel.PROBES), rel=0.1)
-    told = lambda x: langmodel.Filter(bits, 8 * len(bits)).levels(np.zeros(len(x), np.int64), x)
-    assert (told(unseen) > 0).mean() < 0.02 + 3 / len(unseen)
+    assert (langmodel.probe_slice(bits, missing) > 0).mean() < 0.02 + 3 / len(missing)
     exact = np.floor(np.log2(counts)) + 1
-    assert (told(h) >= exact).all() and (told(h) == exact).mean() > 0.97
-
-
-@pytest.mark.parametrize("size", [1, 2000, 10**9])
-def test_scores_are_those_of_exact_levels(spark, docs, monkeypatch, size):
-    """By chunks of one batch, some and all texts, from dictionaries of exact counts."""
-    monkeypatch.setattr(langmodel, "CHUNK_BYTES", size)
-    cases = texts() | {i: prose(60, i % 25) for i in range(100, 400)}
-    df = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(i, t) for i, t in cases.items() if i >= 100], "doc_id long, text string"))
-    lists = {i: langmodel.tokens(t.encode()) for i, t in cases.items()}
-    train = [x for i, x in lists.items() if zlib.crc32(str(i).encode()) % 7 != 2]
-    words, pairs = Counter(w for x in train for w in x), Counter(p for x in train for p in zip([langmodel.END, *x], x, strict=False))
-    scale = sum(words.values()) + len(words) + 1
-    middle = lambda n: (3 * 2 ** math.floor(math.log2(n)) - 1) / 2 if n else 0.0
-    wrong = {}
-    rows = langmodel.score(df, langmodel.fit(df.where(~langmodel.held_out(F.col("doc_id"))))).collect()
-    assert sorted(r["doc_id"] for r in rows) == sorted(cases)
-    for r in rows:
-        x = lists[r["doc_id"]]
-        want = 0.0
-        for a, b in zip([langmodel.END, *x], x, strict=False):
-            p = middle(pairs[a, b])
-            want += math.log10((p + langmodel.PRIOR * (middle(words[b]) + 1) / scale) / (max(middle(words[a]), p) + langmodel.PRIOR))
-        wrong[r["doc_id"]] = abs(r["score"] - want) / len(x)
-    assert np.mean(list(wrong.values())) < 0.01  # only the filter's false answers stand between
+    told = langmodel.probe_slice(bits, h)
+    assert (told >= exact).all() and (told == exact).mean() > 0.97
 
 
 # --- 9
