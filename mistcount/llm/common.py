@@ -10,7 +10,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: ASCII white space, which separates words: tab, line feed, vertical tab, form feed, carriage return, space.
@@ -64,6 +64,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def running(df: DataFrame, order: list[Column], sums: dict[str, Column]) -> DataFrame:
+    """df with the sums of some values over all rows before each one in a total order. Ranges of the order are summed
+    each on its own; what lies before a range comes from a row a range. df must not hold the names given or `_range`."""
+    given = df.select("*", *[x.alias(f"_of_{c}") for c, x in sums.items()])
+    ranged = written(given.repartitionByRange(partitions(df.sparkSession), *order).withColumn("_range", F.spark_partition_id()), "ranges")
+    before = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)  # over a row a range
+    offsets = ranged.groupBy("_range").agg(*[F.sum(f"_of_{c}").alias(f"_sum_{c}") for c in sums]).select("_range", *[F.sum(f"_sum_{c}").over(before).alias(f"_sum_{c}") for c in sums])
+    inside = Window.partitionBy("_range").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    found = ranged.join(F.broadcast(offsets), "_range")
+    added = [(F.coalesce(F.col(f"_sum_{c}"), F.lit(0)) + F.coalesce(F.sum(f"_of_{c}").over(inside), F.lit(0))).alias(c) for c in sums]
+    return found.select(*[F.col(f"`{c}`") for c in df.columns], *added)
+
+
 def text_bytes(column: pa.Array) -> list[bytes | None]:
     """Values of an Arrow string or binary column as bytes."""
     if isinstance(column, pa.ChunkedArray):
