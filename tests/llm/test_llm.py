@@ -149,6 +149,27 @@ def test_license_scan(spark, docs, empty):
     assert licenses.scan(empty).count() == 0 and licenses.scan(docs).count() == len(CASES)
 
 
+def test_whole_license_texts_are_found(spark):
+    texts_ = dict(licenses.TEXTS)
+    assert min(len(t.split()) for t in texts_.values()) > 65
+    rows = [(i, f"{prose(30, i)} {t.title()} {prose(20, i)}") for i, t in enumerate(texts_.values())]
+    words = texts_["mit-text"].split()
+    rows.append((10, " ".join(words[:60] + ["added"] + words[60:100] + words[102:])))  # a word more and two fewer
+    rows.append((11, " ".join(words[: len(words) // 2])))  # half of it is not the license
+    rows.append((12, " ".join(words[:70] + ["x"] * 400 + words[70:])))
+    long = tuple((True, "all", t) for label, t in licenses.TEXTS if label == "mit-text")
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r for r in licenses.scan(df).collect()}
+    for i, label in enumerate(texts_):
+        assert label in got[i]["labels"].split(",") and got[i]["score"] == 1.0
+        assert {x for x in got[i]["labels"].split(",") if x.endswith("-text")} == {label}
+    assert "mit-text" in got[10]["labels"] and 0.9 < got[10]["score"] <= 1
+    assert "mit-text" not in got[11]["labels"] and "mit-text" not in got[12]["labels"]
+    # a phrase of over 65 words: all places, on one diagonal
+    bases = {r["doc_id"]: (r["n_base"], r["first_word"]) for r in licenses.scan(df, known=long).collect()}
+    assert bases[list(texts_).index("mit-text")] == (1, 30) and bases[10] == (0, None) and bases[11] == (0, None)
+
+
 # --- 5
 
 
@@ -235,35 +256,58 @@ def test_removal_keeps_rows_and_columns(docs, empty):
 
 
 def test_mixing_hits_targets(spark, docs, empty):
-    rows = [(i, prose(5 + i % 40, i), f"s{0 if i % 3 == 0 else i % 7}") for i in range(400)] + [(900, None, "nothing"), (901, "a b c", None)]
+    rows = [(i, prose(5 + i % 40, i), f"s{0 if i % 3 == 0 else i % 7}") for i in range(400)] + [(900, None, "nothing"), (901, "a b c", None), (17, prose(22, 17), "s3"), (17, prose(22, 17), "s3")]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string")
-    got = mixing.mix(df.withColumn("_n", mixing.word_count(F.col("text"))), F.col("_n")).collect()
+    run = lambda: mixing.mix(df, mixing.word_count(F.col("text"))).collect()
+    got = run()
     by = defaultdict(list)
     for r in got:
-        by[r["source"]].append(r)
+        by[r["row"]["source"]].append(r)
         assert 0 <= r["taken"] <= 3 * r["size"]
     total = sum(r["size"] for r in got)
     for rs in by.values():
         assert rs[0]["source_size"] == sum(r["size"] for r in rs)
         assert rs[0]["target"] <= 3 * rs[0]["source_size"] + 1e-6
         assert abs(sum(r["taken"] for r in rs) - rs[0]["target"]) <= 1
+        # the line of the source, in closed form, is what the one queue of all sources comes to
+        line = math.floor(rs[0]["target"] + 1e-6)
+        for r in rs:
+            assert r["taken"] == sum(max(0, min(r["size"], line - e * r["source_size"] - r["before"])) for e in range(3))
     assert sum(rs[0]["target"] for rs in by.values()) == pytest.approx(total)
     mixed = mixing.mixed_documents(df)
     assert mixed.columns == df.columns
     assert mixed.agg(F.sum(mixing.word_count(F.col("text")))).first()[0] == sum(r["taken"] for r in got)
-    assert sorted(map(str, got)) == sorted(map(str, mixing.mix(df.withColumn("_n", mixing.word_count(F.col("text"))), F.col("_n")).collect()))
-    assert mixing.mixed_documents(empty).count() == 0
+    assert sorted(map(str, got)) == sorted(map(str, run()))
+    assert mixing.mixed_documents(empty).count() == 0 and mixing.mix(empty, F.lit(1)).count() == 0
     assert mixing.mixed_documents(docs).columns == docs.columns
 
 
-def test_slices_change_no_result(spark, monkeypatch):
-    df = spark.createDataFrame([(i, i % 9, "s") for i in range(300)], "doc_id long, w long, source string")
-    run = lambda: sorted((r["doc_id"], r["before"], r["taken"]) for r in mixing.mix(df, F.col("w")).collect())
+@pytest.mark.parametrize("broadcast", [0, 200_000])
+def test_mixing_by_slices_and_joins_changes_no_result(spark, monkeypatch, broadcast):
+    df = spark.createDataFrame([(i, i % 9, f"s{i % 5 % 3}") for i in range(300)], "doc_id long, w long, source string")
+    run = lambda: sorted((r["row"]["doc_id"], r["before"], r["taken"]) for r in mixing.mix(df, F.col("w")).collect())
     whole = run()
     monkeypatch.setattr(mixing, "SLICE", 7)
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", broadcast)
     assert run() == whole
 
 
+def test_mixing_leaves_columns_of_any_name_alone(spark):
+    names = ["doc_id", "source", "w", "target", "source_size", "size", "before", "taken", "_slice", "_offset", "_u", "_source", "row", "rounds"]
+    df = spark.createDataFrame([(i, "a", 5, *[f"{c}{i}" for c in names[3:]]) for i in range(9)], f"doc_id long, source string, w long, {', '.join(f'{c} string' for c in names[3:])}")
+    for r in mixing.mix(df, F.col("w")).collect():
+        assert [r["row"][c] for c in names[3:]] == [f"{c}{r['row']['doc_id']}" for c in names[3:]] and r["taken"] == 5
+
+
+def test_running_sums_follow_one_order(spark):
+    df = spark.createDataFrame([(i * 7919 % 1000, i % 4) for i in range(1000)], "k long, x long").repartition(3)
+    got = sorted(common.running(df, [F.col("k")], {"ahead": F.col("x")}).collect())
+    total = 0
+    for r in got:
+        assert r["ahead"] == total
+        total += r["x"]
+
+
 # --- 8
 
 
