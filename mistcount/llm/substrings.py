@@ -11,12 +11,13 @@ for each different piece it has met, and settles further ones at once, so that c
 passages are no hot keys. Each shard builds a suffix array of its pieces by induced sorting, and their
 common prefixes; where `length` bytes are shared, strings are equal, and their places are removed. A
 hash whose pieces are all equal needs no sorting. A
-hash whose different pieces outgrow a shard (HOT_BYTES) is settled string by string instead.
+hash whose different pieces outgrow a shard (HOT_BYTES) is settled string by string instead, each told by a 128-bit
+hash and its offset, so that no string is shuffled.
 
 Texts that are equal count as so many copies of one text. Null texts are empty; texts shorter than
 `length` are never changed; very long ones are held one at a time. Rows keep their own results, repeated
-ones included; an empty table gives an empty result. Texts and pieces are told apart by 64-bit hashes
-(pieces together with the hash they belong to).
+ones included, and all their columns, whatever their names; an empty table gives an empty result. Equal strings are all
+removed, so nothing hangs on ties. Texts and pieces are told apart by 64-bit hashes (pieces together with the hash they belong to).
 """
 
 from __future__ import annotations
@@ -165,8 +166,8 @@ def _batch(h: np.ndarray, kind: int, text: np.ndarray, place: np.ndarray, n: np.
 
 
 CONTENT, PLACE, WHOLE, VERDICT, STRING = 0, 1, 2, 3, 4
-FOUND = "key long, kind int, h long, piece long, th long, place int, n int, weight long, bytes binary"
-_KINDS = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary())
+FOUND = "kind int, h long, piece long, th long, place int, n int, weight long, bytes binary"
+_KINDS = (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary())
 _NAMES = [x.split()[0] for x in FOUND.split(", ")]
 
 
@@ -192,9 +193,9 @@ def _contents(length: int):
             out = []
             for (h, content), (weight, where) in known.items():
                 piece = _signed(xxhash.xxh64_intdigest(content))
-                out.append((h, CONTENT, h, piece, None, None, len(content) - length + 1, weight, content))
+                out.append((CONTENT, h, piece, None, None, len(content) - length + 1, weight, content))
                 # pieces that stand twice here are removed as a whole, whatever the shard finds
-                out += [(_signed((th * 0x9E3779B97F4A7C15 + place) & (1 << 64) - 1), WHOLE if weight > 1 else PLACE, h, piece, th, place, n, None, None) for th, place, n in where]
+                out += [(WHOLE if weight > 1 else PLACE, h, piece, th, place, n, None, None) for th, place, n in where]
             for at in range(0, len(out), 50_000):
                 yield _found(out[at : at + 50_000])
 
@@ -206,7 +207,7 @@ def repeated(contents: list[bytes], weights: list[int], length: int = LENGTH) ->
     raw = b"\xff".join(contents)
     sizes = np.array(list(map(len, contents)), np.int64)
     starts = np.cumsum(sizes + 1) - sizes - 1
-    order = suffix_array(np.frombuffer(raw, np.uint8), 256, length + 8)
+    order = suffix_array(np.frombuffer(raw, np.uint8))
     shared = common_prefixes(raw, order)
     owner = np.searchsorted(starts, order, side="right") - 1
     counts = order + length <= starts[owner] + sizes[owner]  # the string ends inside its piece
@@ -224,16 +225,16 @@ def spans(hit: np.ndarray) -> np.ndarray:
 
 
 def _sort_shards(length: int):
-    """Contents sorted by hash -> verdicts; other rows pass."""
+    """Contents sorted by hash -> verdicts, and strings of hashes that outgrow a shard."""
 
     def settle(shard: list[tuple]) -> pa.RecordBatch | None:
         hits = repeated([c for _, _, c, _ in shard], [w for *_, w in shard], length)
-        out = [(h, VERDICT, h, piece, None, None, None, None, spans(hit).astype("<i4").tobytes()) for (h, piece, _, _), hit in zip(shard, hits, strict=True) if hit.any()]
+        out = [(VERDICT, h, piece, None, None, None, None, spans(hit).astype("<i4").tobytes()) for (h, piece, _, _), hit in zip(shard, hits, strict=True) if hit.any()]
         return _found(out) if out else None
 
     def strings(group: list[tuple]) -> Iterator[pa.RecordBatch]:
         for h, piece, content, weight in group:
-            yield _found([(h, STRING, h, piece, None, i, None, weight, content[i : i + length]) for i in range(len(content) - length + 1)])
+            yield _found([(STRING, h, piece, None, i, None, weight, xxhash.xxh3_128_digest(content[i : i + length])) for i in range(len(content) - length + 1)])
 
     def sort(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard: list[tuple] = []  # complete hashes
@@ -248,17 +249,13 @@ def _sort_shards(length: int):
                 # recur if the piece does, and none otherwise: a sort could tell no more
                 ((piece, content), weight), *_ = group.items()
                 if weight > 1:
-                    alone.append((current, VERDICT, current, piece, None, None, None, None, np.array([0, len(content) - length + 1], "<i4").tobytes()))
+                    alone.append((VERDICT, current, piece, None, None, None, None, np.array([0, len(content) - length + 1], "<i4").tobytes()))
             else:
                 shard.extend((current, p, c, w) for (p, c), w in group.items())
                 size += group_size
             group, group_size = {}, 0
 
         for batch in batches(rows, 4096):
-            kind = batch.column("kind").to_numpy()
-            if (kind != CONTENT).any():
-                yield batch.filter(pa.array(kind != CONTENT))
-            batch = batch.filter(pa.array(kind == CONTENT))
             for h, piece, weight, content in zip(*(batch.column(c).to_pylist() for c in ("h", "piece", "weight", "bytes")), strict=True):
                 if h != current:
                     close()
@@ -326,13 +323,15 @@ def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gr
     distinct = keyed.groupBy("th").agg(F.first("text").alias("text"), F.count("*").alias("copies"))
     # rows of equal texts gave equal pieces
     lists = distinct.join(by_text, "th").withColumn("x", F.array_distinct("x")).select("th", "text", "copies", *[F.col(f"x.{c}").alias(d) for c, d in (("h", "hs"), ("place", "places"), ("n", "ns"))])
-    dealt = lists.mapInArrow(_contents(length), FOUND).repartition(partitions(spark), "key").sortWithinPartitions("kind", "key", "piece")
-    found = written(dealt.mapInArrow(_sort_shards(length), FOUND).drop("key"), "pieces")
+    # places are kept where they were found; only contents are dealt by their hash
+    found = written(lists.mapInArrow(_contents(length), FOUND), "pieces")
+    dealt = found.where(F.col("kind") == CONTENT).select("h", "piece", "weight", "bytes").repartition(partitions(spark), "h").sortWithinPartitions("h", "piece")
+    settled = written(dealt.mapInArrow(_sort_shards(length), FOUND).select("kind", "h", "piece", "place", "weight", "bytes"), "verdicts")
     whole = found.where(F.col("kind") == WHOLE).select("th", "place", "n", F.lit(None).cast("binary").alias("verdict"))
-    verdicts = found.where(F.col("kind") == VERDICT).select("h", "piece", F.col("bytes").alias("verdict"))
+    verdicts = settled.where(F.col("kind") == VERDICT).select("h", "piece", F.col("bytes").alias("verdict"))
     single = found.where(F.col("kind") == PLACE).select("th", "place", "n", "h", "piece")
     parts = single.join(verdicts, ["h", "piece"]).select("th", "place", "n", "verdict").unionByName(whole)
-    strings = found.where(F.col("kind") == STRING).select("h", "piece", F.col("place").alias("i"), "weight", "bytes")
+    strings = settled.where(F.col("kind") == STRING).select("h", "piece", F.col("place").alias("i"), "weight", "bytes")
     if strings.limit(1).count():  # hashes whose pieces outgrew a shard
         twice = strings.groupBy("bytes").agg(F.sum("weight").alias("w")).where("w > 1").select("bytes")
         hot = strings.join(twice, "bytes").select("h", "piece", "i")

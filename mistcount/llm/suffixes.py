@@ -1,21 +1,25 @@
 """Suffix arrays by induced sorting, and permuted common prefixes, on numpy arrays.
 
 Induced sorting classifies suffixes as smaller (S) or larger (L) than their successor, sorts the
-leftmost S ones (those after an L), and induces all others from them in one scan for each type. A scan
-goes bucket by bucket, by first symbol: what a bucket induces is dealt to the buckets of the preceding
-symbols with a stable sort, so each suffix is handled once in array operations.
+leftmost S ones (those after an L), and induces all others from them in one scan for each type.
 
-The order of the leftmost S suffixes is that of the string of their substrings' names. It is found by
-the same procedure while its alphabet is small; a string of many names, whose buckets would be tiny, is
-sorted by doubling ranks instead.
+A scan goes over blocks of neighbouring buckets (first symbols). What a block induces in later blocks is dealt to
+them, in order, with a stable sort. Suffixes that a block induces within itself follow, in their bucket, those that
+came from before, in the order of the suffixes that induced them; that order is found by repeating a sort as often
+as such suffixes follow one another. So each suffix is handled a few times, in array operations, whether buckets
+are large or tiny. The scan for S suffixes is that for L ones with symbols turned round.
+
+The order of the leftmost S suffixes is that of the string of their substrings' names, which is found by
+the same procedure, level after level, until all names differ. A level has at most half of the symbols of the one
+above. An empty string has an empty array; equal suffixes cannot occur, as a shorter one comes first.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-#: Symbols that a bucket must hold on average for another level of induced sorting.
-BUCKET = 4096
+#: Suffixes in a block of buckets, about; a bucket of more is a block of its own.
+BLOCK = 1 << 15
 
 
 def smaller(text: np.ndarray) -> np.ndarray:
@@ -27,66 +31,95 @@ def smaller(text: np.ndarray) -> np.ndarray:
     return np.append(rises, False)[at]
 
 
-def _deal(pending: list[list[np.ndarray]], text: np.ndarray, before: np.ndarray) -> None:
-    """Suffixes go to the buckets of their first symbols, in their order."""
-    symbols = text[before]
-    order = np.argsort(symbols, kind="stable")
-    symbols, before = symbols[order], before[order]
-    edges = np.flatnonzero(np.concatenate([[True], symbols[1:] != symbols[:-1], [True]]))
-    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
-        pending[int(symbols[a])].append(before[a:b])
-
-
 def _join(parts: list[np.ndarray]) -> np.ndarray:
     return np.concatenate(parts) if parts else np.empty(0, np.int64)
 
 
+def _narrow(values: np.ndarray, most: int) -> np.ndarray:
+    """Values below `most` in a type that numpy sorts fast."""
+    return values.astype(np.uint16, copy=False) if most <= 1 << 16 else values
+
+
+def _blocks(text: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The block of each symbol, and the symbols where blocks begin and the last one ends."""
+    sizes = np.bincount(text, minlength=size)
+    large = sizes > BLOCK
+    after = np.concatenate([[False], large[:-1]])
+    number = (np.cumsum(sizes) - sizes) // BLOCK
+    new = np.concatenate([[True], number[1:] != number[:-1]]) | large | after
+    return _narrow(np.cumsum(new) - 1, size), np.append(np.flatnonzero(new), size)
+
+
+def _in_block(text: np.ndarray, low: int, high: int, mine: np.ndarray, came: np.ndarray, seeds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All suffixes of a block in the scan's order, and which of them are seeds."""
+    waves, causes, slot, last, last_slots = [], [], len(came) + len(seeds), np.concatenate([came, seeds]), None
+    last_slots = np.arange(slot)
+    while True:
+        live = last > 0
+        before, cause = last[live] - 1, last_slots[live]
+        live = mine[before] & (text[before] <= high - 1)
+        before, cause = before[live], cause[live]
+        if not len(before):
+            break
+        waves.append(before)
+        causes.append(cause)
+        last, last_slots = before, np.arange(slot, slot + len(before))
+        slot += len(before)
+    if high - low == 1:  # what came from before, then wave after wave; seeds induce nothing in their own bucket
+        order = np.concatenate([came, *waves, seeds])
+        return order, np.arange(len(order)) >= len(order) - len(seeds)
+    every = np.concatenate([came, seeds, *waves])
+    symbols = _narrow(text[every] - low, high - low)
+    head, tail, own = np.arange(len(came)), np.arange(len(came), len(came) + len(seeds)), np.arange(len(came) + len(seeds), slot)
+    cause, rank = _join(causes), np.empty(slot, np.int64)
+    while True:
+        slots = np.concatenate([head, own, tail])
+        order = slots[np.argsort(symbols[slots], kind="stable")]
+        if not len(own):
+            break
+        rank[order] = np.arange(slot)
+        sorted_own = len(came) + len(seeds) + np.argsort(rank[cause], kind="stable")
+        if (sorted_own == own).all():
+            break
+        own = sorted_own
+    return every[order], (order >= len(came)) & (order < len(came) + len(seeds))
+
+
+def _scan(text: np.ndarray, size: int, mine: np.ndarray, seeds: np.ndarray, first: int | None) -> np.ndarray:
+    """The suffixes of one type in order, induced by the given seeds of the other one, which stand behind them in each bucket."""
+    block_of, edges = _blocks(text, size)
+    seeds = seeds[np.argsort(_narrow(text[seeds], size), kind="stable")]
+    at = np.searchsorted(text[seeds], edges)
+    pending: list[list[np.ndarray]] = [[] for _ in range(len(edges) - 1)]
+    if first is not None:
+        pending[block_of[text[first]]].append(np.array([first]))
+    found = []
+    for b in range(len(pending)):
+        low, high = int(edges[b]), int(edges[b + 1])
+        came, pending[b] = _join(pending[b]), []
+        if not len(came) and at[b] == at[b + 1]:
+            continue
+        order, seed = _in_block(text, low, high, mine, came, seeds[at[b] : at[b + 1]])
+        found.append(order[~seed])
+        before = order[order > 0] - 1
+        before = before[mine[before]]
+        before = before[text[before] > high - 1]
+        if len(before):
+            where = block_of[text[before]]
+            dealt = np.argsort(where, kind="stable")
+            where, before = where[dealt], before[dealt]
+            cuts = np.flatnonzero(np.concatenate([[True], where[1:] != where[:-1], [True]])).tolist()
+            for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+                pending[where[i]].append(before[i:j])
+    return _join(found)
+
+
 def induce(text: np.ndarray, size: int, is_s: np.ndarray, leftmost: np.ndarray) -> np.ndarray:
     """All suffixes in the order that follows from the given order of the leftmost S suffixes."""
-    n = len(text)
-    first = text[leftmost]
-    order = np.argsort(first, kind="stable")
-    edges = np.searchsorted(first[order], np.arange(size + 1))
-    seeds = leftmost[order]
-    larger: list[np.ndarray] = [np.empty(0, np.int64)] * size
-    pending: list[list[np.ndarray]] = [[] for _ in range(size)]
-    pending[int(text[n - 1])].append(np.array([n - 1]))
-    for c in range(size):
-        done, front = [], _join(pending[c])
-        pending[c] = []
-        while len(front):
-            done.append(front)
-            before = front[front > 0] - 1
-            before = before[~is_s[before]]
-            same = text[before] == c
-            if (~same).any():
-                _deal(pending, text, before[~same])
-            front = before[same]
-        larger[c] = _join(done)
-        before = seeds[edges[c] : edges[c + 1]] - 1  # a leftmost one always follows an L
-        if len(before):
-            _deal(pending, text, before)
-    found: list[np.ndarray] = []
-    pending = [[] for _ in range(size)]
-    for c in range(size - 1, -1, -1):
-        done, front = [], _join(pending[c])
-        pending[c] = []
-        while len(front):
-            done.append(front)
-            before = front[front > 0] - 1
-            before = before[is_s[before]]
-            same = text[before] == c
-            if (~same).any():
-                _deal(pending, text, before[~same])
-            front = before[same]
-        mine = _join(done)
-        before = larger[c][::-1]
-        before = before[before > 0] - 1
-        before = before[is_s[before]]
-        if len(before):
-            _deal(pending, text, before)
-        found += [mine, larger[c][::-1]]
-    return np.concatenate(found)[::-1]
+    larger = _scan(text, size, ~is_s, leftmost, len(text) - 1)
+    small = _scan(size - 1 - text, size, is_s, larger[::-1], None)[::-1]
+    both = np.concatenate([larger, small])  # larger ones stand first in a bucket
+    return both[np.argsort(_narrow(text[both], size), kind="stable")]
 
 
 def _names(text: np.ndarray, is_s: np.ndarray, places: np.ndarray, order: np.ndarray) -> tuple[np.ndarray, int]:
@@ -110,42 +143,23 @@ def _names(text: np.ndarray, is_s: np.ndarray, places: np.ndarray, order: np.nda
     return number[places], int(m - equal.sum())
 
 
-def by_doubling(names: np.ndarray, depth: int | None) -> np.ndarray:
-    """Suffixes of a string of numbers by their first `depth` symbols (all if None), ties in any order."""
-    n, rank, k = len(names), names.astype(np.int64) + 1, 1
-    while True:
-        second = np.zeros(n, np.int64)
-        second[: max(0, n - k)] = rank[k:]
-        key = rank * (int(rank.max()) + 2) + second
-        order = np.argsort(key, kind="stable")
-        sorted_key = key[order]
-        fresh = np.concatenate([[True], sorted_key[1:] != sorted_key[:-1]])
-        rank = np.empty(n, np.int64)
-        rank[order] = np.cumsum(fresh)
-        k *= 2
-        if fresh.all() or depth is not None and k >= depth or k >= 2 * n:
-            return order
-
-
-def suffix_array(text: np.ndarray, size: int = 256, depth: int | None = None) -> np.ndarray:
-    """Suffixes in order. With a depth, order is by the first `depth` symbols at least, and any beyond."""
-    text = np.asarray(text)
+def suffix_array(text: np.ndarray, size: int = 256) -> np.ndarray:
+    """The suffixes of a string of the symbols 0 to size - 1, in order."""
+    text = np.asarray(text).astype(np.min_scalar_type(size - 1))
     n = len(text)
     if n < 2:
         return np.arange(n)
     is_s = smaller(text)
     places = np.flatnonzero(is_s[1:] & ~is_s[:-1]) + 1
-    if not len(places):
-        return induce(text, size, is_s, places)
     order = induce(text, size, is_s, places)
+    if not len(places):
+        return order
     marked = np.zeros(n, bool)
     marked[places] = True
     order = order[marked[order]]
     names, count = _names(text, is_s, places, order)
     if count < len(places):
-        # two leftmost S suffixes are at least two symbols apart
-        deep = None if depth is None else depth // 2 + 2
-        order = places[suffix_array(names, count, deep) if len(names) >= BUCKET * count else by_doubling(names, deep)]
+        order = places[suffix_array(names, count)]
     return induce(text, size, is_s, order)
 
 

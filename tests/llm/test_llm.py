@@ -206,7 +206,7 @@ def test_suffix_arrays_and_common_prefixes(monkeypatch):
     for trial in range(150):
         t = rng.integers(0, int(rng.integers(1, 5)), int(rng.integers(1, 60))).astype(np.uint8)
         t = np.tile(t, 3) if trial % 3 == 0 else t
-        monkeypatch.setattr(suffixes, "BUCKET", 1 if trial % 2 else 4096)  # with and without a recursion of its own kind
+        monkeypatch.setattr(suffixes, "BLOCK", (1, 2, 5, 1 << 15)[trial % 4])  # buckets alone, in blocks of a few, in one
         raw, want = t.tobytes(), sorted(range(len(t)), key=lambda i: t.tobytes()[i:])
         order = suffixes.suffix_array(t)
         assert order.tolist() == want
