@@ -126,6 +126,15 @@ def split_hash(hashes: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
     return (hashes >> np.uint64(64 - bits)).astype(np.int64), ((hashes >> np.uint64(32 - bits)) & np.uint64(0xFFFFFFFF)).astype(np.uint32)
 
 
+def planes(values: np.ndarray) -> bytes:
+    """Unsigned 32-bit integers with all lowest bytes first, then the next ones: sorted or small ones compress well."""
+    return values.astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()
+
+
+def from_planes(raw: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(4, -1).T).view("<u4").ravel()
+
+
 #: The middle of the range of counts of each level; 0 for none.
 MIDDLE = np.concatenate([[0.0], (3 * np.exp2(np.arange(LEVELS)) - 1) / 2])
 
@@ -141,7 +150,7 @@ def _encode(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def chunk() -> pa.RecordBatch:
         doc, out, trains, lengths, h = (list(x) for x in zip(*held, strict=True))
         words, ids = np.unique(np.concatenate(h), return_inverse=True)
-        cells = [np.concatenate(trains).astype(np.uint8).tobytes(), np.concatenate(lengths).astype("<u4").tobytes(), words.tobytes(), ids.astype("<u4").tobytes()]
+        cells = [np.concatenate(trains).astype(np.uint8).tobytes(), np.concatenate(lengths).astype("<u4").tobytes(), words.tobytes(), planes(ids)]
         lists = [pa.array([pa.concat_arrays(x).to_pylist()], pa.list_(t)) for x, t in ((doc, pa.int64()), (out, pa.bool_()))]
         return pa.record_batch([pa.array([uid]), pa.array([len(ids)]), *lists, *(pa.array([c], pa.binary()) for c in cells)], names=[x.split()[0] for x in CHUNK.split(", ")])
 
@@ -174,7 +183,7 @@ class Grams:
     """The n-grams of a chunk: different ones of each order, and which one stands at each token."""
 
     def __init__(self, words: bytes, ids: bytes, lengths: bytes):
-        self.words, self.ids, self.lengths = np.frombuffer(words, "<u8"), np.frombuffer(ids, "<u4"), np.frombuffer(lengths, "<u4").astype(np.int64)
+        self.words, self.ids, self.lengths = np.frombuffer(words, "<u8"), from_planes(ids), np.frombuffer(lengths, "<u4").astype(np.int64)
         self.inner = np.ones(len(self.ids), bool)
         self.inner[np.cumsum(self.lengths) - self.lengths] = False
         h = self.words[self.ids]
@@ -220,7 +229,7 @@ def _ask(bits: int):
             out = []
             for s in np.flatnonzero(np.diff(edges)).tolist():
                 a, b, c, d = edges[s], edges[s + 1], word_edges[s], word_edges[s + 1]
-                out.append((row["uid"], s, cut[a:b].tobytes(), *_packed(counts[a:b]), g.words[c:d].tobytes(), single[c:d].astype("<u4").tobytes()))
+                out.append((row["uid"], s, planes(cut[a:b]), *_packed(counts[a:b]), g.words[c:d].tobytes(), planes(single[c:d])))
             kinds = (pa.int64(), pa.int64(), *(pa.binary(),) * 5)
             yield pa.record_batch([pa.array(list(x), t) for x, t in zip(zip(*out, strict=True), kinds, strict=True)], names=[x.split()[0] for x in ASKED.split(", ")])
 
@@ -244,14 +253,14 @@ class Asked:
         self.uid, self.slice = group.column("uid"), group.column("slice")
         cells, words = group.column("cut").to_pylist(), group.column("words").to_pylist()
         self.sizes, self.word_sizes = [len(x) // 4 for x in cells], [len(x) // 8 for x in words]
-        self.cut, self.at = np.unique(np.frombuffer(b"".join(cells), "<u4"), return_inverse=True)
+        self.cut, self.at = np.unique(np.concatenate([from_planes(x) for x in cells]), return_inverse=True)
         self.words, self.word_at = np.unique(np.frombuffer(b"".join(words), "<u8"), return_inverse=True)
         self.group = group
 
     def slice_row(self, false_rate: float) -> dict:
         """The slice of the model: its filter's bits, and exact counts of words."""
         counts = np.bincount(self.at, _unpacked(self.group.column("low").to_pylist(), self.group.column("high").to_pylist()), len(self.cut))
-        words = np.bincount(self.word_at, np.frombuffer(b"".join(self.group.column("word_counts").to_pylist()), "<u4"), len(self.words)).astype(np.int64)
+        words = np.bincount(self.word_at, np.concatenate([from_planes(x) for x in self.group.column("word_counts").to_pylist()]), len(self.words)).astype(np.int64)
         cut, counts = self.cut[counts > 0], counts[counts > 0].astype(np.int64)
         bits = fill_slice(cut, counts, slice_size(int(levels_of(counts).sum()), false_rate))
         return {"bits": bits, "hashes": self.words[words > 0], "counts": words[words > 0]}
