@@ -20,14 +20,17 @@ by hash; sets that share too few with any other are done. The rest are put into
 the other. Each first looks for partners by walking down the tree: the overlap with a shared prefix is found once for all
 sets below it, and a subtree is left when the most that can still overlap is less than its sets need, when
 all its sets belong to the walker's group already, or when none of them shares one of its rarest shingles. Every similarity is decided on the sets.
-A block of more than BLOCK sets is dealt into parts, and each pair of parts is one task.
+A block of more than BLOCK sets is dealt by size first: partners differ in size by the threshold at most, so only sets of
+the same and of neighbouring size classes are compared. Each class is dealt into parts, and pairs of parts are tasks.
 
 Blocks and groups are connected components, found by passing on least labels along tables in the
 shared folder until nothing changes.
 
 Null and empty texts have no shingle and no link; a text of one or two words is one shingle. Repeated
 rows, and rows of equal shingles, form a group. Rows with a null doc_id are not linked, as they have no
-id that a group could bear. An empty table gives an empty result. Sets are told apart by 64-bit hashes.
+id that a group could bear. Rows that share a doc_id and have other texts are told apart by their texts. Very long
+texts are read whole, one at a time, and are sets like others. Only doc_id and text are read for the groups; rows that
+stay keep all their columns, whatever their names. An empty table gives an empty result. Sets are told apart by 64-bit hashes.
 """
 
 from __future__ import annotations
@@ -38,7 +41,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import batches, mixed, partitions, table, text_bytes, wrapped, written
@@ -168,9 +171,11 @@ def band_rows(s: np.ndarray) -> np.ndarray:
 
 
 #: n tells the rows apart: of a segment, of a link between nodes a and b, and (0 or more) of a document b with
-#: so many shingles. Few and narrow columns, as there is a row for each segment.
+#: so many shingles, whose key is its text's hash. Few and narrow columns, as there is a row for each segment.
 ROWS = "key long, a long, b long, n int"
 SEGMENT, LINK = -1, -2
+#: The seed of Spark's xxhash64, which tells the texts of rows that share a doc_id apart.
+TEXT_SEED = 42
 
 
 def _rows(key, a, n, b=None) -> pa.RecordBatch:
@@ -212,9 +217,10 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str, ba
                 yield _rows(_deal(a), a, LINK, b)
 
         for batch in batches(rows, 256):
-            sets = shingle_sets(text_bytes(batch.column("text")), hashes, k)
+            texts = text_bytes(batch.column("text"))
+            sets = shingle_sets(texts, hashes, k)
             names = np.array([set_id(s) for s in sets], np.int64)
-            yield _rows(_deal(names), names, np.array(list(map(len, sets)), np.int32), batch.column("doc_id"))
+            yield _rows(np.array([xxhash.xxh64_intdigest(t or b"", TEXT_SEED) for t in texts], np.uint64).view(np.int64), names, np.array(list(map(len, sets)), np.int32), batch.column("doc_id"))
             for i, s in enumerate(sets):
                 if len(s) and batch.column("doc_id")[i].is_valid:
                     keys.append(band_rows(s) if bands else segment_rows(s, percent))
@@ -245,7 +251,7 @@ def candidates(docs: DataFrame, percent: int, k: int, doc_id: str, text: str, ba
 
     narrow = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     dealt = narrow.mapInArrow(segments, ROWS).repartition(partitions(docs.sparkSession), "key").sortWithinPartitions("key", "a")
-    return written(dealt.mapInArrow(meet, ROWS).drop("key"), "links")
+    return written(dealt.mapInArrow(meet, ROWS).withColumn("key", F.when(F.col("n") >= 0, F.col("key"))), "links")
 
 
 def _join_all(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -436,55 +442,87 @@ def _decide(percent: int):
                 if (key, part) != block:
                     yield from settle()
                     held, block = [], (key, part)
-                held.append((node, s))
+                if not held or held[-1][0] != node:  # rows that repeat a doc_id and text give the same set, one after the other
+                    held.append((node, s))
         yield from settle()
 
     return decide
 
 
+PLACED = "block long, class int, parts int, parts_before int, parts_after int"
+
+
 def _sets(k: int):
     def rows(batches_: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = WordHashes()
+        hashes, same = WordHashes(), [x.split()[0] for x in PLACED.split(", ")]
         for batch in batches(batches_, 256):
             sets = shingle_sets(text_bytes(batch.column("text")), hashes, k)
-            yield pa.record_batch([batch.column("block"), batch.column("parts"), batch.column("node"), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32())], names=["block", "parts", "node", "s", "n"])
+            yield pa.record_batch([*(batch.column(c) for c in same), batch.column("node"), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32())], names=[*same, "node", "s", "n"])
 
     return rows
 
 
-def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row: the least doc_id of its group."""
+def linked(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
+    """doc_id, text_hash, n (shingles) of every row, and the label of its group: null without shingles or doc_id."""
     spark = docs.sparkSession
     met = candidates(docs, percent, k, doc_id, text, bands)
-    members = met.where("n >= 0").select(F.col("a").alias("node"), F.col("b").alias("doc_id"), "n")
-    named = members.where("n > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("first"), F.first("n").alias("n"))
+    members = met.where("n >= 0").select(F.col("a").alias("node"), F.col("b").alias("doc_id"), F.col("key").alias("text_hash"), "n")
+    # one document for each set: the least id, and of its texts the least hash
+    named = members.where("n > 0 and doc_id is not null").groupBy("node").agg(F.min(F.struct("doc_id", "text_hash")).alias("first"), F.first("n").alias("n"))
     blocks = components(met.where(F.col("n") == LINK).select("a", "b").distinct())
-    sizes = blocks.join(named, "node").groupBy("label").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("parts"))
-    # one document for each set of a block, whose text is read again; never by broadcast, as blocks grow with the corpus
-    wanted = written(blocks.join(sizes, "label").join(named, "node").select(F.col("first").alias("_doc"), "node", F.col("label").alias("block"), "parts"), "blocks")
-    texts = docs.select(F.col(doc_id).cast("long").alias("_doc"), F.col(text).alias("text")).join(wanted.hint("merge"), "_doc").select("block", "parts", "node", "text")
-    sets = texts.mapInArrow(_sets(k), "block long, parts int, node long, s binary, n int")
-    # a block of several parts is compared part by part: set i goes to the tasks of all pairs with its part
-    mine = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
-    pairs = F.when(F.col("parts") == 1, F.array(F.lit(0))).otherwise(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.least(mine, j) * F.col("parts") + F.greatest(mine, j)))
-    dealt = sets.withColumn("part", F.explode(F.array_distinct(pairs))).repartition(partitions(spark), "block", "part").sortWithinPartitions("block", "part", "n", "node")
+    # sets of a block are dealt into size classes of which only neighbouring ones can hold partners
+    within = F.floor(F.log("n") / math.log(100 / percent) + 1e-9).cast("int") if percent < 100 else F.col("n")
+    placed = written(blocks.join(named, "node").select("node", F.col("label").alias("block"), F.col("first.doc_id").alias("_doc"), F.col("first.text_hash").alias("_hash"), "n", within.alias("class")), "placed")
+    whole = placed.groupBy("block").agg(F.count("*").alias("all"), F.sum("n").alias("shingles")).where((F.col("all") > BLOCK) | (F.col("shingles") > BLOCK_SHINGLES))
+    classes = placed.join(whole, "block").groupBy("block", "class").agg(F.ceil(F.greatest(2 * F.count("*") / BLOCK, 2 * F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("parts"))
+    after = classes.select("block", (F.col("class") - 1).alias("class"), F.col("parts").alias("parts_after"))
+    before = classes.select("block", (F.col("class") + 1).alias("class"), F.col("parts").alias("parts_before"))
+    plan = classes.join(after, ["block", "class"], "left").join(before, ["block", "class"], "left")
+    # never by broadcast, as blocks grow with the corpus
+    wanted = placed.join(plan.hint("merge"), ["block", "class"], "left")
+    # one document for each set of a block, whose text is read again
+    rows = docs.select(F.col(doc_id).cast("long").alias("_doc"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("_hash"), F.col(text).alias("text")).join(written(wanted, "blocks").hint("merge"), ["_doc", "_hash"])
+    sets = rows.select("block", "class", "parts", "parts_before", "parts_after", "node", "text").mapInArrow(_sets(k), f"{PLACED}, node long, s binary, n int")
+    dealt = sets.withColumn("part", F.explode(_tasks())).repartition(partitions(spark), "block", "part").sortWithinPartitions("block", "part", "n", "node")
     links = written(dealt.select("block", "part", "node", "s").mapInArrow(_decide(percent), "a long, b long"), "similar")
     labels = components(links)
-    # the least doc_id of a group, by node; equal sets without a link are a group as well
-    grouped = named.drop("n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    least = grouped.groupBy("label").agg(F.min("first").alias("component"))
-    by_node = grouped.join(least, "label").select("node", "component")
-    found = members.join(by_node, "node", "left").withColumn("component_id", F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")))
-    return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
+    by_node = named.select("node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    return members.join(by_node, "node", "left").select("doc_id", "text_hash", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("label")).alias("label"))
+
+
+def _tasks() -> Column:
+    """The tasks that compare a set: one for a block of a single part; else those of its part with each part of its own
+    size class, of the class before and of the one after. A task is named by the class of its smaller sets and two parts."""
+    mine = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
+    name = lambda which, i, j, same: F.xxhash64(which, i, j, F.lit(same))
+    own = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: name(F.col("class"), F.least(mine, j), F.greatest(mine, j), 1))
+    none = F.array().cast("array<bigint>")
+    up = F.when(F.col("parts_after").isNull(), none).otherwise(F.transform(F.sequence(F.lit(0), F.col("parts_after") - 1), lambda j: name(F.col("class"), mine, j, 0)))
+    down = F.when(F.col("parts_before").isNull(), none).otherwise(F.transform(F.sequence(F.lit(0), F.col("parts_before") - 1), lambda j: name(F.col("class") - 1, j, mine, 0)))
+    return F.when(F.col("parts").isNull(), F.array(F.lit(0).cast("long"))).otherwise(F.concat(own, up, down))
+
+
+def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
+    """doc_id, n_shingles, component_id of every row: the least doc_id of its group."""
+    rows = linked(docs, percent, k, doc_id, text, bands)
+    # a row a group and task before the shuffle, so a group of many copies is no hot key; the join's side grows with the corpus
+    least = rows.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component"))
+    found = rows.join(least, "label", "left")
+    return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
-    """The rows of docs that are the first of their group, with the columns of docs; of rows that repeat that
-    doc_id one stays. Rows with a null doc_id stay."""
-    first = groups(docs, percent, k, doc_id, text, bands).where("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
-    rows = wrapped(docs).withColumn("_id", F.col(f"row.{doc_id}").cast("long"))
-    kept = rows.join(first, F.col("_id") == F.col("_first"), "left_semi").dropDuplicates(["_id"])
-    return kept.unionByName(rows.where("_id is null")).select("row.*")
+    """The rows of docs that are the first of their group, with the columns of docs: the least doc_id, and of rows with
+    that id and other texts the least text hash. Of rows that repeat that id and text the one whose row has the least hash stays.
+    Rows without a shingle are in no group; repeated ones are treated in the same way. Rows with a null doc_id stay."""
+    rows = linked(docs, percent, k, doc_id, text, bands).where("doc_id is not null")
+    alone = rows.where("label is null").select("doc_id", "text_hash")
+    first = rows.where("label is not null").groupBy("label").agg(F.min(F.struct("doc_id", "text_hash")).alias("x")).select("x.*")
+    first = alone.unionByName(first).select(F.col("doc_id").alias("_first"), F.col("text_hash").alias("_first_hash")).distinct()
+    mine = wrapped(docs).withColumn("_id", F.col(f"row.{doc_id}").cast("long")).withColumn("_hash", F.xxhash64(F.coalesce(F.col(f"row.{text}"), F.lit(""))))
+    kept = mine.join(first, (F.col("_id") == F.col("_first")) & (F.col("_hash") == F.col("_first_hash")), "left_semi")
+    kept = kept.groupBy("_id", "_hash").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
+    return kept.select("row").unionByName(mine.where("_id is null").select("row")).select("row.*")
 
 
 def op9_jaccard_join(spark, sf_dir: str) -> DataFrame:

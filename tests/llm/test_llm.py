@@ -459,6 +459,13 @@ def test_one_of_each_group_stays(spark, docs, empty):
     rows = [(1, "a b c d"), (1, "a b c d"), (2, "a b c d"), (None, "a b c d"), (3, None), (4, "")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted((r["doc_id"] or 0) for r in jaccard.one_of_each(df).collect()) == [0, 1, 3, 4]
+    # rows that share a doc_id and nothing else all stay, whichever comes first
+    shared = [(1, prose(30, 61), "x"), (1, prose(30, 62), "y"), (1, prose(30, 62), "z"), (2, prose(30, 63), "x"), (2, prose(30, 61), "y"), (5, "", "x"), (5, None, "x"), (5, "", "y")]
+    for rows in (shared, shared[::-1]):
+        got = jaccard.one_of_each(spark.createDataFrame(rows, "doc_id long, text string, kind string").repartition(3)).collect()
+        assert sorted((r["doc_id"], r["text"] or "") for r in got) == sorted({(1, shared[0][1]), (1, shared[1][1]), (2, shared[3][1]), (5, "")})
+    by_id = {(r["doc_id"], r["component_id"]) for r in jaccard.groups(spark.createDataFrame(shared, "doc_id long, text string, kind string")).collect()}
+    assert by_id == {(1, 1), (2, 2), (2, 1), (5, 5)}
     assert jaccard.one_of_each(empty).count() == 0 and jaccard.one_of_each(docs).columns == docs.columns
 
 
