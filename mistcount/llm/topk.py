@@ -8,16 +8,20 @@ is the sum of its partial scores in the lists. Every task holds some rows of all
    partial score of the others; the k-th highest of these bounds is one that the answers reach.
 2. That bound, less the lists' lowest scores and divided by the number of lists, is the uniform
    cutoff, broadcast to all tasks: a row below it in every list cannot be an answer.
-3. The rows that reach the cutoff in some list are scored exactly where they lie, and each task
-   returns its k best of each query; the k best of these are the answer.
+3. Each task goes through the lists of its rows, adding up partial scores of the pairs that may still be answers: those
+   whose sum so far, with the most that the norms of the lists to come allow, reaches the bound. Pairs that reach it
+   with all lists, and the cutoff in some list, are sufficient entries and have been scored exactly; a row that no query
+   needs any more is left out of the lists to come. Each task returns its k best of each query; the k best of these are
+   the answer. How much is saved depends on the vectors: `survivors` tells the share of rows read of each list.
 
 Queries go in blocks of at most QUERY_BLOCK vectors, so that what is broadcast has a fixed bound. For
 each query a task returns k rows at most, however many rows tie.
 
 Vectors that are null, or hold null or non-finite components, or have another length than the most
-frequent one, take no part. Candidates with the query's own vec_id, repeated rows of it included, are
+frequent one, take no part; vectors may be of any length. Candidates with the query's own vec_id, repeated rows of it included, are
 left out; further rows that repeat a vec_id count once, with their highest score; so do queries. Ties
-go to the smaller vec_id. Scores are exact while they stay below 2**53.
+go to the smaller vec_id. Scores are exact while they stay below 2**53. An empty table gives an empty result. Only vec_id
+and vec are read, so other columns of any name do no harm.
 """
 
 from __future__ import annotations
@@ -61,6 +65,27 @@ def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return of(np.flatnonzero(scores > -np.inf))
 
 
+def survivors(q: np.ndarray, v: np.ndarray, edges: np.ndarray, low: np.ndarray, above: np.ndarray, alive: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Scores of queries and rows, which of them may be answers (only their scores are whole), and the share of rows read
+    of each list. low: the least partial scores; above: what a score must be over their sum; alive: pairs to look at."""
+    norms = lambda x: np.stack([np.sqrt((x[:, a:b] ** 2).sum(axis=1)) for a, b in zip(edges[:-1], edges[1:], strict=True)], axis=1)
+    of_q, of_v, lists = norms(q), norms(v), len(edges) - 1
+    need = above + low.sum(axis=1)  # a score below this is no answer
+    need = np.where(np.isfinite(need), need - 1e-9 * np.abs(need) - 1e-6, -np.inf)
+    uniform, total, reach, read = above / lists, np.zeros(alive.shape), np.zeros(alive.shape, bool), np.zeros(lists)
+    for j in range(lists):
+        rows = np.flatnonzero(alive.any(axis=0))
+        read[j] = len(rows) / max(1, len(v))
+        if not len(rows):
+            break
+        part = q[:, edges[j] : edges[j + 1]] @ v[rows, edges[j] : edges[j + 1]].T
+        reach[:, rows] |= part - low[:, j, None] >= uniform[:, None]
+        total[:, rows] += part
+        most = of_q[:, j + 1 :] @ of_v[rows, j + 1 :].T  # what the lists to come can add
+        alive[:, rows] &= total[:, rows] + most * (1 + 1e-9) >= need[:, None]
+    return total, alive & reach, read
+
+
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, lists: int = LISTS) -> DataFrame:
     """query_id, rank, vec_id, score of the k highest inner products of each query with other rows.
 
@@ -128,21 +153,13 @@ def _block(vectors: DataFrame, queries: DataFrame, width: int, k: int, lists: in
 
     def resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (ids, q), (low, above) = shared.value, cut.value
-        uniform = above / lists
         held = [(np.empty(0), np.empty(0, np.int64))] * len(ids)
         for vec_ids, v in _scored(batches, width):
-            reach = np.zeros((len(ids), len(vec_ids)), bool)
-            total = np.zeros(reach.shape)
-            for j in range(lists):
-                s = q[:, edges[j] : edges[j + 1]] @ v[:, edges[j] : edges[j + 1]].T
-                reach |= s - low[:, j, None] >= uniform[:, None]
-                total += s
-            reach &= total - low.sum(axis=1)[:, None] >= above[:, None]
-            reach &= ids[:, None] != vec_ids[None, :]
-            total[~reach] = -np.inf
-            for i in np.flatnonzero(reach.any(axis=1)).tolist():
-                best = _best(total[i], vec_ids, k)
-                a, b = np.concatenate([held[i][0], total[i, best]]), np.concatenate([held[i][1], vec_ids[best]])
+            total, alive, _ = survivors(q, v, edges, low, above, ids[:, None] != vec_ids[None, :])
+            for i in np.flatnonzero(alive.any(axis=1)).tolist():
+                mine = np.flatnonzero(alive[i])
+                mine = mine[_best(total[i, mine], vec_ids[mine], k)]
+                a, b = np.concatenate([held[i][0], total[i, mine]]), np.concatenate([held[i][1], vec_ids[mine]])
                 best = _best(a, b, k)
                 held[i] = (a[best], b[best])
         n = np.array([len(a) for a, _ in held], np.int64)
