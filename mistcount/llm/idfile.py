@@ -6,12 +6,14 @@ A segment holds some hundred thousand ids of consecutive documents:
     | Elias-Fano boundaries | ids, little-endian
 
 The boundaries are the running ends of the documents. Elias-Fano keeps about 2 + log2(ids / documents)
-bits for each and finds the i-th by a select on its upper bits, so no table of 64-bit offsets is needed.
+bits for each and finds the i-th by a select on its upper bits, so no table of 64-bit offsets is needed: documents
+are read through it, one boundary after the other.
 Segments are rows of a table that Spark writes and reads, so that any store that Spark knows can hold
 them; `export_segment` and `parse_segment` treat a single one as plain bytes.
 
 A null text counts as empty and still gets its end id. Documents keep the order of doc_id (null first,
-ties by a hash of the text); repeated rows are encoded one by one; an empty table gives no segment.
+ties by a hash of the text); repeated rows are encoded one by one; an empty table gives no segment. A very long text is a
+segment of its own. Only doc_id and text are read, so other columns of any name do no harm.
 """
 
 from __future__ import annotations
@@ -68,12 +70,21 @@ class EliasFano:
             value |= ((int(self.lows[(at + k) >> 3]) >> ((at + k) & 7)) & 1) << k
         return value
 
+    def _sampled(self) -> np.ndarray:
+        """Where each STEP-th one of the upper bits stands; some bytes of them at a time."""
+        found, seen = [], 0
+        for at in range(0, len(self.upper), 1 << 12):
+            ones = np.flatnonzero(np.unpackbits(self.upper[at : at + (1 << 12)], bitorder="little"))
+            found.append(ones[-seen % self.STEP :: self.STEP] + 8 * at)
+            seen += len(ones)
+        return np.concatenate(found) if found else np.empty(0, np.int64)
+
     def select(self, i: int) -> int:
         """The i-th value, from 0: a directory entry, then a scan of fewer than STEP ones."""
         if not 0 <= i < self.count:
             raise IndexError(i)
         if self._directory is None:
-            self._directory = np.flatnonzero(np.unpackbits(self.upper, bitorder="little"))[:: self.STEP]
+            self._directory = self._sampled()
         at = int(self._directory[i // self.STEP])
         skip, byte = i % self.STEP, at >> 3
         chunk = np.unpackbits(self.upper[byte : byte + 1], bitorder="little")
@@ -85,6 +96,7 @@ class EliasFano:
         return ((found - i) << self.low_bits) | self._low(i)
 
     def all(self) -> np.ndarray:
+        """Every value, unpacked: for checks."""
         ones = np.flatnonzero(np.unpackbits(self.upper, bitorder="little"))[: self.count]
         values = (ones - np.arange(self.count)).astype(np.uint64) << np.uint64(self.low_bits)
         if self.low_bits:
@@ -102,13 +114,13 @@ def export_segment(ids: list[bytes]) -> bytes:
     return MAGIC + struct.pack("<BIQI", width, len(ids), len(every), len(marks)) + marks + every.astype(f"<u{width}").tobytes()
 
 
-def parse_segment(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """Document ends and ids of a segment."""
+def parse_segment(raw: bytes) -> tuple[EliasFano, np.ndarray]:
+    """Document ends, still coded, and ids of a segment."""
     if raw[: len(MAGIC)] != MAGIC:
         raise ValueError("not a segment of token ids")
     width, _, n, size = struct.unpack_from("<BIQI", raw, len(MAGIC))
     at = len(MAGIC) + struct.calcsize("<BIQI")
-    return EliasFano.from_bytes(raw[at : at + size]).all(), np.frombuffer(raw, f"<u{width}", n, at + size).astype("<u4")
+    return EliasFano.from_bytes(raw[at : at + size]), np.frombuffer(raw, f"<u{width}", n, at + size).astype("<u4")
 
 
 def in_order(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -163,10 +175,14 @@ def read_documents(segments: DataFrame) -> DataFrame:
         for batch in batches(rows, 1):
             row = batch.to_pylist()[0]
             ends, ids = parse_segment(row["payload"])
-            ends = ends.astype(np.int64)
-            starts, raw = np.concatenate([[0], ends[:-1]]), memoryview(ids.tobytes())
-            sums = [crc(raw[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
-            yield pa.record_batch([pa.array(row["doc_ids"], pa.int64()), pa.array(starts + row["base"] + row["before"]), pa.array(ends - starts), pa.array(sums, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+            raw, first, start = memoryview(ids.tobytes()), row["base"] + row["before"], 0
+            for at in range(0, ends.count, 1024):
+                out = []
+                for i in range(at, min(at + 1024, ends.count)):
+                    end = ends.select(i)
+                    out.append((row["doc_ids"][i], first + start, end - start, crc(raw[4 * start : 4 * end])))
+                    start = end
+                yield pa.record_batch([pa.array(list(x), pa.int64()) for x in zip(*out, strict=True)], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     joined = segments.join(F.broadcast(bases), "part").select("base", "before", "doc_ids", "payload")
     return joined.mapInArrow(decode, "doc_id long, start long, n_tokens long, ids_crc32 long")
