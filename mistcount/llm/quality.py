@@ -10,7 +10,8 @@ then get a verdict, which is joined back to their documents:
 * blocked (the rate's lower bound above BLOCKED): all documents go.
 
 A null text has no words, and fails. A null host is a host of its own. Repeated rows count one by one;
-an empty table gives an empty result. Texts are read whole, whatever their length.
+an empty table gives an empty result. Texts are read whole, whatever their length. A rate that equals a threshold is not
+beyond it. The caller's columns stay together in the struct `row`, so none clashes with the measures.
 """
 
 from __future__ import annotations
@@ -128,17 +129,17 @@ def is_kept(s: Column, verdict: Column) -> Column:
 
 
 def judge(docs: DataFrame, text: str = "text", host: str = "source") -> DataFrame:
-    """docs with the structs' measures in `_stats`, host_rate, host_verdict and kept. The texts are measured
+    """`row` (docs' columns), `stats` (the measures), host_rate, host_verdict and kept. The texts are measured
     twice, once for the hosts and once for the rows themselves, so that no text is shuffled."""
-    s = F.col("_stats")
-    failures = docs.select(F.col(host).alias("host"), text_stats(F.col(text)).alias("_stats")).select("host", (base_failed(s) | soft_failed(s)).alias("failed"))
-    measured = docs.withColumn("_stats", text_stats(F.col(text)))
-    return with_verdicts(measured, host_verdicts(failures), F.col(host)).withColumn("kept", is_kept(s, F.col("host_verdict")))
+    rows, s = wrapped(docs), F.col("stats")
+    failures = rows.select(F.col(f"row.{host}").alias("host"), text_stats(F.col(f"row.{text}")).alias("stats")).select("host", (base_failed(s) | soft_failed(s)).alias("failed"))
+    measured = rows.withColumn("stats", text_stats(F.col(f"row.{text}")))
+    return with_verdicts(measured, host_verdicts(failures), F.col(f"row.{host}")).withColumn("kept", is_kept(s, F.col("host_verdict")))
 
 
 def quality_filter(docs: DataFrame, text: str = "text", host: str = "source") -> DataFrame:
     """The documents that the rules keep, with the columns of docs."""
-    return judge(wrapped(docs), f"row.{text}", f"row.{host}").where("kept").select("row.*")
+    return judge(docs, text, host).where("kept").select("row.*")
 
 
 def op2_quality_rules(spark, sf_dir: str) -> DataFrame:

@@ -6,7 +6,8 @@ list, a heap yields the adjacent pair of lowest rank, and each merge lowers the
 pre-tokenizer is sure to cut, and asks the library once for each different chunk.
 
 Nulls count as the empty text; texts of any length are handled whole; repeated rows are
-treated one by one, and an empty table gives an empty result.
+treated one by one, and an empty table gives an empty result. Of pairs of equal rank the leftmost one is merged first.
+The caller's columns stay together in the struct `row`, so none clashes.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import tidy
+from .common import tidy, wrapped
 
 #: Chunks that each of the two ages of a worker's memory holds; bounds memory, changes no result.
 MEMORY = 200_000
@@ -325,8 +326,8 @@ def crc(ids: bytes) -> int:
     return zlib.crc32(ids)
 
 
-def count_tokens(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", text: str = "text", out: str = "n_tokens") -> DataFrame:
-    """docs with a column of exact token counts; other columns stay in the JVM, and nothing is shuffled."""
+def count_tokens(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", text: str = "text") -> DataFrame:
+    """`row` (docs' columns) and n_tokens, the exact token count; other columns stay in the JVM, and nothing is shuffled."""
 
     @F.arrow_udf(T.LongType())
     def counted(rows: Iterator[pa.Array]) -> Iterator[pa.Array]:
@@ -335,7 +336,7 @@ def count_tokens(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", text: s
             yield pa.array([bpe.count(x.as_py()) for x in texts], pa.int64())
         tidy()
 
-    return docs.withColumn(out, counted(F.col(text)))
+    return wrapped(docs).select("row", counted(F.col(f"row.{text}")).alias("n_tokens"))
 
 
 def op4_token_counts(spark, sf_dir: str) -> DataFrame:
@@ -344,4 +345,4 @@ def op4_token_counts(spark, sf_dir: str) -> DataFrame:
 
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     n = F.col("n_tokens")
-    return count_tokens(docs).select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), n, (n > 512).alias("over_limit"))
+    return count_tokens(docs).select("row.doc_id", F.coalesce(F.octet_length("row.text"), F.lit(0)).cast("long").alias("n_bytes"), n, (n > 512).alias("over_limit"))

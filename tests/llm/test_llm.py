@@ -78,7 +78,10 @@ def test_memory_that_overflows_changes_nothing(monkeypatch):
 
 def test_token_counts(docs, empty):
     lib = library("byte_bpe_50k.json")
-    got = {r["doc_id"]: r["n_tokens"] for r in tokens.count_tokens(docs).collect()}
+    clashing = docs.withColumns({"n_tokens": F.lit("x"), "row": F.lit("y")})
+    rows = tokens.count_tokens(clashing).collect()
+    assert {(r["row"]["n_tokens"], r["row"]["row"]) for r in rows} == {("x", "y")}
+    got = {r["row"]["doc_id"]: r["n_tokens"] for r in rows}
     assert got == {i: len(lib.encode(t, add_special_tokens=False).ids) for i, t in texts().items()}
     assert tokens.count_tokens(empty).count() == 0
 
@@ -104,6 +107,34 @@ def test_top_k_with_ties_repeats_and_bad_vectors(spark):
     assert topk.top_k(few, few.where("vec_id = 0")).count() == 2
 
 
+@pytest.mark.parametrize("spread", [0.0, 1.0, 3.0])
+def test_survivors_hold_all_answers(spread):
+    """Rows that may be answers are scored exactly; where norms differ much, later lists are read for fewer rows."""
+    r = np.random.default_rng(6)
+    v = np.floor(r.normal(size=(900, 32)) * 256 * np.exp(spread * r.normal(size=(900, 1))))
+    q, edges = v[::100], np.array([0, 8, 16, 24, 32])
+    parts = np.stack([q[:, a:b] @ v[:, a:b].T for a, b in zip(edges[:-1], edges[1:], strict=True)])
+    low, exact = parts.min(axis=2).T, parts.sum(axis=0)
+    fifth = np.sort(exact, axis=1)[:, -5]
+    total, alive, read = topk.survivors(q, v, edges, low, fifth - low.sum(axis=1), np.ones(exact.shape, bool))
+    assert (alive >= (exact >= fifth[:, None])).all() and (total[alive] == exact[alive]).all()
+    assert read[0] == 1 and (read[-1] < 0.5 if spread == 3.0 else True)
+
+
+@pytest.mark.parametrize("block", [3, 4096])
+def test_blocks_of_queries_change_no_result(spark, monkeypatch, block):
+    monkeypatch.setattr(topk, "QUERY_BLOCK", block)
+    r = random.Random(4)
+    rows = [(i, [float(r.randrange(-9, 9)) for _ in range(8)]) for i in range(60)]
+    df = spark.createDataFrame(rows, "vec_id long, vec array<double>").repartition(3)
+    got = sorted(tuple(x) for x in topk.top_k(df, df.where("vec_id % 5 = 0")).collect())
+    want = []
+    for q in range(0, 60, 5):
+        best = sorted(((i, int(np.dot(v, rows[q][1]))) for i, v in rows if i != q), key=lambda x: (-x[1], x[0]))[:5]
+        want += [(q, n, i, s) for n, (i, s) in enumerate(best, 1)]
+    assert got == sorted(want)
+
+
 # --- 2
 
 
@@ -116,9 +147,11 @@ def plain_stats(t):
 
 
 def test_quality_measures_and_verdicts(docs, empty):
-    for r in quality.judge(docs).collect():
-        s = r["_stats"]
-        want = plain_stats(CASES[r["doc_id"]])
+    names = ("_host", "_stats", "stats", "host", "host_rate", "host_verdict", "kept", "row", "_salt")
+    for r in quality.judge(docs.withColumns({c: F.lit(c) for c in names})).collect():
+        assert all(r["row"][c] == c for c in names)
+        s = r["stats"]
+        want = plain_stats(CASES[r["row"]["doc_id"]])
         assert (s["n_words"], s["word_chars"], s["n_symbols"], s["n_dup_lines"], s["n_repeat_words"]) == want
         if want[0] < 50 or 100 * want[4] > 50 * want[0]:
             assert not r["kept"]
@@ -126,6 +159,20 @@ def test_quality_measures_and_verdicts(docs, empty):
     assert quality.quality_filter(docs).columns == docs.columns
 
 
+@pytest.mark.parametrize("limit", [0, 200_000])
+def test_verdicts_by_broadcast_and_by_salted_join(spark, monkeypatch, limit):
+    """The registered query over a whole table, against brute force."""
+    monkeypatch.setattr(quality, "BROADCAST_HOSTS", limit)
+    sf = "/root/testdata/sf0.001"
+    rows = common.table(spark, sf, "documents").collect()
+    kept = set(brute_quality({r["doc_id"]: r["text"] for r in rows}, {r["doc_id"]: r["source"] for r in rows}))
+    got = quality.op2_quality_rules(spark, sf).collect()
+    assert len(got) == len(rows) and {r["doc_id"] for r in got if r["kept"]} == kept
+    for r in got:
+        want = plain_stats(next(x["text"] for x in rows if x["doc_id"] == r["doc_id"]))
+        assert (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"]) == want
+
+
 def test_hosts_are_shrunk_and_bad_ones_blocked(spark):
     rows = [("bad", True)] * 400 + [("good", False)] * 395 + [("good", True)] * 5 + [("tiny", True)] + [(None, False)] * 50
     got = {r["host"]: r for r in quality.host_verdicts(spark.createDataFrame(rows, "host string, failed boolean")).collect()}
@@ -178,6 +225,10 @@ def test_elias_fano():
         x = idfile.EliasFano.from_bytes(idfile.EliasFano.of(np.array(values, np.uint64)).to_bytes())
         assert x.all().tolist() == values
         assert [x.select(i) for i in range(len(values))] == values
+    dense = np.sort(np.random.default_rng(1).integers(0, 200_000, 100_000)).astype(np.uint64)  # of several pieces of the directory
+    assert [idfile.EliasFano.of(dense).select(i) for i in range(0, 100_000, 97)] == dense[::97].tolist()
+    for values in ([], [7], [1, 1, 2, 1000000, 1000000], sorted(random.choices(range(1 << 33), k=700))):
+        x = idfile.EliasFano.of(np.array(values, np.uint64))
         if len(values) > 100:
             assert len(x.to_bytes()) < 8 * len(values)
 
@@ -427,6 +478,25 @@ def brute_groups(cases, k, percent):
     return {i: (len(sets[i]), find(i)) for i in cases}
 
 
+def test_bands_miss_no_pair_of_ten_thousand(spark):
+    """Recall of the pipeline's candidates: pairs of texts of a similarity of 0.8 and little more."""
+    rows, r, wanted = [], np.random.default_rng(12), 0
+    for g in range(10_000):
+        n = int(r.integers(30, 90))
+        base = [f"w{g}x{j}" for j in range(n + 4)]
+        # a word changed in the middle takes five shingles from each side: so many that 0.8 is just reached
+        other, most = list(base), int((n - 0.8 * n) / 1.8 / 5)
+        for j in r.permutation(np.arange(5, n - 2, 6))[:most]:
+            other[j] = "z"
+        rows += [(2 * g, " ".join(base)), (2 * g + 1, " ".join(other))]
+        a, b = ({tuple(w[j : j + 5]) for j in range(n)} for w in (base, other))
+        wanted += 100 * len(a & b) >= 80 * len(a | b)
+    assert wanted == 10_000
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(8)
+    found = jaccard.groups(df, 80, 5, bands=True).where("component_id % 2 = 0 and doc_id % 2 = 1 and component_id = doc_id - 1").count()
+    assert found == wanted
+
+
 def near_copies():
     out, r = {}, random.Random(8)
     for g in range(25):
