@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -24,13 +23,7 @@ from ..streaming import windows as st
 from . import sql as S
 from .comparisons import _nations, event_items
 from .methods import KEY, LINES, ORDERS, SMALL, WIDE, csv, line_items, order_items, party_items, party_sql
-from .registry import query
-
-
-def shared_path(spark: SparkSession, what: str) -> str:
-    """A new place in the folder that all executors share."""
-    where = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="mistcount-")
-    return f"{where.rstrip('/')}/mistcount-{what}-{uuid.uuid4().hex}"
+from .registry import query, shared_path
 
 
 # --- sources and sinks
@@ -62,9 +55,9 @@ def catalogue(spark: SparkSession, d: str) -> DataFrame:
     noisy = flip(sketch(order_items(spark, d), F.col("item"), SMALL, ["g"]), f, KEY, "catalogue", ["g"])
     rows = io.catalogued(noisy, SMALL, 2.0, f.kind, f.p, f.q, "g", "r1")
     for _ in range(2):
-        io.write_sketches(rows, path, "r1")
+        io.write_sketches(rows, path, "r1", shared_path(spark, "ledger"))
     back = io.read_sketches(spark, path)
-    mg.check_mergeable(io.heads(back)).count()
+    mg.check_mergeable(io.heads(back)).collect()
     return back.groupBy("grp").agg(F.count("*").cast("int").alias("n_rows"), F.max("n_sources").alias("n_sources"))
 
 
@@ -262,10 +255,24 @@ def op_sampling(spark: SparkSession, d: str) -> DataFrame:
     return line_items(spark, d).select("item").distinct().where(F.pmod(md5_60(F.col("item")), F.lit(100)) < 20).agg(F.count("*").alias("n"))
 
 
-@query("op_sample_by")
+@query("op_sample_by", f"SELECT g, count(*) AS n FROM (SELECT event_type AS g, {S.h60("concat_ws('|', event_type, event_id)")} % 1000 AS u FROM events) WHERE u < CASE g WHEN 'click' THEN 500 WHEN 'view' THEN 100 ELSE 0 END GROUP BY g")
 def op_sample_by(spark: SparkSession, d: str) -> DataFrame:
-    e = event_items(spark, d)
-    return e.sampleBy("g", {"click": 0.5, "view": 0.1}, seed=7).groupBy("g").agg((F.count("*") > 0).alias("any"))
+    """A share of each group, by a hash of the row's key: sampleBy(), but the same rows in every run and partitioning."""
+    from ..functions.hashing import md5_60
+
+    share = F.coalesce(F.element_at(F.create_map(F.lit("click"), F.lit(500), F.lit("view"), F.lit(100)), F.col("g")), F.lit(0))
+    e = event_items(spark, d).withColumn("u", F.pmod(md5_60(F.concat_ws("|", "g", F.col("event_id").cast("string"))), F.lit(1000)))
+    return e.where(F.col("u") < share).groupBy("g").agg(F.count("*").alias("n"))
+
+
+@query("op_sample_by_native", "SELECT DISTINCT event_type AS g, true AS plausible FROM events WHERE event_type IN ('click', 'view')")
+def op_sample_by_native(spark: SparkSession, d: str) -> DataFrame:
+    """Spark's own sampleBy: sizes within six standard deviations of their shares."""
+    e, shares = event_items(spark, d), {"click": 0.5, "view": 0.1}
+    n, p = F.col("n"), F.element_at(F.create_map(*[F.lit(x) for kv in shares.items() for x in kv]), F.col("g"))
+    taken = e.sampleBy("g", shares, seed=7).groupBy("g").agg(F.count("*").alias("taken"))
+    both = e.where(F.col("g").isin(*shares)).groupBy("g").agg(F.count("*").alias("n")).join(taken, "g", "left")
+    return both.select("g", (F.abs(F.coalesce("taken", F.lit(0)) - n * p) <= 6 * F.sqrt(n * p * (1 - p)) + 1).alias("plausible"))
 
 
 # --- streams: a table's rows as a file stream
@@ -305,10 +312,57 @@ query("op_stream_tumbling_windows", _windows_sql(7, 7))(lambda spark, d: _window
 query("op_stream_sliding_windows", _windows_sql(4, 2))(lambda spark, d: _windows(spark, d, "4 days", "2 days"))
 
 
-@query("op_stream_session_windows", "SELECT user_id, count(*) AS n_sessions FROM (SELECT user_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 DAY THEN 0 ELSE 1 END AS fresh FROM events) WHERE fresh = 1 GROUP BY 1")
+def _closed(spark: SparkSession, d: str, build) -> DataFrame:
+    """All rows that a stream over events gives in append mode: run over the files, then over an end marker that closes
+    its windows. build(stream, lateness) makes the query."""
+    e, files, path, checkpoint = read_table(spark, d, "events"), _files(spark, d), shared_path(spark, "windows"), shared_path(spark, "offsets")
+    late = st.covering_days(e)
+    s = build(st.event_stream(spark, files, e.schema), f"{late} days")
+    run = lambda: s.writeStream.outputMode("append").format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    run()
+    st.end_marker(e, late, 7, "user_id").write.mode("append").parquet(files)
+    run()
+    return spark.read.schema(s.schema).parquet(path)
+
+
+@query("op_stream_session_windows", "SELECT user_id, count(*) AS n_sessions, count(*) + sum(n_more)::BIGINT AS n_rows FROM (SELECT user_id, fresh, sum(1 - fresh) OVER (PARTITION BY user_id, s) AS n_more FROM (SELECT user_id, fresh, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT user_id, ts, event_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 1 DAY THEN 0 ELSE 1 END AS fresh FROM events))) WHERE fresh = 1 GROUP BY 1")
 def op_sessions(spark: SparkSession, d: str) -> DataFrame:
-    e = read_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    return st.session_counts(e, "1 day", "user_id").groupBy("user_id").agg(F.count("*").alias("n_sessions"))
+    """Sessions on a stream, given out when the watermark has closed them."""
+    sessions = _closed(spark, d, lambda s, late: st.session_counts(s, "1 day", "user_id", late))
+    return sessions.groupBy("user_id").agg(F.count("*").alias("n_sessions"), F.sum("n_rows").alias("n_rows"))
+
+
+_LATE = "SELECT max(ts) - INTERVAL 7 DAY AS mark, min(ts) + (max(ts) - min(ts)) / 2 AS half FROM events"
+
+
+@query("op_stream_late_rows", f"SELECT strftime(to_timestamp(w * 604800) AT TIME ZONE 'UTC', '%Y-%m-%d') AS day, count(*) AS n_rows FROM (SELECT ts, epoch(ts)::BIGINT // 604800 AS w FROM events), ({_LATE}) WHERE ts >= half OR to_timestamp((w + 1) * 604800) AT TIME ZONE 'UTC' > mark GROUP BY 1")
+def op_late(spark: SparkSession, d: str) -> DataFrame:
+    """The later half of events comes first; of the earlier half, which comes in a second file, the rows whose window the
+    watermark (a week behind) has passed by then are dropped."""
+    e, files, path, checkpoint = read_table(spark, d, "events"), shared_path(spark, "late"), shared_path(spark, "windows"), shared_path(spark, "offsets")
+    half = e.agg((F.min("ts") + (F.max("ts") - F.min("ts")) / 2).alias("h")).first()["h"]
+    build = lambda: st.event_stream(spark, files, e.schema).withWatermark("ts", "7 days").groupBy(F.window("ts", "7 days").alias("window")).agg(F.count("*").alias("n_rows"))
+    run = lambda: build().writeStream.outputMode("append").format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    for part in (e.where(F.col("ts") >= half), e.where(F.col("ts") < half), st.end_marker(e, 7, 7, "user_id")):
+        part.coalesce(1).write.mode("append").parquet(files)
+        run()
+    found = spark.read.schema(build().schema).parquet(path)
+    return found.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "n_rows")
+
+
+@query("op_stream_rate", "SELECT true AS all_there, true AS distinct_cells_fit")
+def op_rate(spark: SparkSession, d: str) -> DataFrame:
+    """A load of distinct items from the rate source, sketched as it comes: as many cells as so many items fill."""
+    path, checkpoint = shared_path(spark, "rate"), shared_path(spark, "offsets")
+    q = st.rate_stream(spark, 2000).writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).start()
+    try:
+        while q.isActive and sum(p["numInputRows"] for p in q.recentProgress) < 2000:
+            q.awaitTermination(1)
+    finally:
+        q.stop()
+    rows = spark.read.schema("item string, ts timestamp").parquet(path)
+    n, cells = rows.agg(F.count("*").alias("n"), F.count_distinct("item").alias("d")), set_cells(rows, F.col("item"), WIDE).agg(F.count("*").alias("c"))
+    return n.crossJoin(cells).select((F.col("n") == F.col("d")).alias("all_there"), ((F.col("c") <= F.col("n")) & (F.col("c") > 0)).alias("distinct_cells_fit"))
 
 
 @query("op_stream_deduplication", "SELECT count(DISTINCT (user_id, event_type)) AS n FROM events")
@@ -317,26 +371,41 @@ def op_dedup(spark: SparkSession, d: str) -> DataFrame:
     return _run(spark, s, "append").agg(F.count("*").alias("n"))
 
 
-def released(spark: SparkSession, e: DataFrame, files: str) -> DataFrame:
-    """Cells of all windows of a table of events, streamed from its files and then closed by an end marker."""
+def released(spark: SparkSession, e: DataFrame, files: str, release: str, noise: str = "stream", by: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
+    """Bitmaps of all windows of a table of events, streamed from its files and then closed by an end marker; and the ledger."""
     late = st.covering_days(e)
-    s = st.window_bitmaps(st.event_stream(spark, files, e.schema), F.col("user_id").cast("string"), SMALL, "7 days", late=f"{late} days")
-    path, checkpoint = shared_path(spark, "released"), shared_path(spark, "offsets")
-    run = lambda: st.release_stream(s, SMALL, bd.symmetric(3.0), KEY, path, checkpoint).awaitTermination()
+    s = st.window_bitmaps(st.event_stream(spark, files, e.schema), F.col("user_id").cast("string"), SMALL, "7 days", late=f"{late} days", by=by)
+    path, ledger, checkpoint = shared_path(spark, "released"), shared_path(spark, "ledger"), shared_path(spark, "offsets")
+    run = lambda: st.release_stream(s, SMALL, bd.symmetric(3.0), KEY, release, path, ledger, checkpoint, by, noise=noise).awaitTermination()
     run()
     # a run of its own, so that the marker is read last
     st.end_marker(e, late, 7, "user_id").write.mode("append").parquet(files)
     run()
-    return spark.read.option("basePath", path).schema("window_start string, cell int, bit int, epoch int").parquet(path)
+    names = "".join(f"{c} string, " for c in by or [])
+    return spark.read.option("basePath", path).schema(f"window_start string, {names}bucket_no long, bits binary, epoch int").parquet(path), io.read_ledger(spark, ledger)
+
+
+_WEEKS = "SELECT strftime(to_timestamp(epoch(ts)::BIGINT // 604800 * 604800) AT TIME ZONE 'UTC', '%Y-%m-%d %H:%M:%S') AS g, CAST(user_id AS VARCHAR) AS item FROM events"
+_STREAM = bd.symmetric(3.0)
 
 
-@query("op_stream_private_release")
+@query("op_stream_private_release", f"SELECT g AS window_start, round(n_hat, 3) AS n_hat, 'ok' AS status, 3.0::DOUBLE AS eps_spent FROM ({S.fit(S.arrays(S.levels(S.flip(S.dense(_WEEKS, SMALL), _STREAM.p, _STREAM.q, KEY, 'events-stream'), SMALL)), SMALL, _STREAM.p, _STREAM.q)})")
 def op_release(spark: SparkSession, d: str) -> DataFrame:
-    """All windows of events, each released once, when the watermark has closed it."""
-    cells = released(spark, read_table(spark, d, "events"), _files(spark, d))
-    f = bd.symmetric(3.0)
-    fitted = cardinality(level_counts(cells, SMALL, ["window_start"]), SMALL, f.p, f.q)
-    return fitted.select("window_start", F.round("n_hat", 2).alias("n_hat"), "status")
+    """All windows of events, each released and booked once, when the watermark has closed it."""
+    bitmaps, ledger = released(spark, read_table(spark, d, "events"), _files(spark, d), "events-stream", "cell")
+    fitted = cardinality(arrow.level_counts_packed(bitmaps, SMALL, ["window_start"]), SMALL, _STREAM.p, _STREAM.q, "bisect")
+    spent = io.spent(ledger).select(F.col("scope").alias("window_start"), F.round("eps_spent", 9).alias("eps_spent"))
+    return fitted.join(spent, "window_start").select("window_start", F.round("n_hat", 3).alias("n_hat"), "status", "eps_spent")
+
+
+_PARTY_FLIP = bd.symmetric(3.0)
+
+
+@query("op_flip_packed", S.ones_csv(S.levels(S.flip(S.dense(party_sql(), WIDE, "party"), _PARTY_FLIP.p, _PARTY_FLIP.q, KEY, "packed", "party"), WIDE, "party"), "party"))
+def op_flip_packed(spark: SparkSession, d: str) -> DataFrame:
+    """Packed sketches flipped bitmap by bitmap, with the long form's noise: the same bits."""
+    noisy = arrow.flip_packed(arrow.sketch_packed(party_items(spark, d), F.col("item"), WIDE, ["party"]), _PARTY_FLIP, WIDE, KEY, "packed", ["party"], "cell")
+    return arrow.level_counts_packed(noisy, WIDE, ["party"]).select("party", csv(F.col("ones")).alias("ones"))
 
 
 # --- user functions
@@ -345,7 +414,7 @@ def op_release(spark: SparkSession, d: str) -> DataFrame:
 @query("op_udaf_packed_merge", S.ones_csv(S.levels(S.dense(LINES, WIDE), WIDE)))
 def op_udaf(spark: SparkSession, d: str) -> DataFrame:
     """Packed sketches of several parties, united in numpy group by group; infinite budgets give the plain union."""
-    bitmaps = packed(party_items(spark, d), F.col("item"), WIDE, ["g", "party"]).withColumn("eps", F.lit(float("inf")))
+    bitmaps = arrow.sketch_packed(party_items(spark, d), F.col("item"), WIDE, ["g", "party"]).withColumn("eps", F.lit(float("inf")))
     merged = arrow.merge_packed(bitmaps, WIDE, ["g"], "packed")
     counts = arrow.level_counts_packed(merged, WIDE, ["g"])
     return counts.select("g", csv(F.col("ones")).alias("ones"))
@@ -353,9 +422,8 @@ def op_udaf(spark: SparkSession, d: str) -> DataFrame:
 
 @query("op_udaf_packed_noisy")
 def op_udaf_noisy(spark: SparkSession, d: str) -> DataFrame:
-    bits = flip(sketch(party_items(spark, d), F.col("item"), WIDE, ["party"]), bd.symmetric(3.0), KEY, "packed", ["party"])
-    at = F.col("cell").cast("long") + 1
-    bitmaps = bits.where("bit = 1").groupBy(F.lit("all").alias("g"), "party", F.bitmap_bucket_number(at).alias("bucket_no")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at)).alias("bits")).withColumn("eps", F.lit(3.0))
+    plain = arrow.sketch_packed(party_items(spark, d), F.col("item"), WIDE, ["g", "party"])
+    bitmaps = arrow.flip_packed(plain, bd.symmetric(3.0), WIDE, KEY, "packed-noisy", ["g", "party"]).withColumn("eps", F.lit(3.0))
     levels = arrow.level_counts_packed(arrow.merge_packed(bitmaps, WIDE, ["g"], "packed"), WIDE, ["g"])
     f = bd.symmetric(bd.combine_or([3.0] * 4))
     return cardinality(levels, WIDE, f.p, f.q).select("g", F.round("n_hat", 2).alias("n_hat"), "status")

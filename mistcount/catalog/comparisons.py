@@ -19,10 +19,10 @@ from ..operators.build import level_counts, set_cells, sketch
 from ..operators.estimate import cardinality
 from ..operators.privatize import flip
 from ..plans import engine, experiments
-from ..sources.io import read_table
+from ..sources.io import described, read_table
 from . import sql as S
 from .methods import KEY, LINES, ORDERS, SMALL, WIDE, csv, line_items, line_levels, order_items, party_items, party_sql, released_parties, rounded
-from .registry import query
+from .registry import query, shared_path
 
 # --- baselines
 
@@ -95,12 +95,12 @@ def _private_sql(f: bd.Flip, release: str) -> str:
 
 @query("b04_private_xor", _private_sql(_HALF, "b04"))
 def b04(spark: SparkSession, d: str) -> DataFrame:
-    return engine.count_private(order_items(spark, d), F.col("item"), 2.0, SMALL, KEY, "b04", ["g"], "xor", "bisect").select("g", F.round("n_hat", 3).alias("n_hat"))
+    return engine.count_private(order_items(spark, d), F.col("item"), 2.0, SMALL, KEY, "b04", ["g"], "xor", "bisect", "cell").select("g", F.round("n_hat", 3).alias("n_hat"))
 
 
 @query("b05_private_randomized", _private_sql(_SYMM, "b05"))
 def b05(spark: SparkSession, d: str) -> DataFrame:
-    return engine.count_private(order_items(spark, d), F.col("item"), 2.0, SMALL, KEY, "b05", ["g"], "randomized", "bisect").select("g", F.round("n_hat", 3).alias("n_hat"))
+    return engine.count_private(order_items(spark, d), F.col("item"), 2.0, SMALL, KEY, "b05", ["g"], "randomized", "bisect", "cell").select("g", F.round("n_hat", 3).alias("n_hat"))
 
 
 @query("b06_pcsa_likelihood", f"SELECT g, round(n_hat, 3) AS n_hat FROM ({S.fit(S.arrays(S.levels(S.dense(ORDERS, SMALL), SMALL)), SMALL, 1.0, 0.0)})")
@@ -139,7 +139,7 @@ def b09(spark: SparkSession, d: str) -> DataFrame:
 
 @query("b10_noisy_estimate")
 def b10(spark: SparkSession, d: str) -> DataFrame:
-    return bl.noisy_estimate(order_items(spark, d), F.col("item"), SMALL, 1.0, 10.0, KEY, ["g"]).select("g", F.round("n_hat", 3).alias("n_hat"))
+    return bl.noisy_estimate(order_items(spark, d), F.col("item"), SMALL, 1.0, 10.0, KEY, "b10", ["g"]).select("g", F.round("n_hat", 3).alias("n_hat"))
 
 
 _BLOOM2 = Bloom(65536, k=2, family="md5")
@@ -158,7 +158,7 @@ def _bloom_union_sql() -> str:
 @query("b11_bloom_union", _bloom_union_sql())
 def b11(spark: SparkSession, d: str) -> DataFrame:
     rows = order_items(spark, d)
-    return rounded(bl.bloom_union(rows.where("g < '3'"), rows.where("g >= '3'"), F.col("item"), _BLOOM2, 4.0, KEY), empty=9, n_hat=3)
+    return rounded(bl.bloom_union(rows.where("g < '3'"), rows.where("g >= '3'"), F.col("item"), _BLOOM2, 4.0, KEY, ("a", "b")), empty=9, n_hat=3)
 
 
 @query("b12_subsampled")
@@ -189,30 +189,31 @@ def b14(spark: SparkSession, d: str) -> DataFrame:
 
 # --- measures and workloads, by simulation at the sizes of the published runs
 
-TRIALS = 30
+#: Trials that merge real sketches of a million items.
+MERGE_TRIALS = 200
+#: The published number; every experiment takes any.
+TRIALS = 1000
 _ALL = list(experiments.METHODS)
 
 
-def _n_lines(spark: SparkSession, d: str) -> float:
-    return float(line_items(spark, d).agg(F.count_distinct("item")).first()[0])
-
-
 @query("w01_error_by_size")
 def w01(spark: SparkSession, d: str) -> DataFrame:
-    runs = experiments.simulated(spark, WIDE, _ALL, [1.0], [1e2, 1e3, 1e4, 1e5, 1e6], TRIALS)
+    """By method at budget 1. The sets are numbered items, so this and the other experiments do not depend on the tables."""
+    runs = experiments.simulated_counts(spark, WIDE, _ALL, [1.0], [1e2, 1e3, 1e4, 1e5, 1e6], TRIALS)
     return rounded(ms.accuracy(runs, ["method", "n"]).select("method", "n", "trials", "failure_rate", "bias", "rrmse"), bias=2, rrmse=5, failure_rate=4)
 
 
 @query("w02_error_by_budget")
 def w02(spark: SparkSession, d: str) -> DataFrame:
-    runs = experiments.simulated(spark, WIDE, ["randomized"], [0.5, 1.0, 2.0, 4.0, math.inf], [1e2, 1e4, 1e6], TRIALS)
-    return rounded(runs.groupBy("eps", "n").agg((F.sqrt(F.avg(F.pow(F.col("n_hat") - F.col("n"), 2))) / F.col("n")).alias("rrmse"), (F.avg("stderr") / F.col("n")).alias("rel_stderr")), rrmse=5, rel_stderr=5)
+    runs = experiments.simulated_counts(spark, WIDE, ["randomized"], [0.5, 1.0, 2.0, 4.0, math.inf], [1e2, 1e4, 1e6], TRIALS)
+    return rounded(experiments.relative_error(runs, ["eps", "n"]), rrmse=5, rel_stderr=5)
 
 
 @query("w03_error_by_merges")
 def w03(spark: SparkSession, d: str) -> DataFrame:
-    runs = experiments.merged_law(spark, WIDE, [1, 2, 4, 8, 16, 32], [1.0, 2.0, 3.0, 4.0], 1e6, TRIALS)
-    return rounded(runs.groupBy("k", "eps").agg((F.sqrt(F.avg(F.pow(F.col("n_hat") - F.col("n"), 2))) / F.avg("n")).alias("rrmse"), (F.avg("stderr") / F.avg("n")).alias("rel_stderr")), rrmse=5, rel_stderr=5)
+    """Sketches of a million items dealt to k parties, built, flipped, merged and fitted in each trial."""
+    levels = experiments.merged_trials(spark, WIDE, [1, 2, 4, 8, 16, 32], [1.0, 2.0, 3.0, 4.0], 1_000_000, MERGE_TRIALS)
+    return rounded(experiments.relative_error(experiments.fitted_unions(levels, WIDE), ["k", "eps"]), rrmse=5, rel_stderr=5)
 
 
 def _overlapping(k: int) -> str:
@@ -243,13 +244,23 @@ def w03_real(spark: SparkSession, d: str) -> DataFrame:
 REAL_N = 2_631_095.0
 
 
+_W04_EPS = [0.25, 0.5, 1.0, 2.0, 4.0]
+
+
 @query("w04_relative_efficiency")
 def w04(spark: SparkSession, d: str) -> DataFrame:
-    runs = experiments.simulated(spark, WIDE, _ALL, [0.25, 0.5, 1.0, 2.0, 4.0], [REAL_N], TRIALS)
+    runs = experiments.simulated_counts(spark, WIDE, _ALL, _W04_EPS, [REAL_N], TRIALS)
     scores = ms.accuracy(runs, ["method", "eps"])
     return rounded(ms.relative_efficiency(scores, ["eps"], "randomized").select("method", "eps", "rrmse", "relative_efficiency"), rrmse=5, relative_efficiency=2)
 
 
+@query("w04_error_and_its_estimate")
+def w04_panel(spark: SparkSession, d: str) -> DataFrame:
+    """The relative error beside the one that the formula gives, by budget, for both ways of merging."""
+    runs = experiments.simulated_counts(spark, WIDE, ["randomized", "xor"], _W04_EPS, [REAL_N], TRIALS)
+    return rounded(experiments.relative_error(runs, ["method", "eps"]), rrmse=5, rel_stderr=5)
+
+
 _PARTS = "SELECT 'all' AS g, concat_ws('|', l_partkey, l_suppkey) AS item FROM lineitem"
 
 
@@ -258,21 +269,23 @@ def w04_real(spark: SparkSession, d: str) -> DataFrame:
     rows = read_table(spark, d, "lineitem").select(F.lit("all").alias("g"), F.concat_ws("|", F.col("l_partkey").cast("string"), F.col("l_suppkey").cast("string")).alias("item"))
     out = None
     for e in (0.5, 1.0, 2.0, 4.0):
-        found = engine.count_private(rows, F.col("item"), e, WIDE, KEY, f"pairs{e}", ["g"], solver="bisect").select(F.lit(e).alias("eps"), F.round("n_hat", 3).alias("n_hat"))
+        found = engine.count_private(rows, F.col("item"), e, WIDE, KEY, f"pairs{e}", ["g"], solver="bisect", noise="cell").select(F.lit(e).alias("eps"), F.round("n_hat", 3).alias("n_hat"))
         out = found if out is None else out.unionByName(found)
     return out
 
 
 @query("w05_error_by_buckets")
 def w05(spark: SparkSession, d: str) -> DataFrame:
-    """Private at 2 and without privacy; the slope of log error on log buckets is about -1/2."""
-    out = None
-    for b in (256, 1024, 4096):
-        runs = experiments.simulated(spark, Layout(b, 24), ["randomized"], [2.0, math.inf], [1e6], TRIALS, key=f"buckets{b}").withColumn("buckets", F.lit(b))
+    """Private at 2, without privacy, and HyperLogLog, with the formula's error; the slope of log error on log buckets is about -1/2."""
+    buckets, out = [1 << b for b in range(8, 15)], None
+    for b in buckets:
+        runs = experiments.simulated_counts(spark, Layout(b, 24), ["randomized"], [2.0, math.inf], [1e6], TRIALS, key=f"buckets{b}").withColumn("buckets", F.lit(b))
         out = runs if out is None else out.unionByName(runs)
-    scores = out.groupBy("eps", "buckets").agg((F.sqrt(F.avg(F.pow(F.col("n_hat") - F.col("n"), 2))) / F.avg("n")).alias("rrmse"))
-    slope = ms.loglog_slope(scores, "buckets", "rrmse", ["eps"])
-    return rounded(scores.join(slope, "eps"), rrmse=5, slope=3)
+    scores = experiments.relative_error(out.withColumn("method", F.when(F.col("eps") == 2.0, "private").otherwise("plain")), ["method", "buckets"])
+    registers = experiments.register_trials(spark, buckets, 1_000_000, TRIALS).withColumn("method", F.lit("hyperloglog")).withColumn("stderr", 1.04 / F.sqrt("buckets") * F.col("n"))
+    scores = scores.unionByName(experiments.relative_error(registers, ["method", "buckets"]))
+    slope = ms.loglog_slope(scores, "buckets", "rrmse", ["method"])
+    return rounded(scores.join(slope, "method"), rrmse=5, rel_stderr=5, slope=3)
 
 
 @query("w06_integer_sets", f"SELECT count(*) AS n_cells FROM (SELECT DISTINCT {S.cell('range', WIDE)} AS cell FROM range(100000))")
@@ -351,7 +364,8 @@ def w10(spark: SparkSession, d: str) -> DataFrame:
     rows = event_items(spark, d)
     eps = 1.5 + 0.25 * F.length("g")
     noisy = flip_symmetric(sketch(rows, F.col("item"), SMALL, ["g"]), eps, KEY, "w10", ["g"])
-    found = engine.union_of_released(noisy.withColumn("all", F.lit("all")), SMALL, "w10", ["all"], solver="bisect")
+    noisy = noisy.withColumn("all", F.lit("all"))
+    found = engine.union_of_released(noisy, SMALL, "w10", described(noisy, SMALL, "symmetric", "g", "w10", ["all"]), ["all"], solver="bisect")
     return rounded(found.select("n_hat", "stderr", "eps_effective", "n_sources", "status"), n_hat=3, stderr=3, eps_effective=9)
 
 
@@ -409,10 +423,15 @@ def a06(spark: SparkSession, d: str) -> DataFrame:
 
 @query("a08_ledger", "SELECT g AS scope, sum(eps) AS eps_spent, count(*) AS releases FROM (SELECT DISTINCT event_type AS g FROM events), (VALUES (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)) x(eps) GROUP BY g")
 def a08(spark: SparkSession, d: str) -> DataFrame:
-    from ..sources.io import spent
+    """Three releases of event types' users, written with their ledger, the last one twice; then what each type has spent."""
+    from ..sources import io
 
-    entries = event_items(spark, d).select(F.col("g").alias("scope")).distinct().crossJoin(spark.createDataFrame([(0.5,), (1.0,), (1.5,)], "eps double"))
-    return spent(entries)
+    bits, path, ledger = sketch(event_items(spark, d), F.col("item"), SMALL, ["g"]), shared_path(spark, "releases"), shared_path(spark, "ledger")
+    for eps in (0.5, 1.0, 1.5, 1.5):
+        f = bd.symmetric(eps)
+        rows = io.catalogued(flip(bits, f, KEY, f"a08-{eps}", ["g"]), SMALL, eps, f.kind, f.p, f.q, "g", f"a08-{eps}")
+        io.write_sketches(rows, path, f"a08-{eps}", ledger)
+    return io.spent(io.read_ledger(spark, ledger))
 
 
 _FLIP1 = bd.symmetric(1.0)
@@ -437,9 +456,10 @@ def x01(spark: SparkSession, d: str) -> DataFrame:
     sketches is no sketch of the intersection, as different items may set one cell."""
     noisy = released_parties(spark, d, 4.0, k=2)
     f = bd.symmetric(4.0)
-    each = cardinality(level_counts(noisy, WIDE, ["party"]), WIDE, f.p, f.q)
+    each = cardinality(level_counts(noisy, WIDE, ["party"]), WIDE, f.p, f.q, "bisect")
     one = each.groupBy(F.lit("all").alias("g")).agg(F.sum("n_hat").alias("sum_n"), F.sum(F.pow("stderr", 2)).alias("v"))
-    union = engine.union_of_released(noisy.withColumn("g", F.lit("all")), WIDE, "x01", ["g"]).select("g", F.col("n_hat").alias("union_n"), F.pow("stderr", 2).alias("uv"))
+    noisy = noisy.withColumn("g", F.lit("all"))
+    union = engine.union_of_released(noisy, WIDE, "x01", described(noisy, WIDE, "symmetric", "party", "x01", ["g"]), ["g"], solver="bisect").select("g", F.col("n_hat").alias("union_n"), F.pow("stderr", 2).alias("uv"))
     return one.join(union, "g").select(F.round("sum_n", 2).alias("sum_n"), F.round("union_n", 2).alias("union_n"), F.round(F.col("sum_n") - F.col("union_n"), 2).alias("intersection_n"), F.round(F.sqrt("v") + F.sqrt("uv"), 2).alias("stderr_bound"))
 
 
@@ -449,7 +469,7 @@ def w01_real(spark: SparkSession, d: str) -> DataFrame:
     first = ranked.orderBy("h", "item").limit(10000).withColumn("r", F.row_number().over(Window.orderBy("h", "item")))
     sizes = spark.createDataFrame([(100,), (1000,), (10000,)], "n int")
     rows = first.crossJoin(F.broadcast(sizes)).where("r <= n")
-    return engine.count_private(rows, F.col("item"), 2.0, WIDE, KEY, "prefixes", ["n"], solver="bisect").select("n", F.round("n_hat", 3).alias("n_hat"))
+    return engine.count_private(rows, F.col("item"), 2.0, WIDE, KEY, "prefixes", ["n"], solver="bisect", noise="cell").select("n", F.round("n_hat", 3).alias("n_hat"))
 
 
 __all__ = ["csv", "party_sql"]

@@ -1,7 +1,9 @@
-"""Where queries and their SQL are put."""
+"""Where queries and their SQL are put, and where queries put tables."""
 
 from __future__ import annotations
 
+import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -12,6 +14,16 @@ QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
 
+def shared_path(spark: SparkSession, what: str) -> str:
+    """A new place in the folder that all executors share: spark.checkpoint.dir, else the context's checkpoint
+    folder, else (local mode only) a temporary one."""
+    where = spark.conf.get("spark.checkpoint.dir", None)
+    if not where:
+        known = spark.sparkContext._jsc.sc().getCheckpointDir()
+        where = known.get() if known.isDefined() else "file://" + tempfile.mkdtemp(prefix="mistcount-")
+    return f"{where.rstrip('/')}/mistcount-{what}-{uuid.uuid4().hex}"
+
+
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     def put(f: Query) -> Query:
         if name in QUERIES:

@@ -144,18 +144,21 @@ def native(df: DataFrame, item: str, by: list[str] | None = None, lg_k: int = 12
     )
 
 
-def noisy_estimate(df: DataFrame, item: Column, layout: Layout, epsilon: float, sensitivity: float, key: str, by: list[str] | None = None) -> DataFrame:
-    """Laplace noise on the estimate only: the sketch behind it stays sensitive. The caller vouches for the sensitivity."""
+def noisy_estimate(df: DataFrame, item: Column, layout: Layout, epsilon: float, sensitivity: float, key: str, release: str, by: list[str] | None = None) -> DataFrame:
+    """Laplace noise on the estimate only: the sketch behind it stays sensitive. The caller vouches for the sensitivity,
+    and for a release that changes with the data: two estimates of one release have the same noise."""
     by = by or []
-    v = uniform(draw("laplace", key, *[F.col(c) for c in by])) - 0.5
+    v = uniform(draw("laplace", key, release, *[F.col(c) for c in by])) - 0.5
     noise = -(sensitivity / epsilon) * F.signum(v) * F.log1p(-F.least(2 * F.abs(v), F.lit(1 - 1e-12)))
     return hll(df, item, layout, by).withColumn("n_hat", F.col("n_hat") + noise)
 
 
-def bloom_union(df_a: DataFrame, df_b: DataFrame, item: Column, layout: Bloom, epsilon: float, key: str) -> DataFrame:
-    """Union of exactly two perturbed Bloom filters: both bits' flips are inverted together, cell by cell."""
+def bloom_union(df_a: DataFrame, df_b: DataFrame, item: Column, layout: Bloom, epsilon: float, key: str, releases: tuple[str, str]) -> DataFrame:
+    """Union of exactly two perturbed Bloom filters, released under two names: both bits' flips are inverted together, cell by cell."""
+    if len(set(releases)) < 2:
+        raise ValueError("two filters need two releases, or they share their noise")
     f = symmetric(epsilon / layout.hashes)
-    noisy = [flip(sketch(df, item, layout), f, key, name) for df, name in ((df_a, "a"), (df_b, "b"))]
+    noisy = [flip(sketch(df, item, layout), f, key, name) for df, name in zip((df_a, df_b), releases, strict=True)]
     pair = noisy[0].withColumnRenamed("bit", "x").join(noisy[1].withColumnRenamed("bit", "y"), "cell")
     inverse = lambda c: (f.p - F.col(c)) / (f.p - f.q)
     empty = pair.agg(F.avg(inverse("x") * inverse("y")).alias("empty"))

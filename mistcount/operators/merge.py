@@ -24,7 +24,7 @@ def union_packed(bitmaps: DataFrame, by: list[str] | None = None) -> DataFrame:
 
 def union_xor(cells: DataFrame, by: list[str] | None = None) -> DataFrame:
     """Half-flipped sketches, each with its eps: XOR of the bits; budgets combine as in every union."""
-    return cells.groupBy(*(by or []), "cell").agg(F.pmod(F.sum("bit"), F.lit(2)).cast("int").alias("bit"), combine_or_column(F.col("eps")).alias("eps_effective"))
+    return cells.groupBy(*(by or []), "cell").agg(F.pmod(F.sum("bit"), F.lit(2)).cast("int").alias("bit"), combine_or_column(F.col("eps")).alias("eps_effective"), F.count("*").alias("n_sources"))
 
 
 def merge_chance(ones: Column, spent: Column, eps_effective: Column) -> Column:
@@ -66,14 +66,32 @@ def merge_pair(a: DataFrame, b: DataFrame, e1: float, e2: float, salt: str, targ
     return pair.select("cell", bernoulli(draw("merge", salt, F.col("cell")), chance).alias("bit"))
 
 
-def check_mergeable(sketches: DataFrame) -> DataFrame:
-    """The catalogue rows, or an error while they are read: one layout and mechanism, each sketch once, and no
-    ancestor in common, as merging shared noise breaks the merge's law. sketches: sketch_id, layout, mechanism, lineage."""
-    facts = sketches.agg(F.count_distinct("layout").alias("layouts"), F.count_distinct("mechanism.kind").alias("kinds"), F.count("*").alias("n"), F.count_distinct("sketch_id").alias("ids"))
-    ancestors = sketches.select(F.explode("lineage").alias("a")).agg(F.count("*").alias("na"), F.count_distinct("a").alias("da"))
+def mergeable_groups(sketches: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """(by, n_checked): the number of sketches of each group, or an error while it is read unless all have one layout
+    and mechanism, each occurs once, and none has an ancestor in common with another, as merging shared noise breaks the
+    merge's law. sketches: a row a sketch with by, sketch_id, layout, mechanism, lineage."""
+    by = by or []
+    rows = sketches.withColumn("_a", F.explode_outer("lineage"))
+    # a row an ancestor: a sketch's own facts repeat, so its number of rows is counted by its ancestors' places
+    own = sketches.groupBy(*by).agg(F.count_distinct("layout").alias("layouts"), F.count_distinct("mechanism.kind").alias("kinds"), F.count("*").alias("n"), F.count_distinct("sketch_id").alias("ids"))
+    shared = rows.groupBy(*[F.col(c).alias(f"_{c}") for c in by]).agg(F.count("_a").alias("na"), F.count_distinct("_a").alias("da"))
+    same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in by]
+    both = own.join(shared, same) if by else own.crossJoin(shared)
     verdict = (
         F.when(F.col("layouts") > 1, F.lit("layouts differ")).when(F.col("kinds") > 1, F.lit("mechanisms differ"))
         .when(F.col("ids") < F.col("n"), F.lit("a sketch occurs twice")).when(F.col("da") < F.col("na"), F.lit("sketches have an ancestor in common"))
     )
-    checked = facts.crossJoin(ancestors).select(F.when(verdict.isNotNull(), F.raise_error(verdict)).otherwise(F.lit(True)).alias("_ok"))
-    return sketches.crossJoin(F.broadcast(checked)).where("_ok").drop("_ok")
+    return both.select(*by, F.when(verdict.isNotNull(), F.raise_error(verdict).cast("long")).otherwise(F.col("n")).alias("n_checked"))
+
+
+def check_mergeable(sketches: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """The catalogue rows, or an error while they are read; each group by itself."""
+    return checked_against(sketches, mergeable_groups(sketches, by), by).where("n_checked > 0").drop("n_checked")
+
+
+def checked_against(rows: DataFrame, groups: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """rows with the n_checked of their group."""
+    if not by:
+        return rows.crossJoin(F.broadcast(groups))  # a single row
+    named = groups.select(*[F.col(c).alias(f"_{c}") for c in by], "n_checked")
+    return rows.join(named, [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in by]).drop(*[f"_{c}" for c in by])

@@ -56,10 +56,13 @@ def max_feasible_eps(spark: SparkSession, epsilons: list[float], step: float = 1
 
 
 def coupling_agreement(spark: SparkSession, n: int, layout: Layout, trials: int, key: str) -> DataFrame:
-    """How often a sketch of n items and one of the same stream cut or carried on to a Poisson length agree in all
-    bits (trials, share_equal, mean_differ, n).
+    """How often three coupled sketches agree in all bits (trials, n, share_equal: all three; share_poisson: the first two;
+    mean_differ: cells in which not all agree): one of n items, one of the same stream cut or carried on to a Poisson
+    length, and one of independent cells with the first one's margins.
 
-    The Poisson length is a rounded normal draw of the same mean and variance; no sketch of independent cells is drawn.
+    The Poisson length is a rounded normal draw of the same mean and variance. The bits of the second sketch are
+    independent; each gets a uniform that lies below its chance of a 1 exactly if it is one, and the third sketch's bit is
+    whether that uniform lies below its own chance.
     """
     trial = spark.range(trials).select(F.col("id").alias("trial"))
     u1, u2 = (F.greatest(draw("sim", key, f"len{i}", F.col("trial")) / float(1 << 52), F.lit(1e-15)) for i in (1, 2))
@@ -67,13 +70,20 @@ def coupling_agreement(spark: SparkSession, n: int, layout: Layout, trials: int,
     lengths = trial.withColumn("len", F.greatest(F.lit(0), F.round(n + normal * n**0.5)).cast("long"))
     longest = int(n + 8 * n**0.5) + 1
     rows = spark.range(longest).select(F.col("id").alias("i")).crossJoin(F.broadcast(lengths))
-    bucket = F.pmod(F.xxhash64(F.lit("cb"), "trial", "i"), F.lit(layout.buckets))
-    bits = F.xxhash64(F.lit("cl"), "trial", "i").bitwiseAND(F.lit((1 << 62) - 1))
+    bucket = F.pmod(draw("sim", key, "bucket", F.col("trial"), F.col("i")), F.lit(layout.buckets))
+    bits = draw("sim", key, "level", F.col("trial"), F.col("i"))
     level = F.least(F.lit(layout.levels), F.bit_count(bits.bitwiseXOR(bits - 1)))
-    cells = rows.select("trial", (bucket * layout.levels + level).alias("cell"), (F.col("i") < n).alias("fixed"), (F.col("i") < F.col("len")).alias("poisson"))
-    per_cell = cells.groupBy("trial", "cell").agg(F.max("fixed").alias("f"), F.max("poisson").alias("p"))
-    diff = per_cell.groupBy("trial").agg(F.sum((F.col("f") != F.col("p")).cast("int")).alias("differ"))
-    return diff.agg(F.count("*").alias("trials"), F.avg((F.col("differ") == 0).cast("int")).alias("share_equal"), F.avg("differ").alias("mean_differ")).withColumn("n", F.lit(n))
+    cells = rows.select("trial", (bucket * layout.levels + level - 1).cast("int").alias("cell"), (F.col("i") < n).alias("fixed"), (F.col("i") < F.col("len")).alias("poisson"))
+    per_cell = cells.groupBy("trial", "cell").agg(F.max(F.col("fixed").cast("int")).alias("f"), F.max(F.col("poisson").cast("int")).alias("p"))
+    grid = trial.crossJoin(F.broadcast(spark.range(layout.cells).select(F.col("id").cast("int").alias("cell"))))
+    rho = F.element_at(F.array(*[F.lit(r) for r in layout.rho()]), F.pmod("cell", F.lit(layout.levels)) + 1)
+    every = grid.join(per_cell, ["trial", "cell"], "left").select("trial", "cell", F.coalesce("f", F.lit(0)).alias("f"), F.coalesce("p", F.lit(0)).alias("p"), rho.alias("rho"))
+    v, one = draw("sim", key, "couple", F.col("trial"), F.col("cell")) / float(1 << 52), -F.expm1(-n * F.col("rho"))
+    uniform = F.when(F.col("p") == 1, v * one).otherwise(one + v * (1 - one))
+    alone = (uniform < -F.expm1(n * F.log1p(-F.col("rho")))).cast("int")
+    diff = every.withColumn("i", alone).groupBy("trial").agg(F.sum(((F.col("f") != F.col("p")) | (F.col("p") != F.col("i"))).cast("int")).alias("differ"), F.sum((F.col("f") != F.col("p")).cast("int")).alias("two"))
+    same = lambda c: F.avg((F.col(c) == 0).cast("int"))
+    return diff.agg(F.count("*").alias("trials"), same("differ").alias("share_equal"), same("two").alias("share_poisson"), F.avg("differ").alias("mean_differ")).withColumn("n", F.lit(n))
 
 
 def membership_leak(items: DataFrame, item, cells: DataFrame, layout: Layout) -> DataFrame:

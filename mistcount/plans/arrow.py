@@ -8,12 +8,15 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..functions.budget import Flip
+from ..functions.noise import ONE
+from ..functions.vectorised import fit
 from ..layout import Layout
-from ..operators.build import BITMAP
+from ..operators.build import BITMAP, packed
 
 #: First-level tasks for a group's sketches.
 SALTS = 16
@@ -23,12 +26,83 @@ def _bits(raw: bytes) -> np.ndarray:
     return np.unpackbits(np.frombuffer(raw, np.uint8), bitorder="little")
 
 
+def all_bitmaps(bitmaps: DataFrame, groups: DataFrame, layout: Layout, by: list[str]) -> DataFrame:
+    """(by, bucket_no, bits) with the bitmaps that have no ones: flips and merges act on every cell. groups: a row a sketch."""
+    count = -(-layout.cells // BITMAP)
+    spots = groups.select(*[F.col(c).alias(f"_{c}") for c in by], F.explode(F.sequence(F.lit(1).cast("long"), F.lit(count).cast("long"))).alias("_no"))
+    same = F.col("bucket_no") == F.col("_no")
+    for c in by:
+        same &= F.col(c).eqNullSafe(F.col(f"_{c}"))
+    return spots.join(bitmaps.select(*by, "bucket_no", "bits"), same, "left").select(*[F.col(f"_{c}").alias(c) for c in by], F.col("_no").alias("bucket_no"), F.coalesce("bits", F.lit(bytearray(BITMAP // 8))).alias("bits"))
+
+
+def sketch_packed(df: DataFrame, item: Column, layout: Layout, by: list[str] | None = None) -> DataFrame:
+    """Plain packed sketches with all their bitmaps, one for each group that occurs (also with null items only)."""
+    by = by or []
+    return all_bitmaps(packed(df, item, layout, by), df.select(*by).distinct() if by else df.sparkSession.range(1), layout, by)
+
+
+#: Rows of bitmaps that a task holds at a time.
+_ROWS = 256
+
+
+def _draws(kind: str, place: str, first: int, count: int) -> np.ndarray:
+    """Uniform 52-bit integers of the cells from `first` on."""
+    if kind == "stream":
+        return np.frombuffer(hashlib.shake_256(f"{place}|{first}".encode()).digest(8 * count), "<u8") >> np.uint64(12)
+    start = hashlib.sha256(f"{place}|".encode())
+
+    def one(cell: int) -> bytes:
+        h = start.copy()
+        h.update(b"%d" % cell)
+        return h.digest()[:8]
+
+    return np.frombuffer(b"".join(map(one, range(first, first + count))), ">u8") >> np.uint64(12)
+
+
+def flip_packed(bitmaps: DataFrame, mechanism: Flip, layout: Layout, key: str, release: str, by: list[str] | None = None, noise: str = "stream") -> DataFrame:
+    """Noisy copies of packed sketches, bitmap by bitmap: nothing is shuffled, and no row is made for a cell.
+
+    Every sketch must have all its bitmaps. The noise is a function of key, release, group and cell, with either source:
+    "stream" takes it from an extendable-output hash (SHAKE-256) of key, release, group and bitmap; "cell" hashes
+    each cell, as the long form's flip() does, so that both forms (and SQL) give the same bits; it takes some 50 times longer.
+    The key stands in the function that is shipped to the workers, not in the plan.
+    """
+    by = by or []
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in bitmaps.select(*by, "bucket_no").schema.fields)
+    one, zero = np.uint64(int(mechanism.p * ONE)), np.uint64(int(mechanism.q * ONE))
+
+    def flipped(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in rows:
+            for at in range(0, whole.num_rows, _ROWS):
+                batch, out = whole.slice(at, _ROWS), []
+                for name, no, raw in zip(*(batch.column(c).to_pylist() for c in ("_name", "bucket_no", "bits")), strict=True):
+                    first = (no - 1) * BITMAP
+                    count = max(0, min(BITMAP, layout.cells - first))
+                    place = "|".join(["flip", key, release, *([name] if by else [])])
+                    bits = np.zeros(BITMAP, np.uint8)
+                    bits[:count] = _draws(noise, place, first, count) < np.where(_bits(raw)[:count] == 1, one, zero)
+                    out.append(np.packbits(bits, bitorder="little").tobytes())
+                yield pa.record_batch([*[batch.column(c) for c in (*by, "bucket_no")], pa.array(out, pa.binary())], names=[*by, "bucket_no", "bits"])
+
+    named = bitmaps.select(*by, "bucket_no", "bits", F.concat_ws("|", *[F.col(c).cast("string") for c in by]).alias("_name"))
+    return named.mapInArrow(flipped, f"{kinds}, bits binary")
+
+
+def whole_sketches(bitmaps: DataFrame, layout: Layout, by: list[str]) -> DataFrame:
+    """(by, n_sketches), or an error while it is read if a group lacks bitmaps of some of its sketches."""
+    count = -(-layout.cells // BITMAP)
+    each = bitmaps.groupBy(*by, "bucket_no").agg(F.count("*").alias("_n")).groupBy(*by).agg(F.count("*").alias("_b"), F.min("_n").alias("_least"), F.max("_n").alias("_most"))
+    fine = (F.col("_b") == count) & (F.col("_least") == F.col("_most"))
+    return each.select(*by, F.when(fine, F.col("_least")).otherwise(F.raise_error(F.lit("a sketch lacks some of its bitmaps")).cast("long")).alias("n_sketches"))
+
+
 def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str) -> DataFrame:
     """The randomized union of packed symmetric sketches (by, ..., bucket_no, bits, eps), per (by, bucket_no).
 
     Two levels: tasks first add up the ones and their budgets of some sketches, then these sums; so a group of
     any number of sketches needs no more than SALTS pairs of arrays in one task. Every sketch must have all its
-    bitmaps. Merge draws need independence, not secrecy: they come from a generator seeded by salt and place.
+    bitmaps (`all_bitmaps`), or an error is raised. Merge draws need independence, not secrecy: they come from a generator seeded by salt and place.
     """
     keys = [*by, "bucket_no"]
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in bitmaps.select(*keys).schema.fields)
@@ -62,7 +136,11 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str) -
 
     salted = bitmaps.select(*keys, "bits", F.col("eps").cast("double").alias("eps"), F.pmod(F.xxhash64("bits"), F.lit(SALTS)).alias("_salt"))
     sums = salted.groupBy(*keys, "_salt").applyInArrow(partial, f"{kinds}, ones binary, spent binary, log_missing double")
-    return sums.groupBy(*keys).applyInArrow(final, f"{kinds}, bits binary, eps_effective double")
+    merged = sums.groupBy(*keys).applyInArrow(final, f"{kinds}, bits binary, eps_effective double")
+    counts = whole_sketches(bitmaps, layout, by).withColumnsRenamed({c: f"_{c}" for c in by})
+    same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in by]
+    joined = merged.join(counts, same) if by else merged.crossJoin(counts)
+    return joined.where("n_sketches > 0").select(*keys, "bits", "eps_effective")
 
 
 def level_counts_packed(bitmaps: DataFrame, layout: Layout, by: list[str]) -> DataFrame:
@@ -84,23 +162,12 @@ def level_counts_packed(bitmaps: DataFrame, layout: Layout, by: list[str]) -> Da
 
 def fit_udf(layout: Layout, p: float, q: float, steps: int = 60):
     """The fit of level counts by halving, for batches of sketches at once."""
-    lg = np.log1p(-np.array(layout.rho()))
 
     @F.pandas_udf(T.DoubleType())
-    def fit(ones: pd.Series) -> pd.Series:
-        k = np.stack(ones.to_numpy()).astype(float)
-        a, b = np.zeros(len(k)), np.full(len(k), 25.0)
-        for _ in range(steps):
-            mid = (a + b) / 2
-            g = np.exp(np.exp(mid)[:, None] * lg)
-            with np.errstate(invalid="ignore", divide="ignore"):
-                zero = np.ones_like(g) if p == 1 else (p - q) * g / (1 - p + (p - q) * g)
-                one = np.nan_to_num((p - q) * g / (p - (p - q) * g))
-            up = ((layout.buckets - k) * zero * lg - k * one * lg).sum(axis=1) > 0
-            a, b = np.where(up, mid, a), np.where(up, b, mid)
-        return pd.Series(np.exp((a + b) / 2))
-
-    return fit
+    def found(ones: pd.Series) -> pd.Series:
+        return pd.Series(fit(np.stack(ones.to_numpy()), layout, p, q, steps) if len(ones) else [], dtype=float)
+
+    return found
 
 
 def cells_by_table_function(spark: SparkSession, bitmaps: DataFrame, layout: Layout) -> DataFrame:

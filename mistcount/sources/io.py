@@ -43,11 +43,36 @@ def catalogued(cells: DataFrame, layout: Layout, eps, kind: str, p, q, grp: str,
     return cells.select(sketch_id.alias("sketch_id"), F.col(grp).cast("string").alias("grp"), layout_column(layout).alias("layout"), mechanism.alias("mechanism"), F.lit(eps).cast("double").alias("eps_effective"), own.alias("lineage"), F.lit(1).alias("n_sources"), "cell", F.col("bit").cast("int").alias("bit"))
 
 
-def write_sketches(rows: DataFrame, path: str, release: str) -> None:
-    """A release is a partition of its own; writing it again replaces it. Rows of cells compress to about their bits."""
+def described(cells: DataFrame, layout: Layout, kind: str, grp: str, release: str, by: list[str] | None = None, eps: str = "eps") -> DataFrame:
+    """A catalogue row (by, sketch_id, layout, mechanism, lineage) for each released sketch of cells (by, grp, cell, bit, eps):
+    what a merge needs to know of it. A sketch is told by its release and group."""
+    sketch_id = F.concat_ws("/", F.lit(release), F.col(grp).cast("string"))
+    mechanism = F.struct(F.lit(kind).alias("kind"), F.col(eps).alias("eps"))
+    return cells.where("cell = 0").select(*(by or []), sketch_id.alias("sketch_id"), layout_column(layout).alias("layout"), mechanism.alias("mechanism"), F.array(sketch_id).alias("lineage"))
+
+
+def _replace(rows: DataFrame, path: str, release: str) -> None:
     rows.withColumn("release", F.lit(release)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("release").parquet(path)
 
 
+def write_sketches(rows: DataFrame, path: str, release: str, ledger: str) -> None:
+    """A release is a partition of its own, of the sketches and of the ledger; writing it again replaces both, so a
+    retry spends nothing. The ledger is written first: a budget may be booked in vain, never spent unbooked. Rows of
+    cells compress to about their bits."""
+    record(heads(rows).select("sketch_id", F.col("eps_effective").alias("eps"), F.col("grp").alias("scope")), ledger, release)
+    _replace(rows, path, release)
+
+
+def record(spending: DataFrame, ledger: str, release: str) -> None:
+    """Books a release: sketch_id, eps, scope."""
+    entries = spending.select(F.lit(release).alias("release_id"), "sketch_id", F.col("eps").cast("double").alias("eps"), F.col("scope").cast("string").alias("scope"), F.current_timestamp().alias("released_at"))
+    _replace(entries, ledger, release)
+
+
+def read_ledger(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema(LEDGER + ", release string").parquet(path).drop("release")
+
+
 def read_sketches(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema(SKETCHES + ", release string").parquet(path)
 

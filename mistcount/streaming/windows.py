@@ -10,10 +10,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.budget import Flip
 from ..functions.hashing import cell_of
 from ..layout import Layout
-from ..operators.build import densify, unpack
-from ..operators.privatize import flip
+from ..plans.arrow import all_bitmaps, flip_packed
+from ..sources.io import record
 
 
 def event_stream(spark: SparkSession, folder: str, schema, time: str = "ts", files_per_trigger: int = 1) -> DataFrame:
@@ -22,6 +23,11 @@ def event_stream(spark: SparkSession, folder: str, schema, time: str = "ts", fil
     return rows.withColumn(time, F.col(time).cast("timestamp"))
 
 
+def rate_stream(spark: SparkSession, rows_per_second: int, time: str = "ts") -> DataFrame:
+    """Rows numbered as time passes (item, ts): a load of a known number of distinct items, to try a stream's speed."""
+    return spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load().select(F.col("value").cast("string").alias("item"), F.col("timestamp").alias(time))
+
+
 def window_bitmaps(stream: DataFrame, item: Column, layout: Layout, width: str, slide: str | None = None, late: str = "0 seconds", time: str = "ts", by: list[str] | None = None) -> DataFrame:
     """(window, by, bucket_no, bits) of tumbling or sliding windows; works on tables as well."""
     at = cell_of(item, layout).cast("long") + 1
@@ -43,22 +49,33 @@ def deduplicated(stream: DataFrame, keys: list[str], late: str, time: str = "ts"
     return stream.dropDuplicates(keys)
 
 
-def private_windows(batch: DataFrame, layout: Layout, epsilon_flip, key: str, release: str) -> DataFrame:
-    """Noisy cells of final windows (window_start, cell, bit): what a sink may see. batch: window, bucket_no, bits."""
+def private_windows(batch: DataFrame, layout: Layout, mechanism: Flip, key: str, release: str, by: list[str] | None = None, noise: str = "stream") -> DataFrame:
+    """Noisy bitmaps of final windows (window_start, by, bucket_no, bits): what a sink may see. batch: window, by,
+    bucket_no, bits. A window and group is a sketch of its own, with noise of its own."""
+    names = ["window_start", *(by or [])]
     rows = batch.withColumn("window_start", F.col("window.start").cast("string"))
-    ones = unpack(rows, layout, ["window_start"]).where("bit = 1").drop("bit")
-    dense = densify(ones, rows.select("window_start").distinct(), layout, ["window_start"])
-    return flip(dense, epsilon_flip, key, release, ["window_start"])
+    return flip_packed(all_bitmaps(rows, rows.select(*names).distinct(), layout, names), mechanism, layout, key, release, names, noise)
+
 
+def release_stream(
+    bitmaps: DataFrame, layout: Layout, mechanism: Flip, key: str, release: str, path: str, ledger: str, checkpoint: str, by: list[str] | None = None, mode: str = "append", noise: str = "stream",
+):
+    """Starts a query that releases each window once, to partitions of path, and books it. Only append mode is allowed.
 
-def release_stream(bitmaps: DataFrame, layout: Layout, mechanism, key: str, path: str, checkpoint: str, mode: str = "append"):
-    """Starts a query that releases each window once, to partitions of path. Only append mode is allowed."""
+    release names this stream over these data; another stream, or a run over data that have changed, needs another
+    one, as two releases of one name share their noise, and their difference would show the bits that differ.
+    """
     if mode != "append":
         raise ValueError("a private window may be released once only, so the mode must be append")
+    if not release:
+        raise ValueError("a release needs a name of its own")
+    names = ["window_start", *(by or [])]
 
     def sink(batch: DataFrame, epoch: int) -> None:
-        # a batch that is tried again draws the same noise and replaces its own files
-        noisy = private_windows(batch, layout, mechanism, key, "stream")
+        # a batch that is tried again draws the same noise and replaces its own files and ledger entries
+        noisy = private_windows(batch, layout, mechanism, key, release, by, noise)
+        scope = F.concat_ws("/", *names)
+        record(noisy.where("bucket_no = 1").select(F.concat_ws("/", F.lit(release), scope).alias("sketch_id"), F.lit(mechanism.epsilon).alias("eps"), scope.alias("scope")), ledger, f"{release}-{epoch}")
         noisy.write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
 
     return bitmaps.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(sink).start()
