@@ -462,8 +462,9 @@ def _sets(k: int):
     return rows
 
 
-def linked(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
-    """doc_id, text_hash, n (shingles) of every row, and the label of its group: null without shingles or doc_id."""
+def linked(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> tuple[DataFrame, DataFrame]:
+    """node, doc_id, text_hash, n (shingles) of every row; and for each node with shingles and a doc_id, which is a set of
+    shingles, its label, equal within a group, and its first row (doc_id, text_hash)."""
     spark = docs.sparkSession
     met = candidates(docs, percent, k, doc_id, text, bands)
     members = met.where("n >= 0").select(F.col("a").alias("node"), F.col("b").alias("doc_id"), F.col("key").alias("text_hash"), "n")
@@ -486,8 +487,7 @@ def linked(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: st
     dealt = sets.withColumn("part", F.explode(_tasks())).repartition(partitions(spark), "block", "part").sortWithinPartitions("block", "part", "n", "node")
     links = written(dealt.select("block", "part", "node", "s").mapInArrow(_decide(percent), "a long, b long"), "similar")
     labels = components(links)
-    by_node = named.select("node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    return members.join(by_node, "node", "left").select("doc_id", "text_hash", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("label")).alias("label"))
+    return members, named.drop("n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
 
 
 def _tasks() -> Column:
@@ -504,20 +504,20 @@ def _tasks() -> Column:
 
 def groups(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
     """doc_id, n_shingles, component_id of every row: the least doc_id of its group."""
-    rows = linked(docs, percent, k, doc_id, text, bands)
-    # a row a group and task before the shuffle, so a group of many copies is no hot key; the join's side grows with the corpus
-    least = rows.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component"))
-    found = rows.join(least, "label", "left")
-    return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
+    members, nodes = linked(docs, percent, k, doc_id, text, bands)
+    least = nodes.groupBy("label").agg(F.min("first.doc_id").alias("component"))
+    found = members.join(nodes.join(least, "label").select("node", "component"), "node", "left")
+    component = F.when(F.col("doc_id").isNotNull(), F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")))
+    return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), component.alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_id: str = "doc_id", text: str = "text", bands: bool = False) -> DataFrame:
     """The rows of docs that are the first of their group, with the columns of docs: the least doc_id, and of rows with
     that id and other texts the least text hash. Of rows that repeat that id and text the one whose row has the least hash stays.
     Rows without a shingle are in no group; repeated ones are treated in the same way. Rows with a null doc_id stay."""
-    rows = linked(docs, percent, k, doc_id, text, bands).where("doc_id is not null")
-    alone = rows.where("label is null").select("doc_id", "text_hash")
-    first = rows.where("label is not null").groupBy("label").agg(F.min(F.struct("doc_id", "text_hash")).alias("x")).select("x.*")
+    members, nodes = linked(docs, percent, k, doc_id, text, bands)
+    alone = members.where("doc_id is not null and n = 0").select("doc_id", "text_hash")
+    first = nodes.groupBy("label").agg(F.min("first").alias("x")).select("x.*")
     first = alone.unionByName(first).select(F.col("doc_id").alias("_first"), F.col("text_hash").alias("_first_hash")).distinct()
     mine = wrapped(docs).withColumn("_id", F.col(f"row.{doc_id}").cast("long")).withColumn("_hash", F.xxhash64(F.coalesce(F.col(f"row.{text}"), F.lit(""))))
     kept = mine.join(first, (F.col("_id") == F.col("_first")) & (F.col("_hash") == F.col("_first_hash")), "left_semi")
