@@ -423,10 +423,10 @@ def op_udaf(spark: SparkSession, d: str) -> DataFrame:
 @query("op_udaf_packed_noisy")
 def op_udaf_noisy(spark: SparkSession, d: str) -> DataFrame:
     plain = arrow.sketch_packed(party_items(spark, d), F.col("item"), WIDE, ["g", "party"])
-    bitmaps = arrow.flip_packed(plain, bd.symmetric(3.0), WIDE, KEY, "packed-noisy", ["g", "party"]).withColumn("eps", F.lit(3.0))
-    levels = arrow.level_counts_packed(arrow.merge_packed(bitmaps, WIDE, ["g"], "packed"), WIDE, ["g"])
+    bitmaps = arrow.flip_packed(plain, bd.symmetric(3.0), WIDE, KEY, "packed-noisy", ["g", "party"], "cell").withColumn("eps", F.lit(3.0))
+    levels = arrow.level_counts_packed(arrow.merge_packed(bitmaps, WIDE, ["g"], "packed", "cell"), WIDE, ["g"])
     f = bd.symmetric(bd.combine_or([3.0] * 4))
-    return cardinality(levels, WIDE, f.p, f.q).select("g", F.round("n_hat", 2).alias("n_hat"), "status")
+    return cardinality(levels, WIDE, f.p, f.q, "bisect").select("g", F.round("n_hat", 2).alias("n_hat"), "status")
 
 
 @query("op_udtf_sketch_cells", f"SELECT g, cell // 16 AS bucket, (cell % 16 + 1)::INTEGER AS level FROM ({_CELLS})")

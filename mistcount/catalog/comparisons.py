@@ -12,6 +12,7 @@ from ..functions import likelihood as lk
 from ..functions.hashing import canonical
 from ..layout import Bloom, Layout
 from ..operators import baselines as bl
+from ..operators import boolean as bo
 from ..operators import measures as ms
 from ..operators import merge as mg
 from ..operators import theory
@@ -21,7 +22,7 @@ from ..operators.privatize import flip
 from ..plans import engine, experiments
 from ..sources.io import described, read_table
 from . import sql as S
-from .methods import KEY, LINES, ORDERS, SMALL, WIDE, csv, line_items, line_levels, order_items, party_items, party_sql, released_parties, rounded
+from .methods import KEY, LINES, ORDERS, SMALL, WIDE, _labels_sql, _noisy_labels, csv, line_items, line_levels, order_items, party_items, party_sql, released_parties, rounded
 from .registry import query, shared_path
 
 # --- baselines
@@ -132,9 +133,11 @@ def b08(spark: SparkSession, d: str) -> DataFrame:
     return bl.exact(line_items(spark, d), "item", ["g"])
 
 
-@query("b09_native_sketches")
+@query("b09_native_sketches", f"SELECT g, count(DISTINCT item) AS n, true AS approx_count_distinct, true AS hll_sketch, true AS theta_sketch FROM ({LINES}) GROUP BY g")
 def b09(spark: SparkSession, d: str) -> DataFrame:
-    return bl.native(line_items(spark, d), "item", ["g"])
+    """The exact count, and whether each of Spark's own sketches comes within a tenth of it."""
+    found = bl.native(line_items(spark, d), "item", ["g"])
+    return found.select("g", "n", *[(F.abs(F.col(c) / F.col("n") - 1) < 0.1).alias(c) for c in ("approx_count_distinct", "hll_sketch", "theta_sketch")])
 
 
 @query("b10_noisy_estimate")
@@ -163,7 +166,7 @@ def b11(spark: SparkSession, d: str) -> DataFrame:
 
 @query("b12_subsampled")
 def b12(spark: SparkSession, d: str) -> DataFrame:
-    return bl.subsampled(line_items(spark, d), F.col("item"), 0.5, WIDE, _SYMM, KEY, "b12").select(F.round("n_hat", 2).alias("n_hat"), "status")
+    return bl.subsampled(line_items(spark, d), F.col("item"), 0.5, WIDE, _SYMM, KEY, "b12", "bisect").select(F.round("n_hat", 2).alias("n_hat"), "status")
 
 
 @query("b13_union_without_merging")
@@ -332,18 +335,85 @@ def w08(spark: SparkSession, d: str) -> DataFrame:
     return cardinality(level_counts(noisy, SMALL, ["region"]), SMALL, f.p, f.q, "bisect").select("region", F.round("n_hat", 3).alias("n_hat"))
 
 
-@query("w08_days_to_weeks", f"SELECT week, count(*) AS n_cells FROM (SELECT DISTINCT strftime(date_trunc('week', ts), '%Y-%m-%d') AS week, {S.cell('user_id', SMALL)} AS cell FROM events) GROUP BY week")
-def w08_days(spark: SparkSession, d: str) -> DataFrame:
+_TWO, _FOUR = bd.symmetric(2.0), bd.symmetric(4.0)
+_WHOLE = f"SELECT 'all' AS region, item FROM ({_NATION})"
+
+
+@query("w08_to_the_whole", f"SELECT region, round(n_hat, 3) AS n_hat FROM ({S.fit(S.arrays(S.levels(S.flip(S.dense(_WHOLE, SMALL, 'region'), _TWO.p, _TWO.q, KEY, 'whole', 'region'), SMALL, 'region'), 'region'), SMALL, _TWO.p, _TWO.q, 'region')})")
+def w08_whole(spark: SparkSession, d: str) -> DataFrame:
+    """Nations to regions to the whole, plain inside one trust boundary; the whole is flipped once."""
+    plain = sketch(_nations(spark, d), F.col("item"), SMALL, ["region", "nation"])
+    regions = mg.union_plain(plain.drop("nation"), ["region"]).withColumn("whole", F.lit("all"))
+    noisy = engine.release_roll_up(regions, SMALL, 2.0, KEY, "whole", ["whole", "region"], ["whole"]).withColumnRenamed("whole", "region")
+    return cardinality(level_counts(noisy, SMALL, ["region"]), SMALL, _TWO.p, _TWO.q, "bisect").select("region", F.round("n_hat", 3).alias("n_hat"))
+
+
+_W8_NATIONS = f"SELECT region, nation, cell, 4.0::DOUBLE AS eps, bit FROM (SELECT * FROM ({S.flip(S.dense(f'SELECT nation, item FROM ({_NATION})', SMALL, 'nation'), _FOUR.p, _FOUR.q, KEY, 'nations', 'nation')}) JOIN (SELECT n_name AS nation, r_name AS region FROM nation JOIN region ON n_regionkey = r_regionkey) USING (nation))"
+_W8_REGIONS = S.union_randomized(_W8_NATIONS, "regions", "region")
+_W8_WHOLE = S.union_randomized(f"SELECT 'all' AS region, cell, bit, star AS eps FROM ({_W8_REGIONS})", "whole", "region")
+
+
+def _w08_fit(merged: str) -> str:
+    counts = f"SELECT region, max(star) AS star, list(k ORDER BY level) AS k FROM (SELECT region, star, cell % {SMALL.levels} AS level, sum(bit)::BIGINT AS k FROM ({merged}) GROUP BY ALL) GROUP BY region"
+    return f"SELECT region, round(star, 9) AS eps_effective, round(n_hat, 3) AS n_hat FROM ({S.fit(counts, SMALL, '(1 - 1 / (exp(star) + 1))', '(1 / (exp(star) + 1))', 'region', keep='star')})"
+
+
+@query("w08_noisy_roll_up", f"{_w08_fit(_W8_REGIONS)} UNION ALL {_w08_fit(_W8_WHOLE)}")
+def w08_noisy(spark: SparkSession, d: str) -> DataFrame:
+    """Each nation releases its own noisy sketch, written and read back; whoever has these alone merges them to regions,
+    and the regions' sketches to the whole."""
+    from ..sources import io
+
+    f, path = bd.symmetric(4.0), shared_path(spark, "nations")
+    places = _nations(spark, d).select("nation", "region").distinct()
+    noisy = flip(sketch(_nations(spark, d), F.col("item"), SMALL, ["nation"]), f, KEY, "nations", ["nation"])
+    io.write_sketches(io.catalogued(noisy, SMALL, 4.0, f.kind, f.p, f.q, "nation", "nations"), path, "nations", shared_path(spark, "ledger"))
+    stored = io.read_sketches(spark, path).select("sketch_id", F.col("grp").alias("nation"), "layout", "mechanism", "lineage", "cell", "bit", F.col("eps_effective").alias("eps")).join(F.broadcast(places), "nation")
+    groups = mg.mergeable_groups(stored.where("cell = 0"), ["region"])
+    regions = mg.checked_against(mg.union_randomized(stored, "regions", ["region"]), groups, ["region"]).where("n_sources = n_checked")
+    whole = mg.union_randomized(regions.select(F.lit("all").alias("region"), "cell", "bit", F.col("eps_effective").alias("eps")), "whole", ["region"])
+    both = regions.select(*whole.columns).unionByName(whole)
+    q = bd.symmetric_q(F.col("eps_effective"))
+    found = cardinality(level_counts(both, SMALL, ["region"], ["eps_effective"]), SMALL, 1 - q, q, "bisect")
+    return rounded(found.select("region", "eps_effective", "n_hat"), eps_effective=9, n_hat=3)
+
+
+def _days(spark: SparkSession, d: str, span: str, form: str) -> DataFrame:
+    """Days' plain sketches united by longer spans; cells of each."""
     rows = event_items(spark, d).withColumn("day", F.date_trunc("day", "ts"))
     days = set_cells(rows, F.col("item"), SMALL, ["day"]).withColumn("bit", F.lit(1))
-    weeks = mg.union_plain(days.withColumn("week", F.date_format(F.date_trunc("week", "day"), "yyyy-MM-dd")).drop("day"), ["week"])
-    return weeks.groupBy("week").agg(F.count("*").alias("n_cells"))
+    spans = mg.union_plain(days.withColumn(span, F.date_format(F.date_trunc(span, "day"), form)).drop("day"), [span])
+    return spans.groupBy(span).agg(F.count("*").alias("n_cells"))
 
 
-@query("w09_label_overlap", "SELECT sum(CASE WHEN coalesce(quality, 0) = 1 AND coalesce(toxic, 0) = 1 THEN 1 ELSE 0 END)::BIGINT AS both_true, sum(CASE WHEN coalesce(quality, 0) = 1 OR coalesce(toxic, 0) = 1 THEN 1 ELSE 0 END)::BIGINT AS either_true FROM labels")
+@query("w08_days_to_weeks", f"SELECT week, count(*) AS n_cells FROM (SELECT DISTINCT strftime(date_trunc('week', ts), '%Y-%m-%d') AS week, {S.cell('user_id', SMALL)} AS cell FROM events) GROUP BY week")
+def w08_days(spark: SparkSession, d: str) -> DataFrame:
+    return _days(spark, d, "week", "yyyy-MM-dd")
+
+
+@query("w08_days_to_months", f"SELECT month, count(*) AS n_cells FROM (SELECT DISTINCT strftime(ts, '%Y-%m') AS month, {S.cell('user_id', SMALL)} AS cell FROM events) GROUP BY month")
+def w08_months(spark: SparkSession, d: str) -> DataFrame:
+    return _days(spark, d, "month", "yyyy-MM")
+
+
+def _overlap_sql() -> str:
+    f = bd.symmetric(bd.combine_or([4.0, 4.0]))
+    noisy = f"SELECT 1 AS g, cell, bit, eps FROM ({_labels_sql(4.0, 'overlap')})"
+    ors = S.union_randomized(noisy, "overlap-or").replace("CAST(g AS VARCHAR), ", "")
+    ands = S.union_randomized(f"SELECT g, cell, 1 - bit AS bit, eps FROM ({noisy})", "overlap-and").replace("CAST(g AS VARCHAR), ", "")
+    count = lambda bits: f"SELECT round((sum(bit) - {f.q!r} * count(*)) / {f.p - f.q!r}, 6) FROM ({bits})"
+    exact = lambda op: f"(SELECT count(*) FILTER (WHERE coalesce(quality, 0) = 1 {op} coalesce(toxic, 0) = 1) FROM labels)"
+    return f"SELECT {exact('AND')} AS both_true, {exact('OR')} AS either_true, ({count(f'SELECT 1 - bit AS bit FROM ({ands})')}) AS both_private, ({count(ors)}) AS either_private"
+
+
+@query("w09_label_overlap", _overlap_sql())
 def w09(spark: SparkSession, d: str) -> DataFrame:
+    """Documents with both labels and with either, exactly and from the labels' released noisy vectors alone."""
     rows = read_table(spark, d, "labels").select(F.coalesce("quality", F.lit(0)).alias("a"), F.coalesce("toxic", F.lit(0)).alias("b"))
-    return rows.agg(F.sum(F.col("a").bitwiseAND(F.col("b"))).alias("both_true"), F.sum(F.col("a").bitwiseOR(F.col("b"))).alias("either_true"))
+    exact = rows.agg(F.sum(F.col("a").bitwiseAND(F.col("b"))).cast("long").alias("both_true"), F.sum(F.col("a").bitwiseOR(F.col("b"))).cast("long").alias("either_true"))
+    noisy, f = _noisy_labels(spark, d, 4.0, "overlap"), bd.symmetric(bd.combine_or([4.0, 4.0]))
+    count = lambda bits, name: bo.debiased_count(bits, f.p, f.q).select(F.round("n_ones", 6).alias(name))
+    return exact.crossJoin(count(bo.and_agg(noisy, "overlap-and"), "both_private")).crossJoin(count(bo.or_agg(noisy, "overlap-or"), "either_private"))
 
 
 def _w10_sql() -> str:
@@ -369,16 +439,26 @@ def w10(spark: SparkSession, d: str) -> DataFrame:
     return rounded(found.select("n_hat", "stderr", "eps_effective", "n_sources", "status"), n_hat=3, stderr=3, eps_effective=9)
 
 
+_W11_FLIP, _W11_BETAS = bd.half_flip_loose(1.0), (0.02, 0.05, 0.1, 0.2, 0.4)
+
+
+def _w11(spark: SparkSession, trials: int, levels) -> DataFrame:
+    f = _W11_FLIP
+    grid = spark.range(trials).select(F.col("id").cast("int").alias("trial"), F.lit(1e5).alias("n"), F.lit(f.p).alias("p"), F.lit(f.q).alias("q"))
+    tried = F.explode(F.array(*[F.struct(F.lit(b).alias("beta"), bl.interval_estimate_fixed(F.col("ones"), WIDE, f.p, f.q, b).alias("n_hat")) for b in _W11_BETAS]))
+    runs = levels(grid).select("n", tried.alias("x")).select("n", "x.*")
+    return ms.accuracy(runs, ["beta"]).select("beta", F.round("failure_rate", 4).alias("failure_rate"), F.round("rrmse", 4).alias("rrmse"))
+
+
 @query("w11_failures_at_fixed_tolerance")
 def w11(spark: SparkSession, d: str) -> DataFrame:
-    f = bd.half_flip_loose(1.0)
-    grid = spark.range(TRIALS).select(F.col("id").cast("int").alias("trial"), F.lit(1e5).alias("n"), F.lit(f.p).alias("p"), F.lit(f.q).alias("q"))
-    levels = experiments.private_levels(grid, WIDE, "w11", ["trial"])
-    tried = [levels.select(F.lit(b).alias("beta"), bl.interval_estimate_fixed(F.col("ones"), WIDE, f.p, f.q, b).alias("n_hat"), "n") for b in (0.02, 0.05, 0.1, 0.2, 0.4)]
-    runs = tried[0]
-    for t in tried[1:]:
-        runs = runs.unionByName(t)
-    return ms.accuracy(runs, ["beta"]).select("beta", F.round("failure_rate", 4).alias("failure_rate"), F.round("rrmse", 4).alias("rrmse"))
+    return _w11(spark, TRIALS, lambda grid: experiments.level_draws(grid, WIDE, "w11"))
+
+
+@query("w11_failures_by_cells")
+def w11_cells(spark: SparkSession, d: str) -> DataFrame:
+    """The same with every cell of 20 sketches drawn, as SQL can do it."""
+    return _w11(spark, 20, lambda grid: experiments.private_levels(grid, WIDE, "w11", ["trial"]))
 
 
 def _runs(spark: SparkSession) -> DataFrame:

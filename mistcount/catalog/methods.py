@@ -152,8 +152,8 @@ def released_parties(spark: SparkSession, d: str, epsilon: Column | float, layou
     return flip_symmetric(bits, F.lit(float(epsilon)) if isinstance(epsilon, int | float) else epsilon, KEY, "parties", ["party"])
 
 
-def released_sql(epsilon: str, layout: Layout = WIDE) -> str:
-    bits = f"SELECT *, {epsilon} AS eps FROM ({S.dense(party_sql(), layout, 'party')})"
+def released_sql(epsilon: str, layout: Layout = WIDE, k: int = 4) -> str:
+    bits = f"SELECT *, {epsilon} AS eps FROM ({S.dense(party_sql(k), layout, 'party')})"
     return f"SELECT 'all' AS g, party, cell, bit, eps FROM ({S.flip(bits, '(1 - 1 / (exp(eps) + 1))', '(1 / (exp(eps) + 1))', KEY, 'parties', 'party', 'eps,')})"
 
 
@@ -190,13 +190,13 @@ def m09n(spark: SparkSession, d: str) -> DataFrame:
 def _pair_sql(t: list[float]) -> str:
     u = S.draw("merge", "pair", "CAST(cell AS VARCHAR)")
     t_sql = "CASE 2 * x.bit + y.bit " + " ".join(f"WHEN {i} THEN {int(min(1.0, max(0.0, v)) * (1 << 52))}" for i, v in enumerate(t)) + " END"
-    side = lambda p: f"SELECT cell, bit FROM ({released_sql('2.0::DOUBLE')}) WHERE party = '{p}'"
+    side = lambda p: f"SELECT cell, bit FROM ({released_sql('2.0::DOUBLE', k=2)}) WHERE party = '{p}'"
     return f"SELECT 'all' AS g, x.cell, CAST({u.replace('CAST(cell', 'CAST(x.cell')} < {t_sql} AS INTEGER) AS bit FROM ({side(0)}) x JOIN ({side(1)}) y ON x.cell = y.cell"
 
 
 @query("m09_union_pair", S.ones_csv(S.levels(_pair_sql(bd.transition(2.0, 2.0)), WIDE)))
 def m09(spark: SparkSession, d: str) -> DataFrame:
-    noisy = released_parties(spark, d, 2.0)
+    noisy = released_parties(spark, d, 2.0, k=2)
     merged = mg.merge_pair(noisy.where("party = '0'"), noisy.where("party = '1'"), 2.0, 2.0, "pair").withColumn("g", F.lit("all"))
     return level_counts(merged, WIDE, ["g"]).select("g", csv(F.col("ones")).alias("ones"))
 
@@ -225,16 +225,16 @@ def label_bits(spark: SparkSession, d: str, column: str) -> DataFrame:
     return read_table(spark, d, "labels").select(F.col("doc_id").alias("cell"), F.coalesce(F.col(column), F.lit(0)).alias("bit"))
 
 
-def _noisy_labels(spark: SparkSession, d: str, eps: float = 2.0) -> DataFrame:
+def _noisy_labels(spark: SparkSession, d: str, eps: float = 2.0, release: str = "labels") -> DataFrame:
     """Both attributes as released vectors: v, cell, bit, eps."""
-    out = [flip(label_bits(spark, d, c).withColumn("v", F.lit(c)), bd.symmetric(eps), KEY, "labels", ["v"]).withColumn("eps", F.lit(eps)) for c in ("quality", "toxic")]
+    out = [flip(label_bits(spark, d, c).withColumn("v", F.lit(c)), bd.symmetric(eps), KEY, release, ["v"]).withColumn("eps", F.lit(eps)) for c in ("quality", "toxic")]
     return out[0].unionByName(out[1])
 
 
-def _labels_sql(eps: float = 2.0) -> str:
+def _labels_sql(eps: float = 2.0, release: str = "labels") -> str:
     f = bd.symmetric(eps)
     both = " UNION ALL ".join(f"SELECT '{c}' AS v, doc_id AS cell, coalesce({c}, 0) AS bit FROM labels" for c in ("quality", "toxic"))
-    return f"SELECT v, cell, bit, {eps}::DOUBLE AS eps FROM ({S.flip(both, f.p, f.q, KEY, 'labels', 'v')})"
+    return f"SELECT v, cell, bit, {eps}::DOUBLE AS eps FROM ({S.flip(both, f.p, f.q, KEY, release, 'v')})"
 
 
 def _count(df: DataFrame, f: bd.Flip) -> DataFrame:
@@ -365,7 +365,7 @@ def m15(spark: SparkSession, d: str) -> DataFrame:
 
 @query("m15a_observed_and_sandwich")
 def m15a(spark: SparkSession, d: str) -> DataFrame:
-    fitted = cardinality(line_levels(spark, d), WIDE, _SYM.p, _SYM.q)
+    fitted = cardinality(line_levels(spark, d), WIDE, _SYM.p, _SYM.q, "bisect")
     n, p, q = F.col("n_hat"), _SYM.p, _SYM.q
     return fitted.select("g", F.round("stderr", 2).alias("stderr"), F.round(lk.observed_stderr(F.col("ones"), WIDE, n, p, q), 2).alias("observed"), F.round(lk.sandwich_stderr(WIDE, n, p, q), 2).alias("sandwich"))
 
@@ -447,22 +447,27 @@ query("m18_exact_items", f"SELECT trial, round(n_hat, 3) AS n_hat FROM ({S.fit(S
 query("m18_multinomial")(lambda spark, d: _sim(spark, "multinomial"))
 
 
+#: Few buckets for many items, so that the sketches have room to agree.
+COUPLED = Layout(4, 20)
+
+
 @query("m18c_coupling_agreement")
 def m18c(spark: SparkSession, d: str) -> DataFrame:
-    parts = [theory.coupling_agreement(spark, n, Layout(4, 20), 20, "coupling") for n in (1000, 10000)]
+    parts = [theory.coupling_agreement(spark, n, COUPLED, 20, "coupling") for n in (1000, 10000)]
     return parts[0].unionByName(parts[1])
 
 
 @query("m18p_poisson_fit")
 def m18p(spark: SparkSession, d: str) -> DataFrame:
     levels = line_levels(spark, d)
-    a = cardinality(levels, WIDE, _SYM.p, _SYM.q).select("g", F.round("n_hat", 1).alias("likelihood"))
-    b = cardinality(levels, WIDE, _SYM.p, _SYM.q, method="poisson").select("g", F.round("n_hat", 1).alias("poisson"))
+    a = cardinality(levels, WIDE, _SYM.p, _SYM.q, "bisect").select("g", F.round("n_hat", 1).alias("likelihood"))
+    b = cardinality(levels, WIDE, _SYM.p, _SYM.q, "bisect", "poisson").select("g", F.round("n_hat", 1).alias("poisson"))
     return a.join(b, "g")
 
 
 # --- other bitmaps under the same mechanism
 
+EXPONENTIAL = Exponential(512, 16, decay=8.0, family="md5")
 _LINEAR, _BLOOM = LinearCounting(8192, family="md5"), Bloom(16384, k=2, family="md5")
 
 
@@ -472,14 +477,14 @@ def _bitmap(spark: SparkSession, d: str, layout: Layout, eps: float, release: st
     return rounded(cardinality(levels, layout, f.p, f.q, "bisect").select("g", "n_hat", "status"), n_hat=3)
 
 
-def _bitmap_sql(layout: Layout, eps: float, release: str) -> str:
+def bitmap_sql(layout: Layout, eps: float, release: str) -> str:
     f = bd.symmetric(eps / layout.hashes)
     return f"SELECT g, round(n_hat, 3) AS n_hat, 'ok' AS status FROM ({S.fit(S.arrays(S.levels(S.flip(S.dense(ORDERS, layout), f.p, f.q, KEY, release), layout)), layout, f.p, f.q, high=math.log(layout.most()))})"
 
 
-query("m19_linear_counting", _bitmap_sql(_LINEAR, 2.0, "linear"))(lambda spark, d: _bitmap(spark, d, _LINEAR, 2.0, "linear"))
-query("m19_bloom_filter", _bitmap_sql(_BLOOM, 4.0, "bloom"))(lambda spark, d: _bitmap(spark, d, _BLOOM, 4.0, "bloom"))
-query("m19_exponential_bitmap")(lambda spark, d: _bitmap(spark, d, Exponential(512, 16, decay=8.0), 2.0, "exponential"))
+query("m19_linear_counting", bitmap_sql(_LINEAR, 2.0, "linear"))(lambda spark, d: _bitmap(spark, d, _LINEAR, 2.0, "linear"))
+query("m19_bloom_filter", bitmap_sql(_BLOOM, 4.0, "bloom"))(lambda spark, d: _bitmap(spark, d, _BLOOM, 4.0, "bloom"))
+query("m19_exponential_bitmap")(lambda spark, d: _bitmap(spark, d, EXPONENTIAL, 2.0, "exponential"))
 
 
 @query("t13_bounded_contribution")

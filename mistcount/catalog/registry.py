@@ -24,6 +24,13 @@ def shared_path(spark: SparkSession, what: str) -> str:
     return f"{where.rstrip('/')}/mistcount-{what}-{uuid.uuid4().hex}"
 
 
+def oracle(name: str, sql: str) -> None:
+    """SQL of a query that is registered already."""
+    if name not in QUERIES or name in ORACLES:
+        raise ValueError(f"{name} has no query, or SQL already")
+    ORACLES[name] = sql
+
+
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     def put(f: Query) -> Query:
         if name in QUERIES:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 from ..functions.noise import ONE
-from ..layout import Layout
+from ..layout import Exponential, Layout
 
 
 def num(x: float | str) -> str:
@@ -30,6 +30,13 @@ def cell(item: str, layout: Layout, which: int = 0) -> str:
     if layout.levels == 1:
         return f"CAST({h} % {layout.buckets} AS INTEGER)"
     rest = f"({h} // {layout.buckets})"
+    if isinstance(layout, Exponential):
+        sums, total = [], 0.0
+        for r in layout.rho()[:-1]:
+            total += r * layout.buckets
+            sums.append(f"{total!r}::DOUBLE")
+        u = f"(({rest} % {1 << 40}) / {float(1 << 40)!r}::DOUBLE)"
+        return f"CAST({h} % {layout.buckets} * {layout.levels} + len(list_filter([{', '.join(sums)}], lambda x: {u} >= x)) AS INTEGER)"
     return f"CAST({h} % {layout.buckets} * {layout.levels} + least({layout.levels}, bit_count(xor({rest}, {rest} - 1))) - 1 AS INTEGER)"
 
 
@@ -67,25 +74,25 @@ def log_miss(layout: Layout) -> str:
     return "[" + ", ".join(f"{math.log1p(-r)!r}::DOUBLE" for r in layout.rho()) + "]"
 
 
-def score(layout: Layout, k: str, n: str, p: str, q: str) -> str:
-    lg = f"{log_miss(layout)}[j]"
+def score(layout: Layout, k: str, n: str, p: str, q: str, log: str = "") -> str:
+    lg = f"{log or log_miss(layout)}[j]"
     g = f"exp({n} * {lg})"
     zero = f"CASE WHEN {p} = 1 THEN 1 ELSE coalesce(({p} - {q}) * {g} / nullif(1 - {p} + ({p} - {q}) * {g}, 0), 0) END"
     one = f"coalesce(({p} - {q}) * {g} / nullif({p} - ({p} - {q}) * {g}, 0), 0)"
     return f"list_sum(list_transform(range(1, {layout.levels} + 1), lambda j: ({layout.buckets} - {k}[j]) * {zero} * {lg} - {k}[j] * {one} * {lg}))"
 
 
-def fit(counts: str, layout: Layout, p: float | str, q: float | str, by: str = "g", keep: str = "", steps: int = 60, high: float = 25.0) -> str:
+def fit(counts: str, layout: Layout, p: float | str, q: float | str, by: str = "g", keep: str = "", steps: int = 60, high: float = 25.0, log: str = "") -> str:
     """by, keep and n_hat by halving log n; counts: by, keep, k (a list), and the columns that p and q name."""
     extra = f"{keep}, " if keep else ""
     return f"""
 SELECT {by}, {extra} CASE WHEN s1 <= 0 THEN 0 ELSE exp((a + b) / 2) END AS n_hat FROM (
   WITH RECURSIVE start AS (SELECT {by}, {extra} k, {num(p)} AS p, {num(q)} AS q FROM ({counts})),
   it AS (
-    SELECT {by}, {extra} k, p, q, 0 AS i, 0.0::DOUBLE AS a, {high}::DOUBLE AS b, {score(layout, 'k', '1.0', 'p', 'q')} AS s1 FROM start
+    SELECT {by}, {extra} k, p, q, 0 AS i, 0.0::DOUBLE AS a, {high}::DOUBLE AS b, {score(layout, 'k', '1.0', 'p', 'q', log)} AS s1 FROM start
     UNION ALL
     SELECT {by}, {extra} k, p, q, i + 1, CASE WHEN s > 0 THEN mid ELSE a END, CASE WHEN s > 0 THEN b ELSE mid END, s1
-    FROM (SELECT *, (a + b) / 2 AS mid, {score(layout, 'k', 'exp((a + b) / 2)', 'p', 'q')} AS s FROM it WHERE i < {steps})
+    FROM (SELECT *, (a + b) / 2 AS mid, {score(layout, 'k', 'exp((a + b) / 2)', 'p', 'q', log)} AS s FROM it WHERE i < {steps})
   ) SELECT * FROM it WHERE i = {steps}
 )"""
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import likelihood as lk
 from ..functions.budget import Flip, symmetric
-from ..functions.hashing import bucket_level, cell_of
+from ..functions.hashing import bucket_level, cell_of, md5_60
 from ..functions.noise import bernoulli, draw, uniform
 from ..layout import Bloom, Layout
 from .build import densify, level_counts, set_cells, sketch
@@ -165,11 +165,11 @@ def bloom_union(df_a: DataFrame, df_b: DataFrame, item: Column, layout: Bloom, e
     return empty.select("empty", (F.log(F.least(F.lit(1.0), F.greatest("empty", F.lit(1e-9)))) / math.log1p(-layout.rho()[0])).alias("n_hat"))
 
 
-def subsampled(df: DataFrame, item: Column, rate: float, layout: Layout, mechanism: Flip, key: str, release: str) -> DataFrame:
+def subsampled(df: DataFrame, item: Column, rate: float, layout: Layout, mechanism: Flip, key: str, release: str, solver: str = "safe") -> DataFrame:
     """Items are kept by hash at a rate before the flips. Not differentially private as published; for comparison only."""
-    kept = df.where(item.isNotNull() & (F.pmod(F.xxhash64(F.lit("sample"), item), F.lit(1 << 20)) < int(rate * (1 << 20))))
+    kept = df.where(item.isNotNull() & (F.pmod(md5_60(F.concat_ws("|", F.lit("sample"), item.cast("string"))), F.lit(1 << 20)) < int(rate * (1 << 20))))
     levels = level_counts(flip(sketch(kept, item, layout), mechanism, key, release), layout)
-    return cardinality(levels, layout, mechanism.p, mechanism.q).withColumn("n_hat", F.col("n_hat") / rate)
+    return cardinality(levels, layout, mechanism.p, mechanism.q, solver).withColumn("n_hat", F.col("n_hat") / rate)
 
 
 def union_joint(cells: DataFrame, layout: Layout, p: float, q: float, by: list[str] | None = None) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.budget import Flip
+from ..functions.hashing import md5_60
 from ..functions.noise import bernoulli, draw
 
 
@@ -29,5 +30,5 @@ def bound_groups(df: DataFrame, item: str, group: str, most: int) -> DataFrame:
     """Rows of at most `most` groups for each item, chosen by hash: an item's budget adds up over the groups
     that it is in, so bounding them bounds the whole."""
     pairs = df.select(item, group).distinct()
-    ranked = pairs.withColumn("r", F.row_number().over(Window.partitionBy(item).orderBy(F.xxhash64(item, group), group)))
+    ranked = pairs.withColumn("r", F.row_number().over(Window.partitionBy(item).orderBy(md5_60(F.concat_ws("|", F.col(item).cast("string"), F.col(group).cast("string"))), group)))
     return df.join(ranked.where(F.col("r") <= most).drop("r"), [item, group], "left_semi")

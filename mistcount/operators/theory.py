@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import itertools
+import math
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -45,7 +46,7 @@ def max_feasible_eps(spark: SparkSession, epsilons: list[float], step: float = 1
     k = len(epsilons)
     grid = spark.range(1, int(max(epsilons) / step) + 1).select((F.col("id") * step).alias("eps"))
     inputs = spark.range(1 << k).select(F.col("id").alias("bits"))
-    ws = F.array(*[F.lit(2.718281828459045) ** F.lit(-e) for e in epsilons])
+    ws = F.array(*[F.lit(math.exp(-e)) for e in epsilons])
     # the inverse of a flip has rows (1, -w) and (-w, 1) over 1 - w, so for the target (q, 1 - q, ..., 1 - q)
     # the chance is (1 - q) - (1 - 2 q) * product over bits of (1 or -w) / (1 - w)
     product = F.aggregate(F.transform(ws, lambda w, i: F.when(F.expr("0") == F.call_function("getbit", F.col("bits"), i), F.lit(1.0)).otherwise(-w) / (1 - w)), F.lit(1.0), lambda a, x: a * x)

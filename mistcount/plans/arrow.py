@@ -97,12 +97,13 @@ def whole_sketches(bitmaps: DataFrame, layout: Layout, by: list[str]) -> DataFra
     return each.select(*by, F.when(fine, F.col("_least")).otherwise(F.raise_error(F.lit("a sketch lacks some of its bitmaps")).cast("long")).alias("n_sketches"))
 
 
-def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str) -> DataFrame:
+def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, noise: str = "stream") -> DataFrame:
     """The randomized union of packed symmetric sketches (by, ..., bucket_no, bits, eps), per (by, bucket_no).
 
     Two levels: tasks first add up the ones and their budgets of some sketches, then these sums; so a group of
     any number of sketches needs no more than SALTS pairs of arrays in one task. Every sketch must have all its
-    bitmaps (`all_bitmaps`), or an error is raised. Merge draws need independence, not secrecy: they come from a generator seeded by salt and place.
+    bitmaps (`all_bitmaps`), or an error is raised. Merge draws need independence, not secrecy; with noise "cell" they are
+    those of merge.union_randomized.
     """
     keys = [*by, "bucket_no"]
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in bitmaps.select(*keys).schema.fields)
@@ -128,8 +129,10 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str) -
                 log_missing += c
         left = -np.expm1(log_missing)  # exp of minus the effective budget
         chance = np.where(ones == 0, 0.0, (1 - np.where(ones % 2, -1.0, 1.0) * np.exp(-spent)) / (1 + left))
-        seed = hashlib.sha256("|".join([salt, *[str(k.as_py()) for k in key]]).encode()).digest()
-        drawn = np.random.default_rng(np.frombuffer(seed, np.uint32)).random(BITMAP) < chance
+        first = (key[-1].as_py() - 1) * BITMAP
+        count = max(0, min(BITMAP, layout.cells - first))
+        drawn = np.zeros(BITMAP, bool)
+        drawn[:count] = _draws(noise, "|".join(["merge", salt, *[str(k.as_py()) for k in key[:-1]]]), first, count) < np.floor(chance[:count] * ONE).astype(np.uint64)
         star = np.inf if left == 0 else -np.log(left)
         cells = [pa.array([k.as_py()], k.type) for k in key]
         yield pa.record_batch([*cells, pa.array([np.packbits(drawn, bitorder="little").tobytes()], pa.binary()), pa.array([float(star)])], names=[*keys, "bits", "eps_effective"])

@@ -6,7 +6,7 @@ import pytest
 import __spark_entry__ as entry
 from verify import TABLES, plain
 
-CORE = [n for n in entry.catalog.ORACLES if n.startswith(("m0", "m1", "b0", "op_join", "op_aggregate", "op_window", "w03_u", "w08", "a0"))]
+CORE = [n for n in entry.catalog.ORACLES]
 
 
 @pytest.fixture(scope="module")
