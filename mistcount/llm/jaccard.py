@@ -528,3 +528,21 @@ def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_i
 def op9_jaccard_join(spark, sf_dir: str) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
     return groups(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+#: Pair by pair, for small tables.
+OP9_SQL = rf"""
+WITH RECURSIVE d AS (
+  SELECT row_number() OVER () AS id, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents
+),
+s AS (
+  SELECT DISTINCT id, concat_ws(' ', ws[i], ws[i + 1], ws[i + 2]) AS s FROM d, unnest(range(1, greatest(len(ws) - 1, 1))) u(i)
+  UNION ALL SELECT id, array_to_string(ws, ' ') FROM d WHERE len(ws) IN (1, 2)
+),
+n AS (SELECT id, count(*) AS n FROM s GROUP BY id),
+o AS (SELECT a.id AS x, b.id AS y, count(*) AS o FROM s a JOIN s b ON a.s = b.s AND a.id < b.id GROUP BY 1, 2),
+l AS (SELECT x, y FROM o JOIN n a ON a.id = x JOIN n b ON b.id = y WHERE 100 * o >= {PERCENT} * (a.n + b.n - o)),
+e AS (SELECT x, y FROM l UNION ALL SELECT y, x FROM l),
+r AS (SELECT id, id AS other FROM d UNION SELECT r.id, e.y FROM r JOIN e ON e.x = r.other)
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, min(o.doc_id) AS component_id FROM d LEFT JOIN n USING (id) JOIN r USING (id) JOIN d o ON o.id = r.other GROUP BY d.id, d.doc_id, n.n
+"""

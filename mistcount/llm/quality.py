@@ -149,4 +149,24 @@ def op2_quality_rules(spark, sf_dir: str) -> DataFrame:
     rows = written(docs.select("doc_id", "source", text_stats(F.col("text")).alias("_stats")), "measures")
     s = F.col("_stats")
     hosts = host_verdicts(rows.select(F.col("source").alias("host"), (base_failed(s) | soft_failed(s)).alias("failed")))
-    return with_verdicts(rows, hosts, F.col("source")).select("doc_id", *[s[c].alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], base_failed(s).alias("base_failed"), is_kept(s, F.col("host_verdict")).alias("kept"), "host_rate", "host_verdict")
+    return with_verdicts(rows, hosts, F.col("source")).select("doc_id", *[s[c].alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], base_failed(s).alias("base_failed"), is_kept(s, F.col("host_verdict")).alias("kept"), F.round("host_rate", 9).alias("host_rate"), "host_verdict")
+
+
+OP2_SQL = rf"""
+WITH d AS (SELECT row_number() OVER () AS id, doc_id, source, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+t AS (SELECT id, i, ws[i] AS a, ws[i + 1] AS b, ws[i + 2] AS c FROM d, unnest(range(1, greatest(len(ws) - 1, 1))) u(i)),
+r AS (SELECT id, count(DISTINCT i + k) AS n FROM (SELECT id, i, count(*) OVER (PARTITION BY id, a, b, c) AS times FROM t), range(3) z(k) WHERE times > 1 GROUP BY id),
+l AS (SELECT id, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls FROM d),
+m AS (
+  SELECT doc_id, source, len(ws)::BIGINT AS n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0)::BIGINT AS word_chars, len(regexp_extract_all(text, '[#*$%&|<>]'))::BIGINT AS n_symbols,
+    (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, len(ls) AS n_lines, coalesce(r.n, 0)::BIGINT AS n_repeat_words FROM d JOIN l USING (id) LEFT JOIN r USING (id)
+),
+f AS (SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > {REPEAT_PERCENT} * n_words AS base_failed, 100 * n_symbols > {SYMBOL_PERCENT} * word_chars OR 100 * n_dup_lines > {LINE_PERCENT} * n_lines AS soft FROM m),
+h AS (SELECT source, count(*) AS n, count(*) FILTER (WHERE base_failed OR soft) AS bad FROM f GROUP BY source),
+p AS (SELECT avg(bad / n) AS m, coalesce(var_samp(bad / n), 0) AS v FROM h),
+q AS (SELECT m, least(1000.0, CASE WHEN v > 0 AND m * (1 - m) > v THEN m * (1 - m) / nullif(v, 0) - 1 ELSE 1.0 END) AS w FROM p),
+g AS (SELECT source, (bad + m * w) / (n + w) AS rate, n + w AS total FROM h, q),
+v AS (SELECT source, rate, CASE WHEN rate - 2 * sqrt(rate * (1 - rate) / (total + 1)) > {BLOCKED} THEN 'blocked' WHEN rate > {SUSPECT} THEN 'suspect' ELSE 'trusted' END AS verdict FROM g)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND verdict <> 'blocked' AND (verdict = 'trusted' OR NOT soft) AS kept, round(rate, 9) AS host_rate, verdict AS host_verdict
+FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source
+"""
