@@ -25,4 +25,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_top_k": topk.OP1_SQL, "op2_quality_rules": quality.OP2_SQL, "op3_license_scan": licenses.OP3_SQL, "op7_mixing": mixing.OP7_SQL, "op9_jaccard_join": jaccard.OP9_SQL}
+    return {"op1_exact_top_k": topk.OP1_SQL, "op2_quality_rules": quality.OP2_SQL, "op3_license_scan": licenses.OP3_SQL, "op6_suffix_dedup": substrings.OP6_SQL, "op7_mixing": mixing.OP7_SQL, "op9_jaccard_join": jaccard.OP9_SQL}

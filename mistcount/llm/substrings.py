@@ -381,3 +381,19 @@ def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
     rows = docs.select("doc_id", text_key(F.col("text")).alias("th"), F.octet_length(raw).cast("long").alias("n_bytes"), F.sha2(raw.cast("binary"), 256).alias("sha"))
     found = rows.join(_by_text(docs, "text", False), "th", "left")
     return found.select("doc_id", "n_bytes", F.coalesce("removed", F.lit(0)).alias("n_removed"), F.coalesce("parts", F.lit(0)).alias("n_spans"), F.coalesce("out", "sha").alias("kept_sha256"))
+
+
+#: String by string, for small tables. Bytes are two hexadecimal digits each; strings come from blocks of 200 bytes with
+#: the 200 after them.
+OP6_SQL = f"""
+WITH d AS (SELECT row_number() OVER () AS id, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+b AS (SELECT id, k, substr(h, k * {2 * LENGTH} + 1, {4 * LENGTH}) AS s FROM d, unnest(range(0, (len(h) + {2 * LENGTH - 1}) // {2 * LENGTH})) u(k)),
+p AS (SELECT id, k * {LENGTH} + j AS i, md5(substr(s, 2 * j + 1, {2 * LENGTH})) AS m FROM b, range({LENGTH}) r(j) WHERE len(s) >= 2 * j + {2 * LENGTH}),
+c AS (SELECT id, i FROM p WHERE m IN (SELECT m FROM p GROUP BY m HAVING count(*) > 1)),
+g AS (SELECT id, i, CASE WHEN i <= lag(i) OVER w + {LENGTH} THEN 0 ELSE 1 END AS fresh FROM c WINDOW w AS (PARTITION BY id ORDER BY i)),
+s AS (SELECT id, min(i) AS a, max(i) + {LENGTH} AS z FROM (SELECT id, i, sum(fresh) OVER (PARTITION BY id ORDER BY i) AS run FROM g) GROUP BY id, run),
+e AS (SELECT id, [0] || list(z ORDER BY a) AS starts, list(a ORDER BY a) AS ends, sum(z - a) AS removed, count(*) AS n FROM s GROUP BY id)
+SELECT doc_id, (len(h) // 2)::BIGINT AS n_bytes, coalesce(removed, 0)::BIGINT AS n_removed, coalesce(n, 0)::BIGINT AS n_spans,
+  sha256(unhex(CASE WHEN n IS NULL THEN h ELSE array_to_string(list_transform(range(1, n + 2), lambda q: substr(h, 2 * starts[q] + 1, 2 * (coalesce(ends[q], len(h) // 2) - starts[q]))), '') END)) AS kept_sha256
+FROM d LEFT JOIN e USING (id)
+"""
