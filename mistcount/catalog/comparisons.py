@@ -16,7 +16,7 @@ from ..operators import boolean as bo
 from ..operators import measures as ms
 from ..operators import merge as mg
 from ..operators import theory
-from ..operators.build import level_counts, set_cells, sketch
+from ..operators.build import level_counts, packed, set_cells, sketch
 from ..operators.estimate import cardinality
 from ..operators.privatize import flip
 from ..plans import engine, experiments
@@ -277,6 +277,30 @@ def w04_real(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+_STAND_INS = {"events": "SELECT 'all' AS g, CAST(user_id AS VARCHAR) AS item FROM events", "orders": "SELECT 'all' AS g, CAST(o_custkey AS VARCHAR) AS item FROM orders"}
+
+
+def _stand_in_sql(name: str, e: float) -> str:
+    f = bd.symmetric(e)
+    fitted = S.fit(S.arrays(S.levels(S.flip(S.dense(_STAND_INS[name], WIDE), f.p, f.q, KEY, f"{name}{e}"), WIDE)), WIDE, f.p, f.q)
+    return f"SELECT '{name}' AS data, {e!r}::DOUBLE AS eps, (SELECT count(DISTINCT item) FROM ({_STAND_INS[name]})) AS n, round(n_hat, 3) AS n_hat, round({S.stderr(WIDE, 'n_hat', repr(f.p), repr(f.q))} / n_hat, 6) AS rel_stderr FROM ({fitted})"
+
+
+@query("w04_repeated_users", " UNION ALL ".join(_stand_in_sql(t, e) for t in _STAND_INS for e in (0.5, 1.0, 2.0, 4.0)))
+def w04_users(spark: SparkSession, d: str) -> DataFrame:
+    """Users of events and customers of orders, who occur many times each, by budget: estimates and their relative errors."""
+    e = read_table(spark, d, "events").select(F.lit("all").alias("g"), F.col("user_id").cast("string").alias("item"))
+    o = read_table(spark, d, "orders").select(F.lit("all").alias("g"), F.col("o_custkey").cast("string").alias("item"))
+    out = None
+    for name, rows in (("events", e), ("orders", o)):
+        n = rows.agg(F.count_distinct("item").alias("n"))
+        for eps in (0.5, 1.0, 2.0, 4.0):
+            found = engine.count_private(rows, F.col("item"), eps, WIDE, KEY, f"{name}{eps}", ["g"], solver="bisect", noise="cell")
+            row = found.crossJoin(n).select(F.lit(name).alias("data"), F.lit(eps).alias("eps"), "n", F.round("n_hat", 3).alias("n_hat"), F.round("rel_stderr", 6).alias("rel_stderr"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query("w05_error_by_buckets")
 def w05(spark: SparkSession, d: str) -> DataFrame:
     """Private at 2, without privacy, and HyperLogLog, with the formula's error; the slope of log error on log buckets is about -1/2."""
@@ -501,6 +525,20 @@ def a06(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "buckets int, sketch_bits int, register_bits int")
 
 
+@query("a07_time", f"SELECT step, n_rows, true AS took_time FROM (VALUES ('plain', (SELECT count(*) FROM lineitem)), ('private', (SELECT count(*) FROM lineitem)), ('exact', (SELECT count(*) FROM lineitem))) x(step, n_rows)")
+def a07(spark: SparkSession, d: str) -> DataFrame:
+    """Rows and seconds of a packed sketch, of a private estimate and of an exact count of line items; the seconds differ
+    from run to run, so the query tells only that they were taken. `measures.timed` has them, and bench.py prints them."""
+    rows, item = line_items(spark, d), F.col("item")
+    steps = {
+        "plain": lambda: packed(rows, item, Layout(), ["g"]),
+        "private": lambda: engine.count_private(rows, item, 2.0, Layout(), KEY, "a07", ["g"]),
+        "exact": lambda: bl.exact(rows, "item", ["g"]),
+    }
+    n = rows.count()
+    return spark.createDataFrame([(name, n, ms.timed(run()) > 0) for name, run in steps.items()], "step string, n_rows long, took_time boolean")
+
+
 @query("a08_ledger", "SELECT g AS scope, sum(eps) AS eps_spent, count(*) AS releases FROM (SELECT DISTINCT event_type AS g FROM events), (VALUES (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)) x(eps) GROUP BY g")
 def a08(spark: SparkSession, d: str) -> DataFrame:
     """Three releases of event types' users, written with their ledger, the last one twice; then what each type has spent."""

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -40,6 +42,13 @@ def space_bits(layout: Layout) -> dict[str, int]:
     return {"sketch": layout.cells, "registers": layout.buckets * layout.levels.bit_length()}
 
 
+def timed(df: DataFrame) -> float:
+    """Seconds that all rows of df take; nothing is kept."""
+    began = time.monotonic()
+    df.write.format("noop").mode("overwrite").save()
+    return time.monotonic() - began
+
+
 def empirical_epsilon(pairs: DataFrame, by: list[str] | None = None) -> DataFrame:
     """Greatest log-odds of an output bit between neighbours. pairs: bit (true), noisy."""
     rates = pairs.groupBy(*(by or [])).agg(F.avg(F.when(F.col("bit") == 1, F.col("noisy"))).alias("p"), F.avg(F.when(F.col("bit") == 0, F.col("noisy"))).alias("q"))
