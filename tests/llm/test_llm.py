@@ -573,6 +573,32 @@ def test_packing(docs, empty):
     assert packing.pack(empty).count() == 0
 
 
+@pytest.mark.parametrize(("buffer", "word"), [(3000, 1 << 30), (1 << 19, 50)])
+def test_small_buffers_and_long_words_lose_no_id(docs, monkeypatch, buffer, word):
+    """Windows cut from few ids at a time, and texts with long words given to the library: the same ids, each once."""
+    monkeypatch.setattr(packing, "BUFFER_IDS", buffer)
+    monkeypatch.setattr(tokens, "LONG_WORD", word)  # for encoders of this process
+    encoder = tokens.RankEncoder(tokens.tokenizer_path("byte_bpe_50k.json"))
+    assert encoder.many(list(CASES)) == [encoder.library.ids(t) if t else b"" for t in CASES]
+    lib, by_doc, by_seq = library("byte_bpe_50k.json"), defaultdict(list), defaultdict(list)
+    for r in packing.pack(docs).collect():
+        by_doc[r["doc_id"]].append(r)
+        by_seq[r["sequence_id"]].append(r)
+    for i, t in texts().items():
+        ids = np.array([*lib.encode(t, add_special_tokens=False).ids, 1], "<u4")
+        at = 0
+        for r in sorted(by_doc[i], key=lambda r: r["start"]):
+            assert r["start"] == at and r["ids_crc32"] == zlib.crc32(ids[at : at + r["length"]].tobytes()) and r["doc_tokens"] == len(ids)
+            at += r["length"]
+        assert at == len(ids)
+    for rs in by_seq.values():
+        at = 0
+        for r in sorted(rs, key=lambda r: r["offset"]):
+            assert r["offset"] == at
+            at += r["length"]
+        assert at <= 2048
+
+
 def test_cuts_are_the_cheapest():
     r = np.random.default_rng(4)
     for _ in range(40):
