@@ -18,6 +18,7 @@ from ..operators import simulate, theory
 from ..operators.build import level_counts, packed, set_cells, sketch, unpack
 from ..operators.estimate import asymptotic_constant, cardinality, plan_buckets, plan_epsilon, stderr_after_merge
 from ..operators.privatize import bound_groups, flip, flip_symmetric
+from ..plans import arrow
 from ..sources.io import read_table
 from . import sql as S
 from .registry import query
@@ -179,6 +180,17 @@ def m07(spark: SparkSession, d: str) -> DataFrame:
 
 @query("m09k_union_randomized", f"SELECT g, round(star, 9) AS eps_effective, round(n_hat, 3) AS n_hat FROM ({_union_sql('3.0::DOUBLE')})")
 def m09k(spark: SparkSession, d: str) -> DataFrame:
+    """In packed form throughout, with the noise of the long form."""
+    f = bd.symmetric(3.0)
+    plain = arrow.sketch_packed(party_items(spark, d), F.col("item"), WIDE, ["party"])
+    noisy = arrow.flip_packed(plain, f, WIDE, KEY, "parties", ["party"], "cell").withColumn("eps", F.lit(3.0)).withColumn("g", F.lit("all"))
+    levels = arrow.level_counts_packed(arrow.merge_packed(noisy, WIDE, ["g"], "union", "cell"), WIDE, ["g", "eps_effective"])
+    q = bd.symmetric_q(F.col("eps_effective"))
+    return cardinality(levels, WIDE, 1 - q, q, "bisect").select("g", F.round("eps_effective", 9).alias("eps_effective"), F.round("n_hat", 3).alias("n_hat"))
+
+
+@query("m09k_union_long", f"SELECT g, round(star, 9) AS eps_effective, round(n_hat, 3) AS n_hat FROM ({_union_sql('3.0::DOUBLE')})")
+def m09k_long(spark: SparkSession, d: str) -> DataFrame:
     return _union(spark, d, 3.0).select("g", F.round("eps_effective", 9).alias("eps_effective"), F.round("n_hat", 3).alias("n_hat"))
 
 

@@ -8,7 +8,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -89,16 +89,8 @@ def flip_packed(bitmaps: DataFrame, mechanism: Flip, layout: Layout, key: str, r
     return named.mapInArrow(flipped, f"{kinds}, bits binary")
 
 
-def whole_sketches(bitmaps: DataFrame, layout: Layout, by: list[str]) -> DataFrame:
-    """(by, n_sketches), or an error while it is read if a group lacks bitmaps of some of its sketches."""
-    count = -(-layout.cells // BITMAP)
-    each = bitmaps.groupBy(*by, "bucket_no").agg(F.count("*").alias("_n")).groupBy(*by).agg(F.count("*").alias("_b"), F.min("_n").alias("_least"), F.max("_n").alias("_most"))
-    fine = (F.col("_b") == count) & (F.col("_least") == F.col("_most"))
-    return each.select(*by, F.when(fine, F.col("_least")).otherwise(F.raise_error(F.lit("a sketch lacks some of its bitmaps")).cast("long")).alias("n_sketches"))
-
-
 def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, noise: str = "stream") -> DataFrame:
-    """The randomized union of packed symmetric sketches (by, ..., bucket_no, bits, eps), per (by, bucket_no).
+    """(by, bucket_no, bits, eps_effective, n_sources): the randomized union of packed symmetric sketches (by, ..., bucket_no, bits, eps).
 
     Two levels: tasks first add up the ones and their budgets of some sketches, then these sums; so a group of
     any number of sketches needs no more than SALTS pairs of arrays in one task. Every sketch must have all its
@@ -109,21 +101,22 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, n
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in bitmaps.select(*keys).schema.fields)
 
     def partial(key: tuple, rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ones, spent, log_missing, plain = np.zeros(BITMAP, np.int32), np.zeros(BITMAP), 0.0, 0
+        ones, spent, log_missing, count = np.zeros(BITMAP, np.int32), np.zeros(BITMAP), 0.0, 0
         for batch in rows:
             for raw, eps in zip(batch.column("bits").to_pylist(), batch.column("eps").to_pylist(), strict=True):
                 bit = _bits(raw)
                 ones += bit
                 spent[bit == 1] += eps
                 log_missing += 0.0 if np.isinf(eps) else np.log(-np.expm1(-eps))
-                plain += int(np.isinf(eps))
+                count += 1
         cells = [pa.array([k.as_py()], k.type) for k in key[:-1]]
-        yield pa.record_batch([*cells, pa.array([ones.tobytes()], pa.binary()), pa.array([spent.tobytes()], pa.binary()), pa.array([log_missing])], names=[*keys, "ones", "spent", "log_missing"])
+        yield pa.record_batch([*cells, pa.array([ones.tobytes()], pa.binary()), pa.array([spent.tobytes()], pa.binary()), pa.array([log_missing]), pa.array([count])], names=[*keys, "ones", "spent", "log_missing", "sketches"])
 
     def final(key: tuple, rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ones, spent, log_missing = np.zeros(BITMAP, np.int64), np.zeros(BITMAP), 0.0
+        ones, spent, log_missing, sketches = np.zeros(BITMAP, np.int64), np.zeros(BITMAP), 0.0, 0
         for batch in rows:
-            for a, b, c in zip(*(batch.column(x).to_pylist() for x in ("ones", "spent", "log_missing")), strict=True):
+            for a, b, c, n in zip(*(batch.column(x).to_pylist() for x in ("ones", "spent", "log_missing", "sketches")), strict=True):
+                sketches += n
                 ones += np.frombuffer(a, np.int32)
                 spent += np.frombuffer(b, float)
                 log_missing += c
@@ -135,15 +128,16 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, n
         drawn[:count] = _draws(noise, "|".join(["merge", salt, *[str(k.as_py()) for k in key[:-1]]]), first, count) < np.floor(chance[:count] * ONE).astype(np.uint64)
         star = np.inf if left == 0 else -np.log(left)
         cells = [pa.array([k.as_py()], k.type) for k in key]
-        yield pa.record_batch([*cells, pa.array([np.packbits(drawn, bitorder="little").tobytes()], pa.binary()), pa.array([float(star)])], names=[*keys, "bits", "eps_effective"])
+        yield pa.record_batch([*cells, pa.array([np.packbits(drawn, bitorder="little").tobytes()], pa.binary()), pa.array([float(star)]), pa.array([sketches])], names=[*keys, "bits", "eps_effective", "n_sources"])
 
     salted = bitmaps.select(*keys, "bits", F.col("eps").cast("double").alias("eps"), F.pmod(F.xxhash64("bits"), F.lit(SALTS)).alias("_salt"))
-    sums = salted.groupBy(*keys, "_salt").applyInArrow(partial, f"{kinds}, ones binary, spent binary, log_missing double")
-    merged = sums.groupBy(*keys).applyInArrow(final, f"{kinds}, bits binary, eps_effective double")
-    counts = whole_sketches(bitmaps, layout, by).withColumnsRenamed({c: f"_{c}" for c in by})
-    same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in by]
-    joined = merged.join(counts, same) if by else merged.crossJoin(counts)
-    return joined.where("n_sketches > 0").select(*keys, "bits", "eps_effective")
+    sums = salted.groupBy(*keys, "_salt").applyInArrow(partial, f"{kinds}, ones binary, spent binary, log_missing double, sketches long")
+    merged = sums.groupBy(*keys).applyInArrow(final, f"{kinds}, bits binary, eps_effective double, n_sources long")
+    # a group's few bitmaps must all come from as many sketches
+    group = Window.partitionBy(*(by or [F.lit(0)]))
+    fine = (F.count("*").over(group) == -(-layout.cells // BITMAP)) & (F.min("n_sources").over(group) == F.max("n_sources").over(group))
+    whole = F.when(fine, F.col("n_sources")).otherwise(F.raise_error(F.lit("a sketch lacks some of its bitmaps")).cast("long"))
+    return merged.select(*keys, "bits", "eps_effective", whole.alias("n_sources")).where("n_sources > 0")
 
 
 def level_counts_packed(bitmaps: DataFrame, layout: Layout, by: list[str]) -> DataFrame:
