@@ -57,7 +57,7 @@ BLOCK, BLOCK_SHINGLES = 2000, 1_000_000
 #: Links up to which one task finds the components.
 ONE_TASK = 500_000
 #: Rows that a task holds before it hands them on; words that a worker remembers.
-FLUSH, MEMORY = 1_000_000, 150_000
+FLUSH, MEMORY = 500_000, 150_000
 
 
 class WordHashes:

@@ -36,9 +36,9 @@ from .suffixes import common_prefixes, suffix_array
 
 LENGTH, GRAM = 200, 100
 #: Bytes of text that are hashed at a time, rows that a task holds before it hands them on.
-CHUNK, FLUSH = 1 << 19, 1_000_000
+CHUNK, FLUSH = 1 << 19, 500_000
 #: Bytes of pieces in a suffix array, about; bytes of one hash's pieces at most.
-SHARD_BYTES, HOT_BYTES = 1 << 22, 1 << 24
+SHARD_BYTES, HOT_BYTES = 1 << 21, 1 << 24
 #: Bits that hold a gram's place among its neighbours.
 _PLACES = np.uint64((1 << 24) - 1)
 _CODES = mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
@@ -183,7 +183,7 @@ def _contents(length: int):
     """Texts with their recurring pieces -> contents of different pieces, and places of pieces."""
 
     def contents(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches(rows, 2048):
+        for batch in batches(rows, 1024):
             known: dict[tuple[int, bytes], list] = {}
             for th, raw, copies, hs, places, ns in zip(batch.column("th").to_pylist(), text_bytes(batch.column("text")), batch.column("copies").to_pylist(), *(batch.column(c).to_pylist() for c in ("hs", "places", "ns")), strict=True):
                 for h, place, n in zip(hs, places, ns, strict=True):
