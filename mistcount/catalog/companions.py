@@ -73,6 +73,12 @@ def op_filter(spark: SparkSession, d: str) -> DataFrame:
     return kept.agg(F.count_distinct("o_custkey").alias("n"))
 
 
+@query("op_projection", "SELECT o_orderkey AS k, o_orderpriority || '/' || o_orderstatus AS kind, round(o_totalprice / 100, 6) AS hundreds FROM orders")
+def op_projection(spark: SparkSession, d: str) -> DataFrame:
+    """Columns picked, renamed and computed: the scan reads these four only."""
+    return read_table(spark, d, "orders").select(F.col("o_orderkey").alias("k"), F.concat_ws("/", "o_orderpriority", "o_orderstatus").alias("kind"), F.round(F.col("o_totalprice") / 100, 6).alias("hundreds"))
+
+
 @query("op_join_inner", "SELECT r_name AS region, count(DISTINCT o_custkey) AS n FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
 def op_join_inner(spark: SparkSession, d: str) -> DataFrame:
     return _nations(spark, d).select("region", F.split("item", r"\|")[0].alias("c")).groupBy("region").agg(F.count_distinct("c").alias("n"))
