@@ -85,9 +85,16 @@ def text_bytes(column: pa.Array) -> list[bytes | None]:
     return column.cast(kind).to_pylist() if not pa.types.is_binary(column.type) else column.to_pylist()
 
 
-def batches(rows: Iterator[pa.RecordBatch], size: int = 1024) -> Iterator[pa.RecordBatch]:
+#: What a worker keeps from one task to the next: encoders, which take long to make. Tasks without need of them drop them,
+#: as workers serve all operators one after the other.
+KEPT: dict[tuple, object] = {}
+
+
+def batches(rows: Iterator[pa.RecordBatch], size: int = 1024, keep: bool = False) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of at most `size` rows, to bound what is held as Python objects; when they are
-    over, the worker, which serves further tasks, gives unused memory back."""
+    over, the worker, which serves further tasks, gives unused memory back. keep: the task uses what is KEPT."""
+    if not keep:
+        KEPT.clear()
     tidy()
     for batch in rows:
         for at in range(0, batch.num_rows, size):

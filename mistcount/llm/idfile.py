@@ -145,7 +145,7 @@ def encode_segments(docs: DataFrame, vocabulary: str, end_id: int, segment_ids:
         def close() -> pa.RecordBatch:
             return pa.record_batch([pa.array([part], pa.int32()), pa.array([seg], pa.int32()), pa.array([before], pa.int64()), pa.array([size], pa.int64()), pa.array([keys], pa.list_(pa.int64())), pa.array([export_segment(held)], pa.binary())], names=["part", "seg", "before", "n_ids", "doc_ids", "payload"])
 
-        for batch in batches(rows, 512):
+        for batch in batches(rows, 512, keep=True):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), encoder.many(batch.column("text").to_pylist()), strict=True):
                 ids += end
                 if held and size + len(ids) // 4 > segment_ids:

@@ -521,7 +521,9 @@ def one_of_each(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE, doc_i
     first = alone.unionByName(first).select(F.col("doc_id").alias("_first"), F.col("text_hash").alias("_first_hash")).distinct()
     mine = wrapped(docs).withColumn("_id", F.col(f"row.{doc_id}").cast("long")).withColumn("_hash", F.xxhash64(F.coalesce(F.col(f"row.{text}"), F.lit(""))))
     kept = mine.join(first, (F.col("_id") == F.col("_first")) & (F.col("_hash") == F.col("_first_hash")), "left_semi")
-    kept = kept.groupBy("_id", "_hash").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
+    # maps can't be hashed, their text can
+    whole = F.xxhash64(F.to_json("row")) if "map<" in docs.schema.simpleString() else F.xxhash64("row")
+    kept = kept.groupBy("_id", "_hash").agg(F.min_by("row", whole).alias("row"))
     return kept.select("row").unionByName(mine.where("_id is null").select("row")).select("row.*")
 
 

@@ -135,7 +135,7 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", end_id: int = 1
             keys, held = keys[kept:], held[kept:]
             return out
 
-        for batch in batches(rows, 128):
+        for batch in batches(rows, 128, keep=True):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), encoder.many(batch.column("text").to_pylist()), strict=True):
                 held.append(ids + end)
                 keys.append(doc)

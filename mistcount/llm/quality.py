@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import BLANKS, table, text_bytes, tidy, wrapped, written
+from .common import BLANKS, KEPT, table, text_bytes, tidy, wrapped, written
 
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, REPEAT_PERCENT = 50, 50
@@ -72,6 +72,7 @@ def stats_of(raw: bytes | None) -> tuple[int, ...]:
 
 @F.arrow_udf(STATS)
 def _stats(rows: Iterator[pa.Array]) -> Iterator[pa.Array]:
+    KEPT.clear()
     for texts in rows:
         columns = [[] for _ in STATS.names]
         for at in range(0, len(texts), 512):

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import tidy, wrapped
+from .common import KEPT, tidy, wrapped
 
 #: Chunks that each of the two ages of a worker's memory holds; bounds memory, changes no result.
 MEMORY = 200_000
@@ -312,14 +312,11 @@ class RankEncoder:
         return out
 
 
-_READY: dict[tuple, object] = {}
-
-
 def ready(kind: type, path: str):
     """One counter or encoder for each worker process and file."""
-    if (kind, path) not in _READY:
-        _READY[kind, path] = kind(path)
-    return _READY[kind, path]
+    if (kind, path) not in KEPT:
+        KEPT[kind, path] = kind(path)
+    return KEPT[kind, path]
 
 
 def crc(ids: bytes) -> int:

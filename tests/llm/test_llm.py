@@ -534,6 +534,8 @@ def test_one_of_each_group_stays(spark, docs, empty):
     for rows in (shared, shared[::-1]):
         got = jaccard.one_of_each(spark.createDataFrame(rows, "doc_id long, text string, kind string").repartition(3)).collect()
         assert sorted((r["doc_id"], r["text"] or "") for r in got) == sorted({(1, shared[0][1]), (1, shared[1][1]), (2, shared[3][1]), (5, "")})
+    maps = spark.createDataFrame([(1, "a b c d", {"k": i}) for i in (3, 1, 2)], "doc_id long, text string, m map<string, int>")
+    assert jaccard.one_of_each(maps).collect() == jaccard.one_of_each(maps.repartition(3)).collect() and jaccard.one_of_each(maps).count() == 1
     by_id = {(r["doc_id"], r["component_id"]) for r in jaccard.groups(spark.createDataFrame(shared, "doc_id long, text string, kind string")).collect()}
     assert by_id == {(1, 1), (2, 2), (2, 1), (5, 5)}
     assert jaccard.one_of_each(empty).count() == 0 and jaccard.one_of_each(docs).columns == docs.columns
