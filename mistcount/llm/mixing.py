@@ -9,8 +9,8 @@ after the target, so that a long one doesn't keep its whole source out or push i
 
 The running sizes inside a queue come from slices: each source's order is cut by the leading bits of the shuffle key
 into slices of about SLICE documents, sums over slices are accumulated, and each slice is summed on its
-own, so that a source with a third of all rows is no single task's work. Sums along all queues, and along
-the table of sources, are sums of ranges (`common.running`), so no step is one task's work.
+own, so that a source with a third of all rows is no single task's work. Sums along all queues are sums of ranges
+(`common.running`), and so are those along the table of sources beyond BROADCAST_SOURCES of them.
 
 Null texts have size 0 and are taken 0 times. Sources are ordered by code point, null last. Very long texts are
 cut after a word. Rows of equal finish time go by source, then place in the queue; rows of a source with equal id and
@@ -44,20 +44,28 @@ def targets(sources: DataFrame, repeats: int = REPEATS, weights: tuple[int, ...]
     A source is at its limit exactly if the level at which all sources of lower limit per weight are
     full lies at or above its own limit per weight; the level of the others follows.
     """
-    rows = running(sources, [F.col("_source")], {"_which": F.lit(1)})
+    few = sources.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
+    along = _at_once if few else running  # a table of this size is one task's work, a larger one is summed by ranges
+    rows = along(sources, [F.col("_source")], {"_which": F.lit(1)})
     weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.pmod("_which", F.lit(len(weights))) + 1).cast("int"))
     rows = rows.withColumn("w", weight).withColumn("cap", F.col("source_size") * float(repeats))
-    rows = running(rows.drop("_which"), [F.col("cap") / F.col("w"), F.col("_source")], {"_caps": F.col("cap"), "_ws": F.col("w")})
+    rows = along(rows.drop("_which"), [F.col("cap") / F.col("w"), F.col("_source")], {"_caps": F.col("cap"), "_ws": F.col("w")})
     whole = rows.agg(F.sum("source_size").cast("double").alias("_all"), F.sum("w").alias("_w_all"))
     level = (F.col("_all") - F.col("_caps")) / (F.col("_w_all") - F.col("_ws"))
     # passing over a source that isn't full lowers the level, so the first such one's is the highest
     full = F.col("cap") <= F.col("level") * F.col("w")
-    rows = written(rows.crossJoin(F.broadcast(whole)).withColumn("level", level).withColumn("_full", full), "levels")  # whole is a single row
+    rows = rows.crossJoin(F.broadcast(whole)).withColumn("level", level).withColumn("_full", full)  # whole is a single row
     final = rows.agg(F.max(F.when(~F.col("_full"), F.col("level"))).alias("_final"))
     target = F.when(F.col("_full"), F.col("cap")).otherwise(F.least(F.col("cap"), F.col("w") * F.col("_final")))
     return rows.crossJoin(F.broadcast(final)).select("_source", "source_size", "n_docs", F.round(target, 6).alias("target"))
 
 
+def _at_once(df: DataFrame, order: list[Column], sums: dict[str, Column]) -> DataFrame:
+    """What common.running gives, by one task: for tables whose size has been checked."""
+    before = Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    return df.select("*", *[F.coalesce(F.sum(x).over(before), F.lit(0)).alias(c) for c, x in sums.items()])
+
+
 def _pieces(repeats: int) -> Column:
     """The pieces in which a queued document is served: round, first word in the queue, words, finish time."""
     line = F.floor(F.col("target") + 1e-6)
@@ -77,7 +85,7 @@ def mix(docs: DataFrame, size: Column, key: str = "doc_id", source: str = "sourc
     mine = [named, size.cast("long").alias("size"), shuffle_key(F.col(key)).alias("_u"), F.col(key).alias("_key")]
     # sizes are narrow, so they are written once for the steps that add them up
     narrow = written(docs.select(*mine), "sizes")
-    sums = targets(narrow.groupBy("_source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs")), repeats)
+    sums = targets(written(narrow.groupBy("_source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs")), "sources"), repeats)
     # bits of the shuffle key that cut a source's order into slices of about SLICE documents
     bits = F.greatest(F.lit(0), F.least(F.lit(HEX_BITS), F.ceil(F.log2(F.col("n_docs") / SLICE)))).cast("int")
     plan = written(sums.select("_source", "source_size", "target", bits.alias("_bits")), "targets")
