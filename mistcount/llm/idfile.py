@@ -38,7 +38,9 @@ class EliasFano:
     """A non-decreasing sequence of unsigned integers in near-minimal space."""
 
     #: Ones of the upper bits between two entries of the select directory.
-    STEP = 256
+    STEP = 64
+    #: Bytes of the upper bits that a scan looks at together.
+    LOOK = 32
 
     def __init__(self, count: int, low_bits: int, lows: np.ndarray, upper: np.ndarray):
         self.count, self.low_bits, self.lows, self.upper = count, low_bits, lows, upper
@@ -65,10 +67,9 @@ class EliasFano:
         return cls(n, low, body[:a], body[a:])
 
     def _low(self, i: int) -> int:
-        at, value = i * self.low_bits, 0
-        for k in range(self.low_bits):
-            value |= ((int(self.lows[(at + k) >> 3]) >> ((at + k) & 7)) & 1) << k
-        return value
+        at = i * self.low_bits
+        held = int.from_bytes(self.lows[at >> 3 : (at + self.low_bits + 7) >> 3].tobytes(), "little")
+        return (held >> (at & 7)) & ((1 << self.low_bits) - 1)
 
     def _sampled(self) -> np.ndarray:
         """Where each STEP-th one of the upper bits stands; some bytes of them at a time."""
@@ -87,12 +88,12 @@ class EliasFano:
             self._directory = self._sampled()
         at = int(self._directory[i // self.STEP])
         skip, byte = i % self.STEP, at >> 3
-        chunk = np.unpackbits(self.upper[byte : byte + 1], bitorder="little")
+        chunk = np.unpackbits(self.upper[byte : byte + self.LOOK], bitorder="little")
         chunk[: at & 7] = 0
-        while (ones := int(chunk.sum())) <= skip:
-            skip, byte = skip - ones, byte + 1
-            chunk = np.unpackbits(self.upper[byte : byte + 1], bitorder="little")
-        found = byte * 8 + int(np.flatnonzero(chunk)[skip])
+        while len(ones := np.flatnonzero(chunk)) <= skip:
+            skip, byte = skip - len(ones), byte + self.LOOK
+            chunk = np.unpackbits(self.upper[byte : byte + self.LOOK], bitorder="little")
+        found = byte * 8 + int(ones[skip])
         return ((found - i) << self.low_bits) | self._low(i)
 
     def all(self) -> np.ndarray:
