@@ -283,7 +283,7 @@ _STAND_INS = {"events": "SELECT 'all' AS g, CAST(user_id AS VARCHAR) AS item FRO
 def _stand_in_sql(name: str, e: float) -> str:
     f = bd.symmetric(e)
     fitted = S.fit(S.arrays(S.levels(S.flip(S.dense(_STAND_INS[name], WIDE), f.p, f.q, KEY, f"{name}{e}"), WIDE)), WIDE, f.p, f.q)
-    return f"SELECT '{name}' AS data, {e!r}::DOUBLE AS eps, (SELECT count(DISTINCT item) FROM ({_STAND_INS[name]})) AS n, round(n_hat, 3) AS n_hat, round({S.stderr(WIDE, 'n_hat', S.num(f.p), S.num(f.q))} / n_hat, 6) AS rel_stderr FROM ({fitted})"
+    return f"SELECT '{name}' AS data, {e!r}::DOUBLE AS eps, (SELECT count(DISTINCT item) FROM ({_STAND_INS[name]})) AS n, round(n_hat, 3) AS n_hat, CASE WHEN n_hat > 0 THEN round({S.stderr(WIDE, 'n_hat', S.num(f.p), S.num(f.q))} / n_hat, 6) END AS rel_stderr FROM ({fitted})"
 
 
 @query("w04_repeated_users", " UNION ALL ".join(_stand_in_sql(t, e) for t in _STAND_INS for e in (0.5, 1.0, 2.0, 4.0)))
