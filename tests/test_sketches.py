@@ -363,3 +363,18 @@ def test_release_has_every_window_and_row_whatever_the_order_of_files(spark, sf,
     assert len({r[0] for r in got}) == batch.select("window").distinct().count() > 3
     assert got == rows(want)
     assert ledger.count() == len(got) and ledger.agg(F.sum("eps")).first()[0] == pytest.approx(3.0 * len(got))
+
+
+def _in_any_order(spark, epsilons):
+    """Every order of these budgets, as a group each; a group's rows are read in that order."""
+    import itertools
+
+    rows = [(i, e) for i, order in enumerate(itertools.permutations(epsilons)) for e in order]
+    return spark.createDataFrame(rows, "g int, eps double").coalesce(1)
+
+
+def test_combined_budgets_do_not_depend_on_the_order_of_rows(spark):
+    rows = _in_any_order(spark, [3.0, 2.0, 2.5, 4.0])
+    found = rows.groupBy("g").agg(bd.combine_or_column(F.col("eps")).alias("o"), bd.combine_xor_column(F.col("eps")).alias("x"))
+    (one,) = found.select("o", "x").distinct().collect()
+    assert one["o"] == pytest.approx(bd.combine_or([3.0, 2.0, 2.5, 4.0]), rel=1e-12) and one["x"] == pytest.approx(bd.combine_xor([3.0, 2.0, 2.5, 4.0]), rel=1e-12)
