@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -89,6 +90,11 @@ def flip_packed(bitmaps: DataFrame, mechanism: Flip, layout: Layout, key: str, r
     return named.mapInArrow(flipped, f"{kinds}, bits binary")
 
 
+def _whole(log: float) -> int:
+    """A logarithm in units of 2^-60: integers add up to the same in any order, so all bitmaps of a union get one budget."""
+    return int(math.ldexp(max(log, -1e6), 60))
+
+
 def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, noise: str = "stream") -> DataFrame:
     """(by, bucket_no, bits, eps_effective, n_sources): the randomized union of packed symmetric sketches (by, ..., bucket_no, bits, eps).
 
@@ -101,26 +107,26 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, n
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in bitmaps.select(*keys).schema.fields)
 
     def partial(key: tuple, rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ones, spent, log_missing, count = np.zeros(BITMAP, np.int32), np.zeros(BITMAP), 0.0, 0
+        ones, spent, log_missing, count = np.zeros(BITMAP, np.int32), np.zeros(BITMAP), 0, 0
         for batch in rows:
             for raw, eps in zip(batch.column("bits").to_pylist(), batch.column("eps").to_pylist(), strict=True):
                 bit = _bits(raw)
                 ones += bit
                 spent[bit == 1] += eps
-                log_missing += 0.0 if np.isinf(eps) else np.log(-np.expm1(-eps))
+                log_missing += 0 if np.isinf(eps) else _whole(np.log(-np.expm1(-eps)))
                 count += 1
         cells = [pa.array([k.as_py()], k.type) for k in key[:-1]]
-        yield pa.record_batch([*cells, pa.array([ones.tobytes()], pa.binary()), pa.array([spent.tobytes()], pa.binary()), pa.array([log_missing]), pa.array([count])], names=[*keys, "ones", "spent", "log_missing", "sketches"])
+        yield pa.record_batch([*cells, pa.array([ones.tobytes()], pa.binary()), pa.array([spent.tobytes()], pa.binary()), pa.array([str(log_missing)]), pa.array([count])], names=[*keys, "ones", "spent", "log_missing", "sketches"])
 
     def final(key: tuple, rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ones, spent, log_missing, sketches = np.zeros(BITMAP, np.int64), np.zeros(BITMAP), 0.0, 0
+        ones, spent, log_missing, sketches = np.zeros(BITMAP, np.int64), np.zeros(BITMAP), 0, 0
         for batch in rows:
             for a, b, c, n in zip(*(batch.column(x).to_pylist() for x in ("ones", "spent", "log_missing", "sketches")), strict=True):
                 sketches += n
                 ones += np.frombuffer(a, np.int32)
                 spent += np.frombuffer(b, float)
-                log_missing += c
-        left = -np.expm1(log_missing)  # exp of minus the effective budget
+                log_missing += int(c)
+        left = -np.expm1(math.ldexp(log_missing, -60))  # exp of minus the effective budget
         chance = np.where(ones == 0, 0.0, (1 - np.where(ones % 2, -1.0, 1.0) * np.exp(-spent)) / (1 + left))
         first = (key[-1].as_py() - 1) * BITMAP
         count = max(0, min(BITMAP, layout.cells - first))
@@ -131,7 +137,7 @@ def merge_packed(bitmaps: DataFrame, layout: Layout, by: list[str], salt: str, n
         yield pa.record_batch([*cells, pa.array([np.packbits(drawn, bitorder="little").tobytes()], pa.binary()), pa.array([float(star)]), pa.array([sketches])], names=[*keys, "bits", "eps_effective", "n_sources"])
 
     salted = bitmaps.select(*keys, "bits", F.col("eps").cast("double").alias("eps"), F.pmod(F.xxhash64("bits"), F.lit(SALTS)).alias("_salt"))
-    sums = salted.groupBy(*keys, "_salt").applyInArrow(partial, f"{kinds}, ones binary, spent binary, log_missing double, sketches long")
+    sums = salted.groupBy(*keys, "_salt").applyInArrow(partial, f"{kinds}, ones binary, spent binary, log_missing string, sketches long")
     merged = sums.groupBy(*keys).applyInArrow(final, f"{kinds}, bits binary, eps_effective double, n_sources long")
     # a group's few bitmaps must all come from as many sketches
     group = Window.partitionBy(*(by or [F.lit(0)]))

@@ -378,3 +378,17 @@ def test_combined_budgets_do_not_depend_on_the_order_of_rows(spark):
     found = rows.groupBy("g").agg(bd.combine_or_column(F.col("eps")).alias("o"), bd.combine_xor_column(F.col("eps")).alias("x"))
     (one,) = found.select("o", "x").distinct().collect()
     assert one["o"] == pytest.approx(bd.combine_or([3.0, 2.0, 2.5, 4.0]), rel=1e-12) and one["x"] == pytest.approx(bd.combine_xor([3.0, 2.0, 2.5, 4.0]), rel=1e-12)
+
+
+def test_unions_of_many_budgets_are_one_sketch(spark):
+    """Cells whose rows come in different orders are still cells of one union, in the long form and in the packed one."""
+    layout, budgets = Layout(4096, 24), [3.0, 2.0, 2.5, 4.0, 1.75, 2.25]
+    rows = items(spark, 3000).withColumn("party", F.col("item").cast("int") % 6)
+    eps = F.element_at(F.array(*[F.lit(e) for e in budgets]), F.col("party") + 1)
+    cells = sketch(rows, F.col("item"), L, ["party"]).withColumn("eps", eps).withColumn("g", F.lit("all"))
+    shuffled = cells.coalesce(1).sortWithinPartitions("cell", F.xxhash64("cell", "party"))
+    found = engine.union_of_released(shuffled, L, "s", io.described(cells, L, "symmetric", "party", "r", ["g"]), ["g"]).select("eps_effective", "n_sources").collect()
+    assert len(found) == 1 and found[0]["n_sources"] == 6 and found[0]["eps_effective"] == pytest.approx(bd.combine_or(budgets), rel=1e-12)
+    packed_ = arrow.sketch_packed(rows, F.col("item"), layout, ["party"]).withColumn("eps", eps).withColumn("g", F.lit("all"))
+    merged = arrow.merge_packed(packed_, layout, ["g"], "s").select("eps_effective").distinct().collect()
+    assert len(merged) == 1 and merged[0]["eps_effective"] == pytest.approx(bd.combine_or(budgets), rel=1e-12)
