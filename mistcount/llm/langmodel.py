@@ -354,7 +354,7 @@ def fit_and_score(docs: DataFrame, trains: Column, doc_id: str = "doc_id", text:
         sums = [pa.array([int(x), *[0] * (found.num_rows - 1)], pa.int64()) for x in (row["counts"].sum(), len(row["counts"]))]
         return found.append_column("n", sums[0]).append_column("v", sums[1])
 
-    answers = written(asked(encoded, slice_bits(encoded)).groupBy("slice").applyInArrow(fill_and_answer, f"{ANSWERS}, n long, v long"), "answers")
+    answers = written(asked(encoded, slice_bits(encoded)).groupBy("slice").applyInArrow(fill_and_answer, f"{ANSWERS}, n long, v long"), "answers", free=True)
     total = answers.agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     return _scores(encoded, answers.drop("n", "v"), int(total["n"] or 0), int(total["v"] or 0))
 

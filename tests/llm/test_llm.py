@@ -3,6 +3,7 @@
 import hashlib
 import math
 import random
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -720,3 +721,25 @@ def test_written_tables_can_be_deleted(spark):
     assert common.clean(spark) > 0 and common.clean(spark) == 0
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         spark.read.parquet(path).count()
+
+
+def test_answers_leave_no_shuffle_behind(spark, docs, monkeypatch):
+    """The files of the shuffle that asks the slices go when the answers are written, not at the driver's next garbage collection."""
+    disk, left, writes = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager(), [], common.written
+
+    def held():
+        found = disk.getAllFiles()
+        return {found.apply(i).getName() for i in range(found.size()) if found.apply(i).getName().startswith("shuffle")}
+
+    def watched(df, what, *args, **more):
+        before, out = held(), writes(df, what, *args, **more)
+        end = time.time() + 10
+        while held() - before and time.time() < end:
+            time.sleep(0.1)
+        left.append((what, held() - before))
+        return out
+
+    monkeypatch.setattr(langmodel, "written", watched)
+    langmodel.fit_and_score(docs, F.lit(True))
+    assert left == [("chunks", set()), ("answers", set())]
+    assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") == "false"
