@@ -38,3 +38,15 @@ def test_two_parties_hold_all_line_items(spark, sf, db):
     n = db.sql("SELECT count(DISTINCT (l_orderkey, l_linenumber)) FROM lineitem").fetchall()[0][0]
     (row,) = entry.catalog.QUERIES["x01_intersection_size"](spark, sf).collect()
     assert row["union_n"] == pytest.approx(n, rel=0.15)
+
+
+def test_groups_without_both_intervals_have_no_row(spark):
+    """A full sketch's shares of empty cells are half below zero, where a relative interval ends nowhere."""
+    from mistcount.catalog import comparisons as c
+
+    f = c._HALF
+    share = lambda n, j: f.q + (f.p - f.q) * (1 - (1 - c.WIDE.rho()[j]) ** n)
+    exact = [round(4096 * share(30000, j)) for j in range(24)]
+    full = [2100 if j < 8 else k for j, k in enumerate(exact)]  # 2048 is the most that a level has on average
+    rows = spark.createDataFrame([("some", [min(k, 2047) for k in exact]), ("full", full)], "g string, ones array<long>")
+    assert [r["g"] for r in c.both_intervals(rows, c.WIDE, f).collect()] == ["some"]
