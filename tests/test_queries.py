@@ -50,3 +50,9 @@ def test_groups_without_both_intervals_have_no_row(spark):
     full = [2100 if j < 8 else k for j, k in enumerate(exact)]  # 2048 is the most that a level has on average
     rows = spark.createDataFrame([("some", [min(k, 2047) for k in exact]), ("full", full)], "g string, ones array<long>")
     assert [r["g"] for r in c.both_intervals(rows, c.WIDE, f).collect()] == ["some"]
+
+
+@pytest.mark.parametrize("name", ["a01_accuracy", "a02_relative_efficiency", "a03_variance_ratio", "a04_calibration", "a05_failure_rate", "a06_space", "a10_coverage", "b01e_equivalent_budgets", "m05_dp_verifier", "m09g_transition", "m13_budget_algebra", "m15_stderr_formula"])
+def test_measures_and_formulas_read_a_table(spark, sf, name):
+    df = entry.catalog.QUERIES[name](spark, sf)
+    assert [f.split("/")[-1] for f in df.inputFiles()] == ["lineitem.parquet"]
